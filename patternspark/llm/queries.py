@@ -4,10 +4,10 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, html_text, media, packing, simhash, url_filter
+from . import exact_dedup, html_text, langid, media, packing, resampling, simhash, url_filter
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -64,6 +64,28 @@ from parts left join fit using (r)
 """
 
 
+def op3_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Importance weight, sampling key and selection of every document; target: labelled quality 1."""
+    docs = _table(spark, sf_dir, "documents")
+    return resampling.resample(docs, resampling.fit(docs, _table(spark, sf_dir, "labels")), keep=["doc_id"])
+
+
+def held_out() -> Column:
+    return F.crc32(F.col("doc_id").cast("string")) % 4 == 2
+
+
+def language_model(docs: DataFrame) -> langid.Model:
+    import public_tokenizers as known
+
+    return langid.fit(docs, langid.public_pieces(known.path("piece_bpe_32k.model")), train=~held_out())
+
+
+def op4_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Language of every document by a model of those that are not held out."""
+    docs = _table(spark, sf_dir, "documents")
+    return langid.predict(docs, language_model(docs), keep=["doc_id"]).select("doc_id", held_out().alias("held_out"), "lang_pred", "score")
+
+
 def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Fingerprint and near-duplicate group of every document."""
     rows = simhash.near_groups(_table(spark, sf_dir, "documents"), size=4, distance=4)
@@ -89,7 +111,7 @@ def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (op1_exact_dedup, op2_url_filter, op5_simhash, op7_media, op8_packing, op10_html)
+    own = (op1_exact_dedup, op2_url_filter, op3_quality, op4_language, op5_simhash, op7_media, op8_packing, op10_html)
     return {f.__name__: f for f in own}
 
 
