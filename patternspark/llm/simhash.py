@@ -2,7 +2,7 @@
 
 Fingerprints are cut into k blocks; two that differ in at most d bits agree on at least k - d blocks, so they share a
 key in one of C(k, d) tables. Equal fingerprints are merged first, so copies never meet each other. A table's key with
-few fingerprints is compared inside one record; the record gives a spanning star of each linked part, not its pairs.
+few fingerprints is compared inside one record; the record gives a spanning tree of each linked part, not its pairs.
 A key with more fingerprints than ``most`` takes an exact linear way instead: two fingerprints differ in at most d
 bits just when flipping at most d/2 bits of either (d is even) can give the same word, so each
 fingerprint is listed under every word that near (2081 for d = 4) and those that share a word are linked in a star.
@@ -50,12 +50,24 @@ def fingerprint(text: str | None, size: int = 4) -> int:
     return int(np.packbits(2 * ones > n, bitorder="little").view("<u8")[0])
 
 
-def fingerprints(docs: DataFrame, *, size: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def word_fingerprint(text: str | None, least: int = 5) -> int:
+    """The same majority over the distinct words of at least ``least`` bytes (all words if there are none such)."""
+    ws = set(words(text or ""))
+    ws = {w for w in ws if len(w) >= least} or ws
+    if not ws:
+        return 0
+    h = np.array([xxhash.xxh64_intdigest(w, SEED) for w in ws], dtype="<u8")
+    ones = np.unpackbits(h.view("u1").reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    return int(np.packbits(2 * ones > len(h), bitorder="little").view("<u8")[0])
+
+
+def fingerprints(docs: DataFrame, *, size: int = 4, id_col: str = "doc_id", text_col: str = "text", of_words: bool = False) -> DataFrame:
     """``id, fp`` (64 bits as a signed long) of every row."""
+    one = word_fingerprint if of_words else lambda t: fingerprint(t, size)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fps = np.array([fingerprint(t, size) for t in b.column(1).to_pylist()], dtype="<u8")
+            fps = np.array([one(t) for t in b.column(1).to_pylist()], dtype="<u8")
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view("<i8"), pa.int64())], names=["id", "fp"])
 
     return docs.select(id_col, text_col).mapInArrow(run, f"id {dict(docs.dtypes)[id_col]}, fp long")
@@ -77,20 +89,28 @@ def blocks_for(n: int, distance: int, per_row: float = 4.0) -> int:
 
 
 def _linked(fps: np.ndarray, distance: int) -> list[tuple[int, int]]:
-    """Star edges (least, other) of the parts that single links of at most ``distance`` bits make of ``fps``."""
+    """A spanning tree (each edge a link of at most ``distance`` bits) of each part that such links make of ``fps``.
+
+    A tree starts at the fingerprint nearest to the bitwise majority, so copies of one text hang on it directly.
+    """
     if len(fps) == 2:
         a, b = int(fps[0]), int(fps[1])
-        return [(min(a, b), max(a, b))] if ((a ^ b) & (2**64 - 1)).bit_count() <= distance else []
-    rest, out = np.sort(fps), []
+        return [(a, b)] if ((a ^ b) & (2**64 - 1)).bit_count() <= distance else []
+    fps = np.sort(fps)
+    ones = np.unpackbits(fps.view("u1").reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    middle = np.packbits(2 * ones > len(fps), bitorder="little").view("<i8")
+    rest = fps[np.argsort(np.bitwise_count((fps ^ middle).view("<u8")), kind="stable")]
+    out = []
     while len(rest) > 1:
-        root, rest = rest[0], rest[1:]
-        todo = [root]
-        while todo and len(rest):
-            near = np.bitwise_count((rest ^ todo.pop()).view("<u8")) <= distance
+        todo, rest = [rest[0]], rest[1:]
+        for node in todo:
+            if not len(rest):
+                break
+            near = np.bitwise_count((rest ^ node).view("<u8")) <= distance
             if near.any():
                 found, rest = rest[near], rest[~near]
-                out += [(int(root), int(x)) for x in found]
-                todo += list(found)
+                out += [(int(node), x) for x in found.tolist()]
+                todo.extend(found)
     return out
 
 
@@ -102,8 +122,13 @@ def near_words(distance: int) -> np.ndarray:
     return np.array(out, dtype="<u8").view("<i8")
 
 
-def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None = None, most: int = 2048) -> DataFrame:
-    """Links ``a, b`` between distinct fingerprints ``fp`` that connect just those within ``distance`` bits, by chains."""
+def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None = None, most: int = 2048, reach: int | None = None) -> DataFrame:
+    """Links ``a, b`` between distinct fingerprints ``fp`` that connect just those within ``distance`` bits, by chains.
+
+    With a ``reach`` over ``distance``, pairs that share a key are linked up to that many bits: all within
+    ``distance`` and, beyond, those that happen to share one.
+    """
+    reach = max(distance, reach or 0)
     if distance % 2:
         raise ValueError("the linear way for crowded keys needs an even distance")
     fps = cut(fps.select("fp").distinct(), "fps")
@@ -119,7 +144,7 @@ def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None =
             lists, found = b.column(0), set()
             flat, at = lists.values.to_numpy(zero_copy_only=False), lists.offsets.to_numpy()
             for lo, hi in zip(at[:-1].tolist(), at[1:].tolist()):
-                found.update(_linked(flat[lo:hi], distance))
+                found.update(_linked(flat[lo:hi], reach))
             yield pa.RecordBatch.from_arrays([pa.array([e[i] for e in found], pa.int64()) for i in (0, 1)], names=["a", "b"])
 
     links = light.mapInArrow(compare, "a long, b long")
@@ -151,3 +176,51 @@ def near_groups(docs: DataFrame, *, size: int = 4, distance: int = 4, blocks: in
     named = least.join(labels.withColumnRenamed("node", "fp"), "fp", "left").withColumn("label", F.coalesce("label", "fp"))
     ids = named.groupBy("label").agg(F.min("least").alias("component_id"))
     return fps.join(named.select("fp", "label").join(ids, "label").select("fp", "component_id"), "fp", "left").select("id", "fp", "component_id")
+
+
+def jaccard(a: list[int], b: list[int]) -> float:
+    a, b = set(a), set(b)
+    return len(a & b) / len(a | b) if a or b else 1.0
+
+
+def shingle_set(text: str | None, size: int = 5) -> list[int]:
+    """Hashes (signed) of the distinct shingles; those of a shorter text: one of all its words."""
+    ws = words(text or "")
+    found = {xxhash.xxh64_intdigest(b" ".join(ws[i:i + size]), SEED) for i in range(max(1, len(ws) - size + 1))} if ws else set()
+    return np.array(sorted(found), dtype="<u8").view("<i8").tolist()
+
+
+def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, distance: int = 5, reach: int = 8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``id, component_id`` of ids that have a near copy: links are pairs of at least ``similarity`` on word shingles.
+
+    Candidates come from SimHash fingerprints of the distinct longer words, which stay within a few bits where a few
+    words of a text change (shingle fingerprints of the same pairs differ by ten bits and more): spanning trees of
+    links of at most ``reach`` bits over pigeonhole blocks that find all pairs within ``distance``. Each link is then
+    held against the exact Jaccard similarity of ``size``-word shingles. Rows of one id count as one document. Null
+    text counts as empty; texts without words are near copies of each other. An empty table gives an empty result.
+    """
+    fps = cut(fingerprints(docs, id_col=id_col, text_col=text_col, of_words=True).distinct(), "word-fingerprints")
+    least = fps.groupBy("fp").agg(F.min("id").alias("least"))
+    same = fps.join(least, "fp").where("id <> least").select(F.col("least").alias("a"), F.col("id").alias("b"))
+    links = fingerprint_links(fps, distance=distance + distance % 2, blocks=7 if fps.count() < 1 << 22 else None, reach=reach)
+    across = links.join(least.select(F.col("fp").alias("a"), F.col("least").alias("x")), "a").join(least.select(F.col("fp").alias("b"), F.col("least").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
+    pairs = cut(same.union(across).where("a <> b").distinct(), "candidates")
+    named = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+
+    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingle_set(t, size) for t in b.column(1).to_pylist()], pa.list_(pa.int64()))], names=["id", "s"])
+
+    own = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(named, "id", "left_semi")
+    own = own.mapInArrow(sets, f"id {dict(docs.dtypes)[id_col]}, s array<long>")
+    joined = pairs.join(own.select(F.col("id").alias("a"), F.col("s").alias("sa")), "a").join(own.select(F.col("id").alias("b"), F.col("s").alias("sb")), "b")
+    both, either = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
+    kept = joined.where((either == 0) | (both >= similarity * (either - both))).select("a", "b")
+    return components(kept).select(F.col("node").alias("id"), F.col("label").alias("component_id"))
+
+
+def drop_near_copies(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **params) -> DataFrame:
+    """``docs`` without the rows of ids that are a near copy of a smaller id; columns unchanged."""
+    found = near_copies(docs, id_col=id_col, text_col=text_col, **params)
+    gone = cut(found.where("component_id <> id").select(F.col("id").alias("_gone")), "near-copies")
+    return docs.join(gone, docs[id_col] == gone["_gone"], "left_anti")
