@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, html_text, langid, media, packing, resampling, simhash, url_filter
+from . import exact_dedup, html_text, langid, licenses, media, packing, pieces, resampling, simhash, url_filter
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -92,6 +92,13 @@ def op5_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op6_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The four best segmentations of every document."""
+    import public_tokenizers as known
+
+    return pieces.segment_documents(_table(spark, sf_dir, "documents"), known.path("piece_bpe_32k.model"), n=4).withColumnRenamed("id", "doc_id")
+
+
 def op7_media(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every text stored as a baseline JPEG and read back."""
     return media.media_columns(_table(spark, sf_dir, "documents")).withColumnRenamed("id", "doc_id")
@@ -105,13 +112,23 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(pieces, packing.Capacity(tokens=1024)).withColumnRenamed("id", "doc_id")
 
 
+def op9_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Licences of ``documents`` as files ``source/lang/doc_id`` of a tree.
+
+    The table has no paths and no licence files: a document of at most 400 characters that carries a notice (mostly
+    the notice, then) speaks for its directory.
+    """
+    docs = _table(spark, sf_dir, "documents").withColumn("path", F.concat_ws("/", "source", "lang", F.col("doc_id").cast("string")))
+    return licenses.scan(docs, id_col="doc_id", license_file=F.coalesce(F.char_length("text") <= 400, F.lit(False))).withColumnRenamed("id", "doc_id")
+
+
 def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Main text of every page."""
     return html_text.extract(_table(spark, sf_dir, "pages")).withColumnRenamed("id", "page_id")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = (op1_exact_dedup, op2_url_filter, op3_quality, op4_language, op5_simhash, op7_media, op8_packing, op10_html)
+    own = (op1_exact_dedup, op2_url_filter, op3_quality, op4_language, op5_simhash, op6_sentencepiece, op7_media, op8_packing, op9_licenses, op10_html)
     return {f.__name__: f for f in own}
 
 
