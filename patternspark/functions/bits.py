@@ -18,6 +18,11 @@ def is_wide(n: int) -> bool:
     return n > WORD
 
 
+def shift(value: Column, by: Column | int) -> Column:
+    """``value << by`` with a column on either side."""
+    return F.call_function("shiftleft", value, by if isinstance(by, Column) else F.lit(by))
+
+
 def words_of(mask: int, n: int) -> list[int]:
     return [(mask >> (WORD * k)) & ((1 << WORD) - 1) for k in range(max(1, -(-n // WORD)))]
 
@@ -92,8 +97,8 @@ def submasks(mask: Column) -> Column:
     """ARRAY<BIGINT> of all non-empty subsets of a one-word mask of at most 20 items."""
     # the k-th subset spreads the bits of k over the items of the mask
     ids = items_of(mask, WORD)
-    count = F.shiftleft(F.lit(1).cast("long"), F.size(ids)) - 1
-    spread = lambda k: F.aggregate(F.transform(ids, lambda item, at: F.shiftleft(F.getbit(k, at).cast("long"), item)), F.lit(0).cast("long"), lambda a, x: a.bitwiseOR(x))
+    count = shift(F.lit(1).cast("long"), F.size(ids)) - 1
+    spread = lambda k: F.aggregate(F.transform(ids, lambda item, at: shift(F.getbit(k, at).cast("long"), item)), F.lit(0).cast("long"), lambda a, x: a.bitwiseOR(x))
     return F.transform(F.sequence(F.lit(1).cast("long"), count), spread)
 
 

@@ -13,7 +13,7 @@ from .measure import support
 def _neighbours(masks: DataFrame, n: int, add: bool) -> DataFrame:
     """``mask, other``: each itemset with one item more or less."""
     ids = F.sequence(F.lit(0), F.lit(n - 1))
-    bit = F.shiftleft(F.lit(1).cast("long"), F.col("k"))
+    bit = bits.shift(F.lit(1).cast("long"), F.col("k"))
     out = masks.select("*", F.explode(ids).alias("k")).where((F.getbit("mask", F.col("k")) == 0) if add else (F.getbit("mask", F.col("k")) == 1))
     return out.withColumn("other", F.col("mask").bitwiseXOR(bit)).drop("k")
 
