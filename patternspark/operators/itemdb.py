@@ -81,6 +81,7 @@ def build_item_db(tx: DataFrame, *, theta: float | int | None = None, alphabet:
     spark = tx.sparkSession
     arrays = "items" in tx.columns
     long = tx.select("tid", F.explode(F.array_distinct("items")).alias("item")) if arrays else tx.select("tid", "item").distinct()
+    long = long.where(F.col("item").isNotNull())
     m = tx.count() if arrays else tx.select("tid").distinct().count()
     if alphabet is None:
         counted = _counts(long, absolute(theta, m) if theta is not None else 1)
