@@ -66,6 +66,10 @@ def escape(text: str) -> str:
     return MARK + text.replace(" ", MARK)
 
 
+def unescape(text: str) -> str:
+    return text.removeprefix(MARK).replace(MARK, " ")
+
+
 def segments(escaped: str) -> list[str]:
     return _SEGMENT.findall(escaped)
 
@@ -73,14 +77,15 @@ def segments(escaped: str) -> list[str]:
 class Segmenter:
     def __init__(self, model: PieceModel):
         self.model = model
-        self.known: dict[str, tuple[bytes, float, float]] = {}  # ids as little-endian 32-bit words, score, loss
+        # ids as little-endian 32-bit words, score, loss to the second best, and what the ids read back as
+        self.known: dict[str, tuple[bytes, float, float, str]] = {}
         self.number = {p: (float(s), int(i).to_bytes(4, "little")) for p, s, i in zip(model.pieces, model.scores, model.ids)}
         self.longest = model.vocabulary.longest
 
     def learn(self, strings: list[str]) -> None:
         """Best ids, score and loss to the second best of each new distinct segment."""
         model = self.model
-        fresh = [s for s in dict.fromkeys(strings) if s not in self.known]
+        fresh = list(set(strings).difference(self.known))
         for ids, codes in by_length(fresh):
             found = model.vocabulary.match(codes)
             n, length = codes.shape
@@ -89,18 +94,26 @@ class Segmenter:
             edge = lambda size, i: single[:, i] if size == 1 else np.where(found[size - 1][:, i] >= 0, model.scores[found[size - 1][:, i]], -np.inf)
             forward, back = np.full((length + 1, n), -np.inf), np.zeros((length + 1, n), dtype=np.int64)
             forward[0] = 0.0
+            piece = np.full((length + 1, n), -1, dtype=np.int64)  # the piece that ends at j on the best path, -1: bytes
             for j in range(1, length + 1):
                 for size in range(1, min(len(found), j) + 1):
                     score = forward[j - size] + edge(size, j - size)
-                    better = score > forward[j]
-                    forward[j], back[j] = np.where(better, score, forward[j]), np.where(better, size, back[j])
+                    better = np.flatnonzero(score > forward[j])
+                    forward[j, better], back[j, better], piece[j, better] = score[better], size, found[size - 1][better, j - size]
             rest = np.full((length + 1, n), -np.inf)
             rest[length] = 0.0
             on_best = np.zeros((length + 1, n), dtype=bool)
-            at = np.full(n, length)
-            while (at > 0).any():
-                on_best[at, np.arange(n)] = True
-                at = np.where(at > 0, at - back[at, np.arange(n)], 0)
+            at, who, used = np.full(n, length), np.arange(n), np.zeros(n, dtype=np.int64)
+            packed, plain = np.zeros((n, length), dtype="<u4"), np.ones(n, dtype=bool)
+            while len(who):  # ids from the right
+                here = at[who]
+                on_best[here, who] = True
+                p = piece[here, who]
+                plain[who[p < 0]] = False
+                used[who] += 1
+                packed[who, length - used[who]] = model.ids[p]
+                at[who] -= back[here, who]
+                who = who[at[who] > 0]
             second = np.full(n, -np.inf)
             for i in range(length - 1, -1, -1):
                 for size in range(1, min(len(found), length - i) + 1):
@@ -109,15 +122,17 @@ class Segmenter:
                     taken = on_best[i + size] & (back[i + size] == size)  # the best path's own edge
                     second = np.maximum(second, np.where(taken, -np.inf, forward[i] + score))
             best, gap = forward[length].tolist(), (forward[length] - second).tolist()
-            steps = back.T.tolist()
             for r, k in enumerate(ids.tolist()):
-                path, j, own, sizes = [], length, fresh[k], steps[r]
-                while j > 0:
-                    piece = self.number.get(own[j - sizes[j]:j])
-                    path.append(piece[1] if piece else self._bytes(own[j - 1]))
-                    j -= sizes[j]
-                path.reverse()
-                self.known[own] = (b"".join(path), best[r], gap[r])
+                own = fresh[k]
+                if plain[r]:
+                    row = packed[r, length - used[r]:]
+                else:  # some character is spelled in bytes
+                    path, j = [], length
+                    while j > 0:
+                        path.append(self.number[own[j - back[j, r]:j]][1] if piece[j, r] >= 0 else self._bytes(own[j - 1]))
+                        j -= back[j, r]
+                    row = np.frombuffer(b"".join(reversed(path)), dtype="<u4")
+                self.known[own] = (row.tobytes(), best[r], gap[r], self.read(row.tolist()))
 
     def _bytes(self, char: str) -> bytes:
         return np.array([self.model.bytes_at[x] for x in char.encode("utf-8", "surrogatepass")], dtype="<u4").tobytes()
@@ -150,14 +165,17 @@ class Segmenter:
     def encode_packed(self, text: str, n: int = 1) -> list[tuple[float, bytes]]:
         """The n best (score, ids as little-endian 32-bit words) of a text, best first; fewer if it has fewer."""
         parts = segments(escape(text))
+        self.learn(parts)
+        return self.combine(parts, n)[0]
+
+    def combine(self, parts: list[str], n: int) -> tuple[list[tuple[float, bytes]], str]:
+        """The n best of a text given as known segments, and the text that the best one's ids read back as."""
         known = self.known
-        if any(p not in known for p in parts):
-            self.learn(parts)
-        own = [known[p] for p in parts]
-        ids, scores, losses = map(list, zip(*own))
+        ids, scores, losses, read = map(list, zip(*[known[p] for p in parts]))
         total = sum(scores)
+        back = unescape("".join(read))
         if n == 1:
-            return [(total, b"".join(ids))]
+            return [(total, b"".join(ids))], back
         some = [k for k in heapq.nsmallest(n - 1, range(len(parts)), key=losses.__getitem__) if losses[k] < np.inf]
         choices = {k: self.best_of(parts[k], n) for k in some}
         # combine: pop the best vector of choices, push those that take one more step in one segment
@@ -173,16 +191,20 @@ class Segmenter:
                 if at[j] + 1 < len(choices[k]) and nxt not in seen:
                     seen.add(nxt)
                     heapq.heappush(heap, (sum(choices[x][0][0] - choices[x][y][0] for x, y in zip(some, nxt)), nxt))
-        return out
+        return out, back
 
     def encode(self, text: str, n: int = 1) -> list[tuple[float, list[int]]]:
         return [(score, np.frombuffer(ids, dtype="<u4").tolist()) for score, ids in self.encode_packed(text, n)]
 
     def decode(self, ids: list[int]) -> str:
         """The text that ids stand for."""
+        return unescape(self.read(ids))
+
+    def read(self, ids: list[int]) -> str:
+        """The escaped text that ids stand for."""
         text_of = self.model.text_of
         try:
-            return "".join([text_of[i] for i in ids]).removeprefix(MARK).replace(MARK, " ")
+            return "".join([text_of[i] for i in ids])
         except KeyError:  # bytes of longer characters
             pass
         out, raw = [], bytearray()
@@ -196,7 +218,7 @@ class Segmenter:
             out.append(self.model.text_of[i])
         if raw:
             out.append(raw.decode("utf-8", "surrogatepass"))
-        return "".join(out).removeprefix(MARK).replace(MARK, " ")
+        return "".join(out)
 
 
 SCHEMA = "id {id}, n_pieces long, ids_crc32 long, score double, nbest_scores array<double>, nbest_crc32 array<long>, round_trip boolean"
@@ -223,11 +245,12 @@ def segment_documents(docs: DataFrame, model_path: str, *, n: int = 4, id_col: s
                 part, lo = texts[lo:hi], hi
                 if len(own.known) > _MEMO:
                     own.known.clear()
-                own.learn([s for t in part for s in segments(escape(t))])
-                for t in part:
-                    best = own.encode_packed(t, n)
-                    first, crcs = best[0][1], [zlib.crc32(i) for _, i in best]
-                    rows.append((len(first) // 4, crcs[0], round(best[0][0], 4), [round(s, 4) for s, _ in best], crcs, own.decode(np.frombuffer(first, dtype="<u4").tolist()) == t))
+                cut_up = [segments(escape(t)) for t in part]
+                own.learn([s for parts in cut_up for s in parts])
+                for t, parts in zip(part, cut_up):
+                    best, back = own.combine(parts, n)
+                    crcs = [zlib.crc32(i) for _, i in best]
+                    rows.append((len(best[0][1]) // 4, crcs[0], round(best[0][0], 4), [round(s, 4) for s, _ in best], crcs, back == t))
             kinds = [pa.int64(), pa.int64(), pa.float64(), pa.list_(pa.float64()), pa.list_(pa.int64()), pa.bool_()]
             yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds))], names=["id", "n_pieces", "ids_crc32", "score", "nbest_scores", "nbest_crc32", "round_trip"])
 
