@@ -31,7 +31,10 @@ def content_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     """
     if keep not in ("smallest", "largest"):
         raise ValueError(f"keep: {keep}")
-    norm: Column = normalise(F.coalesce(F.col(text_col).cast("string"), F.lit("")))
+    def plain(text: Column) -> Column:
+        return normalise(F.coalesce(text.cast("string"), F.lit("")))
+
+    norm = plain(F.col(text_col))
     row = F.struct(*[F.col(c) for c in payload]) if payload else F.lit(None).cast("int")
     base = docs.select(F.col(id_col).alias("id"), norm.alias("norm"), row.alias("row")).withColumn("h", F.xxhash64("norm"))
     if hot_rows is None:
@@ -43,7 +46,11 @@ def content_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
         .withColumn("pre", F.substring(F.col("norm").cast("binary"), 1, PREFIX))
         .drop("salts")
     )
-    spread = salted.repartitionByRange(partitions, "pre", "h", "salt") if partitions else salted.repartitionByRange("pre", "h", "salt")
+    again = bool(payload) and text_col in payload  # a row that has the text itself need not carry it twice
+    moved = salted.drop("norm") if again else salted
+    spread = moved.repartitionByRange(partitions, "pre", "h", "salt") if partitions else moved.repartitionByRange("pre", "h", "salt")
+    if again:
+        spread = spread.withColumn("norm", plain(F.col("row")[text_col]))
     best = F.max if keep == "largest" else F.min
     # The range partitioning already clusters (pre, h, salt, norm): no second exchange, only the external sort.
     order = Window.partitionBy("pre", "h", "salt", "norm").orderBy(F.col("id").desc() if keep == "largest" else F.col("id").asc())
