@@ -122,17 +122,16 @@ def near_words(distance: int) -> np.ndarray:
     return np.array(out, dtype="<u8").view("<i8")
 
 
-def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None = None, most: int = 2048, reach: int | None = None) -> DataFrame:
+def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None = None, most: int = 2048, reach: int | None = None, per_row: float = 4.0) -> DataFrame:
     """Links ``a, b`` between distinct fingerprints ``fp`` that connect just those within ``distance`` bits, by chains.
 
     With a ``reach`` over ``distance``, pairs that share a key are linked up to that many bits: all within
-    ``distance`` and, beyond, those that happen to share one.
+    ``distance`` and, beyond, those that happen to share one. The linear way of crowded keys is exact for an even
+    ``distance``; for an odd one it links up to one bit less.
     """
     reach = max(distance, reach or 0)
-    if distance % 2:
-        raise ValueError("the linear way for crowded keys needs an even distance")
     fps = cut(fps.select("fp").distinct(), "fps")
-    masks = block_masks(blocks or blocks_for(fps.count(), distance), distance)
+    masks = block_masks(blocks or blocks_for(fps.count(), distance, per_row), distance)
     signed = [m - 2**64 if m >= 2**63 else m for m in masks]
     keyed = fps.select("fp", F.explode(F.array(*[F.struct(F.lit(j).alias("j"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for j, m in enumerate(signed)])).alias("t")).select("fp", "t.j", "t.key")
     counts = keyed.groupBy("j", "key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
@@ -202,7 +201,7 @@ def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, dist
     fps = cut(fingerprints(docs, id_col=id_col, text_col=text_col, of_words=True).distinct(), "word-fingerprints")
     least = fps.groupBy("fp").agg(F.min("id").alias("least"))
     same = fps.join(least, "fp").where("id <> least").select(F.col("least").alias("a"), F.col("id").alias("b"))
-    links = fingerprint_links(fps, distance=distance + distance % 2, blocks=7 if fps.count() < 1 << 22 else None, reach=reach)
+    links = fingerprint_links(fps, distance=distance, reach=reach, per_row=64.0)
     across = links.join(least.select(F.col("fp").alias("a"), F.col("least").alias("x")), "a").join(least.select(F.col("fp").alias("b"), F.col("least").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
     pairs = cut(same.union(across).where("a <> b").distinct(), "candidates")
     named = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
