@@ -42,6 +42,9 @@ CUES = frozenset(
 )
 COMMENT_CUES = frozenset("comment comments commentlist reply replies respond disqus discussion".split())
 KEEPERS = frozenset("html body main article".split())
+#: A class that only says what a layout has beside its content, and words that make a header the article's own.
+BESIDE = frozenset("with has no without".split())
+OWN = frozenset("article post entry content story body main text page-title title headline".split())
 _WORDS = re.compile(r"[A-Z]?[a-z]+|[A-Z]+|\d+")
 _PUNCT = re.compile(r"[.,;:!?…、。，¿¡]")
 _HIDDEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
@@ -51,7 +54,19 @@ def _attrs(raw: str) -> dict[str, str]:
     return {k.lower(): entities.unescape(v.strip("\"'")) for k, v in reversed(_ATTR.findall(raw))} if raw and not raw.isspace() else {}
 
 
-def _dropped(tag: str, raw: str, inside_content: bool) -> bool:
+def _cued(names: str) -> set[str]:
+    """Cue words among class and id names."""
+    out = set()
+    for name in names.split():
+        words = {w.lower() for w in _WORDS.findall(name)} | {w for w in name.lower().split("_") if w}
+        if words & BESIDE:
+            continue
+        found = words & CUES
+        out |= found - {"header"} if words & OWN else found
+    return out
+
+
+def _dropped(tag: str, raw: str, inside_content: bool, cues: bool = True) -> bool:
     if tag in DROP:
         return True
     if tag == "header" and not inside_content:
@@ -63,14 +78,19 @@ def _dropped(tag: str, raw: str, inside_content: bool) -> bool:
         return True
     if a.get("role", "").lower() in ROLES:
         return True
-    names = {w.lower() for w in _WORDS.findall(f"{a.get('class', '')} {a.get('id', '')}")} | {w for w in re.split(r"[\s_]+", f"{a.get('class', '')} {a.get('id', '')}".lower()) if w}
+    if not cues:
+        return False
+    found = _cued(f"{a.get('class', '')} {a.get('id', '')}")
     if tag in KEEPERS:
-        return tag == "article" and bool(names & COMMENT_CUES)
-    return bool(names & CUES)
+        return tag == "article" and bool(found & COMMENT_CUES)
+    return bool(found)
+
 
+def blocks(page: str, cues: bool = True) -> list[tuple[tuple[int, ...], str, str]]:
+    """(element numbers from the root, tag path, text) of each block of text that is not boilerplate, in page order.
 
-def blocks(page: str) -> list[tuple[tuple[int, ...], str, str]]:
-    """(element numbers from the root, tag path, text) of each block of text that is not boilerplate, in page order."""
+    Without ``cues``, class and id names are not looked at.
+    """
     out: list[tuple[tuple[int, ...], str, str]] = []
     stack: list[tuple[str, int, bool, bool]] = []  # tag, number, dropped, inside article or main
     text: list[str] = []
@@ -133,7 +153,7 @@ def blocks(page: str) -> list[tuple[tuple[int, ...], str, str]]:
                 continue
             count += 1
             inside = bool(stack and stack[-1][3]) or name in ("article", "main")
-            drop = gone or _dropped(name, raw, bool(stack and stack[-1][3]))
+            drop = gone or _dropped(name, raw, bool(stack and stack[-1][3]), cues)
             if drop and not gone:
                 flush() if name not in INLINE else None
             stack.append((name, count, drop, inside))
@@ -171,6 +191,9 @@ def main_text(page: str | None, *, spread: float = 0.8, share: float = 0.9) -> s
     if not page:
         return ""
     found = blocks(page)
+    marked = re.search(r"<(article|main)[\s>]", page, re.I) is not None
+    if marked and not any("article" in path.split("/") or "main" in path.split("/") for _, path, _ in found) and (again := blocks(page, False)):
+        found = again  # a name above the article was misread: go by elements and roles alone
     if not found:
         return ""
     marked = [i for i, (_, path, _) in enumerate(found) if "article" in path.split("/") or "main" in path.split("/")]

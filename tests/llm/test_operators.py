@@ -521,3 +521,12 @@ def test_html_edges(spark):
     assert [got[i].text for i in range(6)] == ["", "", "plain text", "a b", "", html.unescape("é<b>&unknown;")]
     assert got[6].n_chars == len("word, word. ") * 20_000 - 1
     assert html_text.extract(df.limit(0)).count() == 0
+
+
+def test_html_layout_classes():
+    page = """<body><div class="layout has-sidebar"><div id="main-nav"><a>m</a></div><div class="article-header"><h1>Own, title</h1></div><article class="post"><p>First, text.</p>
+    <div class="post-comments"><p>Reader, says.</p></div><div class="share-buttons">Share</div><p>Last, text.</p></article><div class="sidebar-right"><p>Side, bar.</p></div></div></body>"""
+    assert html_text.main_text(page) == "First, text. Last, text."
+    assert html_text.main_text('<body class="x"><div class="widget-area"><article><p>Inside, still.</p></article></div></body>') == "Inside, still."
+    long_ = "".join(f"<p>Paragraph {i}, long enough, with words.</p>" for i in range(5))
+    assert html_text.main_text(f'<body><div class="content-with-sidebar"><div class="post-header"><h1>Head</h1></div>{long_}</div><div class="sidebar">no, no</div></body>').startswith("Head Paragraph 0")
