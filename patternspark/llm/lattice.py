@@ -12,7 +12,7 @@ from collections import defaultdict
 import numpy as np
 
 _BASE = np.uint64(0x9E3779B97F4A7C15)
-_BITS = 22
+_BITS = 20
 
 
 class Vocabulary:

@@ -79,6 +79,7 @@ class Segmenter:
         self.model = model
         # ids as little-endian 32-bit words, score, loss to the second best, and what the ids read back as
         self.known: dict[str, tuple[bytes, float, float, str]] = {}
+        self.searched: dict[tuple[str, int], list[tuple[float, bytes]]] = {}  # what A-star has found
         self.number = {p: (float(s), int(i).to_bytes(4, "little")) for p, s, i in zip(model.pieces, model.scores, model.ids)}
         self.longest = model.vocabulary.longest
 
@@ -90,16 +91,33 @@ class Segmenter:
             found = model.vocabulary.match(codes)
             n, length = codes.shape
             own_bytes = 1 + (codes >= 0x80).astype(np.int64) + (codes >= 0x800) + (codes >= 0x10000)
-            single = np.where(found[0] >= 0, model.scores[found[0]], own_bytes * model.byte_score)
-            edge = lambda size, i: single[:, i] if size == 1 else np.where(found[size - 1][:, i] >= 0, model.scores[found[size - 1][:, i]], -np.inf)
+            # hits[size - 1][i]: (rows with a piece of that size at i, its number, its score)
+            hits = []
+            for size, f in enumerate(found, 1):
+                turned = np.ascontiguousarray(f.T)
+                if size == 1:
+                    score = np.where(turned >= 0, model.scores[turned], own_bytes.T * model.byte_score)
+                    hits.append([(slice(None), turned[i], score[i]) for i in range(length)])
+                    continue
+                at, rows = np.nonzero(turned >= 0)
+                number = turned[at, rows]
+                score, cuts = model.scores[number], np.searchsorted(at, np.arange(len(turned) + 1))
+                hits.append([(rows[x:y], number[x:y], score[x:y]) if y > x else None for x, y in zip(cuts[:-1].tolist(), cuts[1:].tolist())])
             forward, back = np.full((length + 1, n), -np.inf), np.zeros((length + 1, n), dtype=np.int64)
             forward[0] = 0.0
             piece = np.full((length + 1, n), -1, dtype=np.int64)  # the piece that ends at j on the best path, -1: bytes
             for j in range(1, length + 1):
                 for size in range(1, min(len(found), j) + 1):
-                    score = forward[j - size] + edge(size, j - size)
-                    better = np.flatnonzero(score > forward[j])
-                    forward[j, better], back[j, better], piece[j, better] = score[better], size, found[size - 1][better, j - size]
+                    if (hit := hits[size - 1][j - size]) is None:
+                        continue
+                    rows, number, score = hit
+                    score = forward[j - size, rows] + score
+                    if size == 1:
+                        forward[j], back[j], piece[j] = score, 1, number
+                        continue
+                    better = score > forward[j, rows]
+                    rows = rows[better]
+                    forward[j, rows], back[j, rows], piece[j, rows] = score[better], size, number[better]
             rest = np.full((length + 1, n), -np.inf)
             rest[length] = 0.0
             on_best = np.zeros((length + 1, n), dtype=bool)
@@ -117,10 +135,13 @@ class Segmenter:
             second = np.full(n, -np.inf)
             for i in range(length - 1, -1, -1):
                 for size in range(1, min(len(found), length - i) + 1):
-                    score = edge(size, i) + rest[i + size]
-                    rest[i] = np.maximum(rest[i], score)
-                    taken = on_best[i + size] & (back[i + size] == size)  # the best path's own edge
-                    second = np.maximum(second, np.where(taken, -np.inf, forward[i] + score))
+                    if (hit := hits[size - 1][i]) is None:
+                        continue
+                    rows, _, score = hit
+                    score = score + rest[i + size, rows]
+                    rest[i, rows] = np.maximum(rest[i, rows], score)
+                    taken = on_best[i + size, rows] & (back[i + size, rows] == size)  # the best path's own edge
+                    second[rows] = np.maximum(second[rows], np.where(taken, -np.inf, forward[i, rows] + score))
             best, gap = forward[length].tolist(), (forward[length] - second).tolist()
             for r, k in enumerate(ids.tolist()):
                 own = fresh[k]
@@ -177,7 +198,10 @@ class Segmenter:
         if n == 1:
             return [(total, b"".join(ids))], back
         some = [k for k in heapq.nsmallest(n - 1, range(len(parts)), key=losses.__getitem__) if losses[k] < np.inf]
-        choices = {k: self.best_of(parts[k], n) for k in some}
+        for k in some:
+            if (parts[k], n) not in self.searched:
+                self.searched[parts[k], n] = self.best_of(parts[k], n)
+        choices = {k: self.searched[parts[k], n] for k in some}
         # combine: pop the best vector of choices, push those that take one more step in one segment
         start = tuple(0 for _ in some)
         heap, seen, out = [(0.0, start)], {start}, []
@@ -245,6 +269,7 @@ def segment_documents(docs: DataFrame, model_path: str, *, n: int = 4, id_col: s
                 part, lo = texts[lo:hi], hi
                 if len(own.known) > _MEMO:
                     own.known.clear()
+                    own.searched.clear()
                 cut_up = [segments(escape(t)) for t in part]
                 own.learn([s for parts in cut_up for s in parts])
                 for t, parts in zip(part, cut_up):
