@@ -25,6 +25,8 @@ from .graph import components
 
 BITS = 64
 SEED = 42
+#: Ids of dropped documents are broadcast up to this many (8 bytes each), and joined by shuffle beyond.
+BROADCAST_IDS = 1_000_000
 
 
 def words(text: str) -> list[bytes]:
@@ -122,7 +124,7 @@ def near_words(distance: int) -> np.ndarray:
     return np.array(out, dtype="<u8").view("<i8")
 
 
-def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None = None, most: int = 2048, reach: int | None = None, per_row: float = 4.0) -> DataFrame:
+def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None = None, most: int = 2048, reach: int | None = None) -> DataFrame:
     """Links ``a, b`` between distinct fingerprints ``fp`` that connect just those within ``distance`` bits, by chains.
 
     With a ``reach`` over ``distance``, pairs that share a key are linked up to that many bits: all within
@@ -131,7 +133,7 @@ def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None =
     """
     reach = max(distance, reach or 0)
     fps = cut(fps.select("fp").distinct(), "fps")
-    masks = block_masks(blocks or blocks_for(fps.count(), distance, per_row), distance)
+    masks = block_masks(blocks or blocks_for(fps.count(), distance), distance)
     signed = [m - 2**64 if m >= 2**63 else m for m in masks]
     keyed = fps.select("fp", F.explode(F.array(*[F.struct(F.lit(j).alias("j"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for j, m in enumerate(signed)])).alias("t")).select("fp", "t.j", "t.key")
     counts = keyed.groupBy("j", "key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
@@ -201,7 +203,9 @@ def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, dist
     fps = cut(fingerprints(docs, id_col=id_col, text_col=text_col, of_words=True).distinct(), "word-fingerprints")
     least = fps.groupBy("fp").agg(F.min("id").alias("least"))
     same = fps.join(least, "fp").where("id <> least").select(F.col("least").alias("a"), F.col("id").alias("b"))
-    links = fingerprint_links(fps, distance=distance, reach=reach, per_row=64.0)
+    # at least three whole blocks a key at every size, so that tables and chance partners grow alike
+    blocks = max(distance + 3, blocks_for(fps.count(), distance, 64.0))
+    links = fingerprint_links(fps, distance=distance, reach=reach, blocks=blocks)
     across = links.join(least.select(F.col("fp").alias("a"), F.col("least").alias("x")), "a").join(least.select(F.col("fp").alias("b"), F.col("least").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
     pairs = cut(same.union(across).where("a <> b").distinct(), "candidates")
     named = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
@@ -222,4 +226,6 @@ def drop_near_copies(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     """``docs`` without the rows of ids that are a near copy of a smaller id; columns unchanged."""
     found = near_copies(docs, id_col=id_col, text_col=text_col, **params)
     gone = cut(found.where("component_id <> id").select(F.col("id").alias("_gone")), "near-copies")
-    return docs.join(gone, docs[id_col] == gone["_gone"], "left_anti")
+    if gone.count() <= BROADCAST_IDS:  # a few MB: the texts then stay where they are
+        gone = F.broadcast(gone)
+    return docs.join(gone, F.col(id_col) == F.col("_gone"), "left_anti")
