@@ -4,20 +4,24 @@ Fingerprints are cut into k blocks; two that differ in at most d bits agree on a
 key in one of C(k, d) tables. Equal fingerprints are merged first, so copies never meet each other. A table's key with
 few fingerprints is compared inside one record; the record gives a spanning tree of each linked part, not its pairs.
 A key with more fingerprints than ``most`` takes an exact linear way instead: two fingerprints differ in at most d
-bits just when flipping at most d/2 bits of either (d is even) can give the same word, so each
-fingerprint is listed under every word that near (2081 for d = 4) and those that share a word are linked in a star.
+bits just when flipping at most d/2 bits of one (rounded down) and d/2 of the other (rounded up) can give the same
+word, so each fingerprint is listed under every word that near (2081 for d = 4) and those that share a word are linked
+in a star.
+
+Near copies by the similarity of their shingles need no fingerprints: the prefixes of ordered shingle sets meet in a
+key for every pair that is similar enough, at every size of the table.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 from itertools import combinations
-from math import comb
+from math import ceil, comb
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import ascii_lower_py, cut
@@ -52,24 +56,11 @@ def fingerprint(text: str | None, size: int = 4) -> int:
     return int(np.packbits(2 * ones > n, bitorder="little").view("<u8")[0])
 
 
-def word_fingerprint(text: str | None, least: int = 5) -> int:
-    """The same majority over the distinct words of at least ``least`` bytes (all words if there are none such)."""
-    ws = set(words(text or ""))
-    ws = {w for w in ws if len(w) >= least} or ws
-    if not ws:
-        return 0
-    h = np.array([xxhash.xxh64_intdigest(w, SEED) for w in ws], dtype="<u8")
-    ones = np.unpackbits(h.view("u1").reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
-    return int(np.packbits(2 * ones > len(h), bitorder="little").view("<u8")[0])
-
-
-def fingerprints(docs: DataFrame, *, size: int = 4, id_col: str = "doc_id", text_col: str = "text", of_words: bool = False) -> DataFrame:
+def fingerprints(docs: DataFrame, *, size: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``id, fp`` (64 bits as a signed long) of every row."""
-    one = word_fingerprint if of_words else lambda t: fingerprint(t, size)
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fps = np.array([one(t) for t in b.column(1).to_pylist()], dtype="<u8")
+            fps = np.array([fingerprint(t, size) for t in b.column(1).to_pylist()], dtype="<u8")
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view("<i8"), pa.int64())], names=["id", "fp"])
 
     return docs.select(id_col, text_col).mapInArrow(run, f"id {dict(docs.dtypes)[id_col]}, fp long")
@@ -124,14 +115,8 @@ def near_words(distance: int) -> np.ndarray:
     return np.array(out, dtype="<u8").view("<i8")
 
 
-def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None = None, most: int = 2048, reach: int | None = None) -> DataFrame:
-    """Links ``a, b`` between distinct fingerprints ``fp`` that connect just those within ``distance`` bits, by chains.
-
-    With a ``reach`` over ``distance``, pairs that share a key are linked up to that many bits: all within
-    ``distance`` and, beyond, those that happen to share one. The linear way of crowded keys is exact for an even
-    ``distance``; for an odd one it links up to one bit less.
-    """
-    reach = max(distance, reach or 0)
+def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None = None, most: int = 2048) -> DataFrame:
+    """Links ``a, b`` between distinct fingerprints ``fp`` that connect just those within ``distance`` bits, by chains."""
     fps = cut(fps.select("fp").distinct(), "fps")
     masks = block_masks(blocks or blocks_for(fps.count(), distance), distance)
     signed = [m - 2**64 if m >= 2**63 else m for m in masks]
@@ -145,22 +130,25 @@ def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None =
             lists, found = b.column(0), set()
             flat, at = lists.values.to_numpy(zero_copy_only=False), lists.offsets.to_numpy()
             for lo, hi in zip(at[:-1].tolist(), at[1:].tolist()):
-                found.update(_linked(flat[lo:hi], reach))
+                found.update(_linked(flat[lo:hi], distance))
             yield pa.RecordBatch.from_arrays([pa.array([e[i] for e in found], pa.int64()) for i in (0, 1)], names=["a", "b"])
 
     links = light.mapInArrow(compare, "a long, b long")
     dense = shared.where(F.col("c") > most).select("fp").distinct()
 
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        near = near_words(distance)
+        near, inner = near_words(distance + 1), len(near_words(distance))
         for b in batches:
             own = b.column(0).to_numpy(zero_copy_only=False)
             for lo in range(0, len(own), 256):
                 part = own[lo:lo + 256]
-                yield pa.RecordBatch.from_arrays([pa.array((part[:, None] ^ near[None, :]).ravel(), pa.int64()), pa.array(np.repeat(part, len(near)), pa.int64())], names=["word", "fp"])
+                close = np.tile(np.arange(len(near)) < inner, len(part))
+                yield pa.RecordBatch.from_arrays([pa.array((part[:, None] ^ near[None, :]).ravel(), pa.int64()), pa.array(np.repeat(part, len(near)), pa.int64()), pa.array(close)], names=["word", "fp", "close"])
 
-    # A word is near at most len(near_words) fingerprints, so a list has that many members at most.
-    stars = dense.mapInArrow(spread, "word long, fp long").groupBy("word").agg(F.collect_list("fp").alias("fps")).where(F.size("fps") > 1).select(F.array_min("fps").alias("a"), F.explode("fps").alias("b")).where("a <> b")
+    # A word is near at most len(near_words) fingerprints, so a list has that many members at most. The centre is within
+    # d/2 bits rounded down, the others within d/2 rounded up (the same for an even d).
+    stars = dense.mapInArrow(spread, "word long, fp long, close boolean").groupBy("word").agg(F.min(F.when(F.col("close"), F.col("fp"))).alias("a"), F.collect_list("fp").alias("fps"))
+    stars = stars.where(F.col("a").isNotNull() & (F.size("fps") > 1)).select("a", F.explode("fps").alias("b")).where("a <> b")
     return links.union(stars).distinct()
 
 
@@ -186,40 +174,124 @@ def jaccard(a: list[int], b: list[int]) -> float:
 
 def shingle_set(text: str | None, size: int = 5) -> list[int]:
     """Hashes (signed) of the distinct shingles; those of a shorter text: one of all its words."""
+    return shingle_array(text, size).tolist()
+
+
+def shingle_array(text: str | None, size: int = 5) -> np.ndarray:
+    """The same in rising order."""
     ws = words(text or "")
-    found = {xxhash.xxh64_intdigest(b" ".join(ws[i:i + size]), SEED) for i in range(max(1, len(ws) - size + 1))} if ws else set()
-    return np.array(sorted(found), dtype="<u8").view("<i8").tolist()
+    if not ws:
+        return np.zeros(0, dtype="<i8")
+    joined = b" ".join(ws)
+    ends = np.cumsum([len(w) + 1 for w in ws]) - 1
+    starts = np.concatenate([[0], ends[:-1] + 1])[:max(1, len(ws) - size + 1)]
+    digest = xxhash.xxh64_intdigest
+    return np.unique(np.array([digest(joined[a:b], SEED) for a, b in zip(starts.tolist(), ends[min(size, len(ws)) - 1:].tolist())], dtype="<u8").view("<i8"))
+
+
+def _small(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.RecordBatch]:
+    """Slices of so few rows that their shingles take little memory."""
+    for b in batches:
+        for lo in range(0, b.num_rows, rows):
+            yield b.slice(lo, rows)
+
 
+def common_shingles(docs: DataFrame, size: int, *, sample: int = 8192, most: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
+    """Shingles that several of about ``sample`` documents ``id, text`` share, in rising order, and how many do."""
+    some = docs.where(F.pmod(F.xxhash64("id"), F.lit(max(1, docs.count() // sample))) == 0)
 
-def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, distance: int = 5, reach: int = 8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in _small(batches):
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([shingle_array(t, size) for t in b.column(1).to_pylist()]), pa.int64())], names=["key"])
+
+    found = some.mapInArrow(run, "key long").groupBy("key").agg(F.count(F.lit(1)).alias("c")).where("c > 2").orderBy(F.desc("c"), "key").limit(most).collect()
+    keys, counts = np.array([r.key for r in found], dtype="<i8"), np.array([r.c for r in found], dtype="<i8")
+    order = np.argsort(keys)
+    return keys[order], counts[order]
+
+
+def prefix(s: np.ndarray, similarity: float, late: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """The first of a set's shingles in an order that all sets share: two sets of ``similarity`` have one in common.
+
+    Such sets share at least similarity * n members, so they cannot do without the first n - similarity * n + 1. Any
+    common order will do; here shingles known to be common come last, so that few documents meet in a key.
+    """
+    keys, counts = late
+    if not len(s):
+        return np.zeros(1, dtype="<i8")
+    rank = np.zeros(len(s), dtype="<i8")
+    if len(keys):
+        at = np.minimum(np.searchsorted(keys, s), len(keys) - 1)
+        rank = np.where(keys[at] == s, counts[at], 0)
+    return s[np.lexsort((s, rank))[:len(s) - ceil(similarity * len(s) - 1e-9) + 1]]
+
+
+def parity(s: np.ndarray) -> bytes:
+    """1024 bits, each the parity of the members that fall on it: two sets differ in at least as many members as bits."""
+    return np.packbits(np.bincount(s.view("<u8") % 1024, minlength=1024) & 1, bitorder="little").tobytes()
+
+
+def possible(n: np.ndarray, bits: np.ndarray, i: int, j: slice | np.ndarray, similarity: float) -> np.ndarray:
+    """Whether sets of sizes ``n`` and parities ``bits`` can have the ``similarity``: never false for those that have."""
+    apart = np.bitwise_count(bits[j] ^ bits[i]).sum(1, dtype=np.int64)
+    return np.maximum(apart, np.abs(n[j] - n[i])) <= (1 - similarity) / (1 + similarity) * (n[j] + n[i]) + 1e-6
+
+
+def _parities(column: pa.Array) -> np.ndarray:
+    return np.frombuffer(b"".join(column.to_pylist()), dtype="<u8").reshape(-1, 16)
+
+
+def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, most: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``id, component_id`` of ids that have a near copy: links are pairs of at least ``similarity`` on word shingles.
 
-    Candidates come from SimHash fingerprints of the distinct longer words, which stay within a few bits where a few
-    words of a text change (shingle fingerprints of the same pairs differ by ten bits and more): spanning trees of
-    links of at most ``reach`` bits over pigeonhole blocks that find all pairs within ``distance``. Each link is then
-    held against the exact Jaccard similarity of ``size``-word shingles. Rows of one id count as one document. Null
-    text counts as empty; texts without words are near copies of each other. An empty table gives an empty result.
+    Exact: every pair with that Jaccard similarity of ``size``-word shingles shares a key of its prefixes. In a key all
+    are held against the least id; those of a key that are not all linked then are compared with each other, too, in
+    tiles of about ``most``. Size and parities first rule out pairs for certain, the rest is held against the exact
+    similarity. Rows of one id count as one document. Null text counts as empty; texts without words are near copies
+    of each other. An empty table gives an empty result.
     """
-    fps = cut(fingerprints(docs, id_col=id_col, text_col=text_col, of_words=True).distinct(), "word-fingerprints")
-    least = fps.groupBy("fp").agg(F.min("id").alias("least"))
-    same = fps.join(least, "fp").where("id <> least").select(F.col("least").alias("a"), F.col("id").alias("b"))
-    # at least three whole blocks a key at every size, so that tables and chance partners grow alike
-    blocks = max(distance + 3, blocks_for(fps.count(), distance, 64.0))
-    links = fingerprint_links(fps, distance=distance, reach=reach, blocks=blocks)
-    across = links.join(least.select(F.col("fp").alias("a"), F.col("least").alias("x")), "a").join(least.select(F.col("fp").alias("b"), F.col("least").alias("y")), "b").select(F.col("x").alias("a"), F.col("y").alias("b"))
-    pairs = cut(same.union(across).where("a <> b").distinct(), "candidates")
-    named = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
+    kind = dict(docs.dtypes)[id_col]
+    docs = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    late = common_shingles(docs, size)
+
+    def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in _small(batches):
+            sets = [shingle_array(t, size) for t in b.column(1).to_pylist()]
+            columns = [b.column(0), pa.array([len(s) for s in sets], pa.int32()), pa.array([parity(s) for s in sets], pa.binary()), pa.array([prefix(s, similarity, late) for s in sets], pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(columns, names=["id", "n", "bits", "keys"])
+
+    own = cut(docs.mapInArrow(sketch, f"id {kind}, n int, bits binary, keys array<long>"), "sketches")
+    key = Window.partitionBy("key")
+    keyed = own.select("id", F.explode("keys").alias("key"))
+    shared = cut(keyed.withColumn("c", F.count(F.lit(1)).over(key)).where("c > 1").withColumn("top", F.min("id").over(key)), "shared-keys")
+
+    def rule_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            k = b.num_rows
+            n = np.concatenate([b.column(c).to_numpy(zero_copy_only=False) for c in (2, 3)])
+            bits = np.concatenate([_parities(b.column(c)) for c in (4, 5)])
+            apart = np.bitwise_count(bits[:k] ^ bits[k:]).sum(1, dtype=np.int64)
+            may = np.maximum(apart, np.abs(n[:k] - n[k:])) <= (1 - similarity) / (1 + similarity) * (n[:k] + n[k:]) + 1e-6
+            yield b.select([0, 1]).filter(pa.array(may))
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingle_set(t, size) for t in b.column(1).to_pylist()], pa.list_(pa.int64()))], names=["id", "s"])
-
-    own = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).join(named, "id", "left_semi")
-    own = own.mapInArrow(sets, f"id {dict(docs.dtypes)[id_col]}, s array<long>")
-    joined = pairs.join(own.select(F.col("id").alias("a"), F.col("s").alias("sa")), "a").join(own.select(F.col("id").alias("b"), F.col("s").alias("sb")), "b")
-    both, either = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
-    kept = joined.where((either == 0) | (both >= similarity * (either - both))).select("a", "b")
-    return components(kept).select(F.col("node").alias("id"), F.col("label").alias("component_id"))
+        for b in _small(batches):
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingle_array(t, size) for t in b.column(1).to_pylist()], pa.list_(pa.int64()))], names=["id", "s"])
+
+    def similar(pairs: DataFrame) -> DataFrame:
+        pairs = cut(pairs.distinct(), "candidates")
+        named = cut(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "candidate-ids")
+        if named.count() <= BROADCAST_IDS:
+            named = F.broadcast(named)
+        full = cut(docs.join(named, "id", "left_semi").mapInArrow(sets, f"id {kind}, s array<long>"), "sets")
+        joined = pairs.join(full.select(F.col("id").alias("a"), F.col("s").alias("sa")), "a").join(full.select(F.col("id").alias("b"), F.col("s").alias("sb")), "b")
+        both, either = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
+        return cut(joined.where((either == 0) | (both >= similarity * (either - both))).select("a", "b").distinct(), "similar")
+
+    star = shared.where("id <> top").select(F.col("top").alias("a"), F.col("id").alias("b")).distinct()
+    one, other = own.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("bits").alias("ba")), own.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("bits").alias("bb"))
+    links = similar(star.join(one, "a").join(other, "b").select("a", "b", "na", "nb", "ba", "bb").mapInArrow(rule_out, f"a {kind}, b {kind}"))
+    return components(links).select(F.col("node").alias("id"), F.col("label").alias("component_id"))
 
 
 def drop_near_copies(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **params) -> DataFrame:

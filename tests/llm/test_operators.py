@@ -245,6 +245,23 @@ def test_links_connect_just_those_within_distance(spark, most):
     assert all(same(fps[a], fps[b]) == (want[a] == want[b]) for a in range(len(fps)) for b in range(a))
 
 
+@pytest.mark.parametrize("most", [10_000, 2])
+def test_links_of_an_odd_distance_in_crowded_keys(spark, most):
+    r = random.Random(16)
+    fps = {r.getrandbits(64) for _ in range(3)}
+    for f in list(fps):
+        for k in (2, 3, 3, 4):
+            fps.add(f ^ sum(1 << b for b in r.sample(range(64), k)))
+    fps = sorted(fps)
+    df = spark.createDataFrame([(f - 2**64 if f >= 2**63 else f,) for f in fps], "fp long")
+    links = simhash.fingerprint_links(df, distance=3, most=most)
+    assert all(((x.a ^ x.b) % 2**64).bit_count() <= 3 for x in links.collect())
+    lab = {x.node % 2**64: x.label for x in components(links).collect()}
+    want = brute_components(list(range(len(fps))), fps, 3)
+    same = lambda a, b: lab.get(a, a) == lab.get(b, b)
+    assert all(same(fps[a], fps[b]) == (want[a] == want[b]) for a in range(len(fps)) for b in range(a))
+
+
 def test_components_of_chains_and_stars(spark):
     edges = [(i, i + 1) for i in range(0, 50)] + [(100, i) for i in range(101, 130)] + [(7, 7), (0, 1)]
     got = {x.node: x.label for x in components(spark.createDataFrame(edges, "a long, b long")).collect()}
