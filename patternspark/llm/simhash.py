@@ -291,6 +291,29 @@ def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, most
     star = shared.where("id <> top").select(F.col("top").alias("a"), F.col("id").alias("b")).distinct()
     one, other = own.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("bits").alias("ba")), own.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("bits").alias("bb"))
     links = similar(star.join(one, "a").join(other, "b").select("a", "b", "na", "nb", "ba", "bb").mapInArrow(rule_out, f"a {kind}, b {kind}"))
+    # the least id of a key is settled; of the others, those that are not linked yet
+    left = shared.where("c > 2 and id <> top").select("key", "id").distinct()
+    left = left.join(cut(components(links), "labels"), F.col("id") == F.col("node"), "left").select("key", "id", F.coalesce("label", "id").alias("label"))
+    mixed = left.groupBy("key").agg(F.count(F.lit(1)).alias("m"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key", F.ceil(F.col("m") / most).cast("int").alias("tiles"))
+    tiled = left.join(mixed, "key").withColumn("tile", F.pmod(F.hash("id"), "tiles")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
+    groups = tiled.join(own.select("id", "n", "bits"), "id").groupBy("key", F.least("tile", "other"), F.greatest("tile", "other")).agg(F.collect_list(F.struct("id", "label", "n", "tile", "bits")).alias("members"))
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            lists, found = b.column(0), set()
+            at = lists.offsets.to_numpy()
+            for lo, hi in zip(at[:-1].tolist(), at[1:].tolist()):
+                part = lists.values.slice(lo, hi - lo).flatten()
+                ids, label, n, tile = (c.to_numpy(zero_copy_only=False) for c in part[:4])
+                bits, whole = _parities(part[4]), len(np.unique(tile)) == 1
+                for i in range(len(ids) - 1):
+                    j = np.arange(i + 1, len(ids))
+                    j = j[(label[j] != label[i]) & (whole | (tile[j] != tile[i]))]
+                    j = j[possible(n, bits, i, j, similarity)]
+                    found.update((min(x, y), max(x, y)) for x, y in zip([ids[i]] * len(j), ids[j].tolist()))
+            yield pa.RecordBatch.from_arrays([pa.array([e[k] for e in found], lists.type.value_type.field(0).type) for k in (0, 1)], names=["a", "b"])
+
+    links = links.union(similar(groups.select("members").mapInArrow(compare, f"a {kind}, b {kind}")))
     return components(links).select(F.col("node").alias("id"), F.col("label").alias("component_id"))
 
 

@@ -279,6 +279,32 @@ def test_near_copies(spark):
     assert simhash.drop_near_copies(table(spark, [])).count() == 0
 
 
+def near_pairs(texts, similarity=0.8):
+    sets = [simhash.shingle_set(t, 5) for t in texts]
+    return [(a, b) for b in range(len(texts)) for a in range(b) if simhash.jaccard(sets[a], sets[b]) >= similarity]
+
+
+def least_linked(pairs):
+    up = {}
+    for a, b in pairs:
+        up.setdefault(a, a), up.setdefault(b, b)
+    for _ in up:
+        for a, b in pairs:
+            up[a] = up[b] = min(up[a], up[b])
+    return up
+
+
+@pytest.mark.parametrize("most", [2048, 2])
+def test_near_copies_beside_others_of_the_same_words(spark, most):
+    r = random.Random(17)
+    texts = []
+    for _ in range(12):  # lesser ids have all words of the last two, or a half of their passages
+        x = random_words(r, 120).split()
+        texts += [" ".join(z) for z in (sorted(x), x[:62], x[58:], x, [*x[:119], "end"])]
+    got = {x.id: x.component_id for x in simhash.near_copies(table(spark, texts), most=most).collect()}
+    assert got == least_linked(near_pairs(texts)) and got
+
+
 # pieces
 
 
