@@ -305,6 +305,21 @@ def test_near_copies_beside_others_of_the_same_words(spark, most):
     assert got == least_linked(near_pairs(texts)) and got
 
 
+def test_near_copies_by_brute_force(spark):
+    r = random.Random(18)
+    texts = []
+    for n in (3, 5, 8, 14, 25, 40, 80, 160, 320):
+        for _ in range(6):
+            x = random_words(r, n).split()
+            texts.append(" ".join(x))
+            for share in (0.01, 0.02, 0.03, 0.05):
+                texts.append(" ".join("".join(r.choices("abcdefghij", k=9)) if r.random() < share else w for w in x))
+    r.shuffle(texts)
+    pairs = near_pairs(texts)
+    got = {x.id: x.component_id for x in simhash.near_copies(table(spark, texts)).collect()}
+    assert got == least_linked(pairs) and len(pairs) > 50
+
+
 # pieces
 
 
