@@ -4,13 +4,14 @@ A page becomes its text blocks with their root-to-leaf tag paths. Parts that are
 class (menus, headers, footers, sidebars, notices, adverts, forms, comments, scripts, styles) leave first. Of the rest,
 each path gathers text length, punctuation and number of blocks. Two ratios per path (text per block, punctuation per
 block) are laid along the page's blocks, smoothed, fused by their product, and thresholded at a share of their spread.
-The blocks above name the content region: the deepest element that holds nearly all of their weight. Its blocks are
-the result, short ones such as headings included.
+The blocks above name the content region: the deepest element that holds all of them and the headings right before
+them. Its blocks are the result, short ones included. Within an article or main element nothing else is left out.
 """
 
 from __future__ import annotations
 
 import html as entities
+import os.path
 import re
 from collections import defaultdict
 from collections.abc import Iterator
@@ -26,6 +27,9 @@ VOID = frozenset("area base br col embed hr img input link meta param source tra
 RAW = frozenset("script style textarea title xmp iframe noembed noframes plaintext".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark nobr q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
 SPACE = frozenset(["br"])
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+# Elements that are a part of a text and not the whole of it.
+PARTS = HEADINGS | frozenset("p li ul ol dl dt dd table thead tbody tfoot tr blockquote pre section figure hgroup".split())
 # A start tag (key) ends an open element (values) of the same parent when the end tag was left out.
 CLOSES = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "body": {"head"}}
 ENDS_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre search section table ul".split())
@@ -182,11 +186,11 @@ def path_scores(found: list[tuple[tuple[int, ...], str, str]], radius: int = 1)
     return smooth(ratio) * smooth(punct)
 
 
-def main_text(page: str | None, *, spread: float = 0.8, share: float = 0.9) -> str:
+def main_text(page: str | None, *, spread: float = 0.8) -> str:
     """The page's article; empty if there is none.
 
-    ``spread``: blocks count as content from this share of the scores' standard deviation on. ``share``: the region is
-    the deepest element that holds this share of the content blocks' text.
+    In an article or main element that is all but boilerplate. ``spread``: elsewhere, blocks count as content from
+    this share of the scores' standard deviation on, and the region is what holds them and their headings.
     """
     if not page:
         return ""
@@ -196,24 +200,20 @@ def main_text(page: str | None, *, spread: float = 0.8, share: float = 0.9) -> s
         found = again  # a name above the article was misread: go by elements and roles alone
     if not found:
         return ""
-    marked = [i for i, (_, path, _) in enumerate(found) if "article" in path.split("/") or "main" in path.split("/")]
-    if marked and len(marked) < len(found):
-        found = [found[i] for i in marked]
+    marked = [x for x in found if "article" in x[1].split("/") or "main" in x[1].split("/")]
+    if marked:
+        return " ".join(x[2] for x in marked)
     scores = path_scores(found)
     level = spread * float(scores.std())
-    picked = np.flatnonzero(scores >= min(level, scores.max()))
-    weight: dict[tuple[int, ...], int] = defaultdict(int)
-    for i in picked:
-        ids = found[i][0]
-        for k in range(len(ids) + 1):
-            weight[ids[:k]] += len(found[i][2])
-    all_weight = weight[()]
-    region = max((ids for ids, w in weight.items() if w >= share * all_weight), key=len)
-    own = [x for x in found if x[0][:len(region)] == region]
-    # a region that is itself one block among siblings (a lone paragraph under its heading) widens to their parent
-    if len({x[0] for x in own}) == 1 and len(region) > 0 and found[int(picked[0])][1].rsplit("/", 1)[-1] in ("p", "h1", "h2", "h3", "h4", "h5", "h6", "li", "blockquote", "pre"):
-        own = [x for x in found if x[0][:len(region) - 1] == region[:-1]]
-    return " ".join(x[2] for x in own)
+    picked = np.flatnonzero(scores >= min(level, scores.max())).tolist()
+    first = picked[0]
+    while first and found[first - 1][1].rsplit("/", 1)[-1] in HEADINGS:
+        first -= 1
+    region = os.path.commonprefix([found[i][0] for i in (first, *picked)])
+    tags = found[first][1].split("/")
+    while region and tags[len(region) - 1] in PARTS:  # what is said beside a part belongs to it
+        region = region[:-1]
+    return " ".join(x[2] for x in found if x[0][:len(region)] == region)
 
 
 def extract(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:

@@ -572,6 +572,17 @@ def test_html_without_article_element():
     assert html_text.main_text("<html><body><h1>Hi</h1><p>Only one, short.</p></body>") == "Hi Only one, short."
 
 
+def test_html_nested_sections_are_whole():
+    long_ = "A long paragraph, with marks, and words. " * 20
+    text = long_.strip()
+    assert html_text.main_text(f"<article><h1>Title</h1><div><p>{long_}</p><p>{long_}</p></div></article>") == f"Title {text} {text}"
+    assert html_text.main_text(f"<body><main><section><p>{long_ * 19}</p></section><section><p>{long_}</p></section></main></body>") == " ".join([text] * 20)
+    rows = "".join(f"<tr><td>{long_}</td></tr>" for _ in range(3))
+    assert html_text.main_text(f"<body><div class=menu>m</div><div id=content><p>Intro.</p><table>{rows}</table></div></body>") == f"Intro. {text} {text} {text}"
+    assert html_text.main_text(f"<body><h1>Title</h1><div><p>{long_}</p><p>{long_}</p></div></body>") == f"Title {text} {text}"
+    assert html_text.main_text(f"<body><div><div><p>{long_ * 10}</p></div><div><p>{long_}</p></div></div></body>") == " ".join([text] * 11)
+
+
 def test_html_edges(spark):
     pages = [None, "", "plain text", "<p>a<p>b", "<div><nav>x</nav></div>", "<p>&#233;&lt;b&gt;&unknown;</p>", "<article>" + "<p>word, word.</p>" * 20_000 + "</article>", "<<>><p"]
     df = spark.createDataFrame([(i, "u", p, "clash") for i, p in enumerate(pages)], "page_id long, url string, html string, text string")
