@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from ..functions import bits
 from .itemdb import ItemDB
 from .measure import support
+from .solver import OutOfBudget
 
 
 def grow_round(db: ItemDB, frontier: DataFrame, minsup: int) -> DataFrame:
@@ -28,8 +29,12 @@ def grow_round(db: ItemDB, frontier: DataFrame, minsup: int) -> DataFrame:
     return frontier.join(F.broadcast(grown), "seed", "left").select("seed", F.coalesce("to", "mask").alias("mask"), F.col("to").isNotNull().alias("grown"))
 
 
-def mine_growing_frontier(db: ItemDB, minsup: int, *, seeds: int = 256, max_rounds: int = 1000) -> tuple[DataFrame, dict[str, int]]:
-    """Maximal frequent itemsets (``mask, sup``) and counters. The driver holds the border (the answer) and seeds only."""
+def mine_growing_frontier(db: ItemDB, minsup: int, *, seeds: int = 256, max_rounds: int | None = None) -> tuple[DataFrame, dict[str, int]]:
+    """Maximal frequent itemsets (``mask, sup``) and counters. The driver holds the border (the answer) and seeds only.
+
+    A round adds an item to every open set, so the rounds end by themselves; if ``max_rounds`` is set and they are spent
+    before that, OutOfBudget is raised and there is no border.
+    """
     if bits.is_wide(db.n):
         raise ValueError("frontier rounds work on one-word masks")
     spark, n, full = db.spark, db.n, (1 << db.n) - 1
@@ -42,7 +47,9 @@ def mine_growing_frontier(db: ItemDB, minsup: int, *, seeds: int = 256, max_roun
         frontier = [(i, m) for i, m in enumerate(dict.fromkeys(open_))]
         stats["seeds"] += len(frontier)
         done: list[int] = []
-        while frontier and stats["rounds"] < max_rounds:
+        while frontier:
+            if max_rounds is not None and stats["rounds"] >= max_rounds:
+                raise OutOfBudget("rounds")
             stats["rounds"] += 1
             got = grow_round(db, spark.createDataFrame(frontier, "seed int, mask long"), minsup).collect()
             done += [r.mask for r in got if not r.grown]

@@ -5,7 +5,9 @@ from pyspark.sql import functions as F
 
 from patternspark.functions import bits
 from patternspark.operators import condense, constraints, encode, freqsat, measure
+from patternspark.operators.frontier import mine_growing_frontier
 from patternspark.operators.itemdb import absolute, build_item_db, profile
+from patternspark.operators.solver import OutOfBudget
 from patternspark.plans.advisor import recommend
 from patternspark.plans.mine import Coverage, Frequency, Model, MustContain, is_satisfiable, mine
 from patternspark.sources import databases as D
@@ -193,3 +195,10 @@ def test_plans_stay_native_until_the_kernel(spark, sf):
     plan = db.masks._jdf.queryExecution().toString()
     assert "Python" not in plan and "Pandas" not in plan
     assert "l_comment" not in plan.split("Physical Plan")[1]
+
+
+def test_frontier_rounds_end_with_the_whole_border_or_none(illus):
+    want = {illus.mask(x.split(",")) for x in ("A,N,P", "A,D,H,J", "D,H,J,N", "A,E,G,K,N")}
+    assert {r.mask for r in mine_growing_frontier(illus, 2, seeds=1)[0].collect()} == want
+    with pytest.raises(OutOfBudget):
+        mine_growing_frontier(illus, 2, seeds=1, max_rounds=2)
