@@ -1,9 +1,9 @@
 """Licence scans: sparse TF-IDF cosine to templates, then inheritance from the nearest ancestor directory (native).
 
-Each line of a text that shares an anchor term with a template is a sparse vector of term counts times inverse
-document frequencies, and is held against every template by cosine. Anchors are a template's terms of greatest weight,
-as many as leave the rest below the threshold: a line without any of them cannot reach it, so the filter is exact.
-A file's own licence is that of its best line. A directory's licence is that of its licence file; files without one of
+Each passage of a text (a line, two or three lines in a row, a sentence) that shares an anchor term with a template is
+a sparse vector of term counts times inverse document frequencies, and is held against every template by cosine. Anchors are a template's terms of greatest weight,
+as many as leave the rest below the threshold: a passage without any of them cannot reach it, so the filter is exact.
+A file's own licence is that of its best passage. A directory's licence is that of its licence file; files without one of
 their own inherit from the nearest directory above, by an equi-join of paths.
 """
 
@@ -63,14 +63,22 @@ def _literal_map(values: dict[str, float]) -> Column:
     return F.create_map(*[F.lit(x) for kv in sorted(values.items()) for x in kv])
 
 
+def passages(text: Column) -> Column:
+    """Lines, windows of two and three lines, and sentences over line ends: a notice may be wrapped or follow others."""
+    lines = F.filter(F.split(text, "\n"), lambda x: x.rlike(r"\S"))
+    windows = [F.transform(lines, lambda x, i: F.concat_ws(" ", F.slice(lines, i + 1, F.lit(k)))) for k in (2, 3)]
+    sentences = F.split(F.regexp_replace(text, r"\s+", " "), r"(?<=[.!?;:]) ")
+    return F.array_distinct(F.concat(lines, *windows, sentences))
+
+
 def own_licenses(files: DataFrame, *, id_col: str = "id", text_col: str = "text", templates=TEMPLATES, threshold: float = THRESHOLD) -> DataFrame:
-    """``id, license, cosine`` of each row's best line; null where no line reaches the threshold. Ties: first name."""
+    """``id, license, cosine`` of each row's best passage; null where none reaches the threshold. Ties: first name."""
     idf, rare, vectors = weights(templates)
     any_anchor = r"\b(" + "|".join(anchors(vectors, threshold)) + r")\b"
     table = _literal_map(idf)
     text = F.lower(F.coalesce(F.col(text_col), F.lit("")))
-    # each step is a column of its own, so nothing is computed once per template; a text without an anchor has no lines
-    lined = files.select(F.col(id_col).alias("id"), F.when(text.rlike(any_anchor), F.filter(F.split(text, "\n"), lambda x: x.rlike(any_anchor))).alias("lines"))
+    # each step is a column of its own, so nothing is computed once per template; a text without an anchor has no passages
+    lined = files.select(F.col(id_col).alias("id"), F.when(text.rlike(any_anchor), F.filter(passages(text), lambda x: x.rlike(any_anchor))).alias("lines"))
     terms = lined.select("id", F.transform("lines", lambda x: F.regexp_extract_all(x, F.lit(_TERM), F.lit(0))).alias("terms"))
 
     def weighed(ts: Column) -> Column:

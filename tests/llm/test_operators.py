@@ -554,6 +554,13 @@ def test_license_cosines_match_a_plain_reading(spark):
 # HTML
 
 
+def test_license_in_longer_lines_and_wrapped(spark):
+    texts = ["Copyright 2020 Jane. Released under the MIT License.", "Some Project\nReleased under\nthe MIT License\nsee the docs", "a\n b This work is licensed under the GNU General\nPublic License, version 3. More words follow here, as ever", "Released under no terms."]
+    df = spark.createDataFrame(list(enumerate(texts)), "id long, text string")
+    got = {r.id: r.license for r in licenses.own_licenses(df).collect()}
+    assert got == {0: "MIT", 1: "MIT", 2: "GPL-3.0", 3: None}
+
+
 def test_html_article():
     page = """<!DOCTYPE html><html><head><title>T</title><style>p{}</style><script>var t="</p>";</script></head><body class="page with-sidebar">
     <header><a href=/>Home</a></header><nav><ul><li><a href="/a">Menu</a></ul></nav><!-- no <p>x</p> -->
