@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import ascii_lower, cut
+from .common import ascii_lower, cut, quoted
 
 PREFIX = 24
 #: A key is hot from N / HOT_SHARE rows on, so there are at most HOT_SHARE hot keys to broadcast.
@@ -34,9 +34,9 @@ def content_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "
     def plain(text: Column) -> Column:
         return normalise(F.coalesce(text.cast("string"), F.lit("")))
 
-    norm = plain(F.col(text_col))
-    row = F.struct(*[F.col(c) for c in payload]) if payload else F.lit(None).cast("int")
-    base = docs.select(F.col(id_col).alias("id"), norm.alias("norm"), row.alias("row")).withColumn("h", F.xxhash64("norm"))
+    norm = plain(quoted(text_col))
+    row = F.struct(*[quoted(c) for c in payload]) if payload else F.lit(None).cast("int")
+    base = docs.select(quoted(id_col).alias("id"), norm.alias("norm"), row.alias("row")).withColumn("h", F.xxhash64("norm"))
     if hot_rows is None:
         hot_rows = max(HOT_LEAST, docs.count() // HOT_SHARE)
     hot = base.groupBy("h").agg(F.count(F.lit(1)).alias("c")).where(F.col("c") > hot_rows).select("h", F.ceil(F.col("c") / hot_rows).cast("int").alias("salts"))

@@ -4,8 +4,9 @@ Each language has a probability for every piece of a fixed public vocabulary. A
 its segmentations of the product of their pieces' probabilities (forward algorithm); a text's is the product over its
 words. Piece probabilities are fitted by expectation maximisation over the segmentations of a bounded sample.
 
-Words are runs of letters, lower-cased, with a start mark. A batch's distinct words are scored together, words of one
-length as one matrix, so cost grows with the distinct words and not with Python calls per word.
+Words are runs of letters, lower-cased, with a start mark, whole whatever their length: forward and backward sums are
+rescaled as they grow. A batch's distinct words are scored together, words of one length as one matrix, so cost grows
+with the distinct words and not with Python calls per word.
 """
 
 from __future__ import annotations
@@ -19,19 +20,19 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import cut
+from .common import add_columns, cut, quoted, slices
 from .lattice import Vocabulary, by_length
 
 UND = "und"
 #: Documents per language that a model is fitted on, about; every language has as many or all it has.
 SAMPLE = 400
 ROUNDS = 2
-LONGEST = 6
 SMOOTH = 0.1
 FLOOR = 1e-7
-#: Letters are scaled by this at each step, so that long words stay in range; words over CHUNK letters are cut.
-SCALE, CHUNK = 32.0, 128
+#: Sums are rescaled after so many letters: they stay in range as long as FLOOR to this power does.
+STEP = 16
 _LETTERS = re.compile(r"[^\W\d_]+")
 _MEMO = 200_000
 
@@ -57,52 +58,66 @@ class Model:
     languages: list[str]
     table: np.ndarray
 
-    def _forward(self, codes: np.ndarray):
+    def _edges(self, codes: np.ndarray) -> list[list[tuple[np.ndarray, np.ndarray] | None]]:
+        """``[size - 1][i]``: rows with a piece of that size at i and its number."""
         found = self.vocabulary.match(codes)
         found[0] = np.where(found[0] < 0, len(self.table) - 1, found[0])  # any character may stand alone
-        n, length = codes.shape
-        alpha = np.zeros((length + 1, n, len(self.languages)))
+        out = []
+        for f in found:
+            turned = np.ascontiguousarray(f.T)
+            at, rows = np.nonzero(turned >= 0)
+            piece, cuts = turned[at, rows], np.searchsorted(at, np.arange(len(turned) + 1))
+            out.append([(rows[x:y], piece[x:y]) if y > x else None for x, y in zip(cuts[:-1].tolist(), cuts[1:].tolist())])
+        return out
+
+    def _forward(self, edges: list, n: int, length: int) -> tuple[np.ndarray, np.ndarray]:
+        """Sums over the segmentations of each start: (length + 1, n, languages), and the logs of what they were divided by."""
+        alpha, log = np.zeros((length + 1, n, len(self.languages))), np.zeros((length + 1, n, len(self.languages)))
         alpha[0] = 1.0
         for j in range(1, length + 1):
-            for size in range(1, min(len(found), j) + 1):
-                ids = found[size - 1][:, j - size]
-                rows = np.flatnonzero(ids >= 0)
-                if len(rows):
-                    alpha[j, rows] += alpha[j - size, rows] * self.table[ids[rows]] * SCALE**size
-        return found, alpha
+            log[j] = log[j - 1]
+            for size in range(1, min(len(edges), j) + 1):
+                if hit := edges[size - 1][j - size]:
+                    rows, piece = hit
+                    share = alpha[j - size, rows] * self.table[piece]
+                    if j - size < j // STEP * STEP - 1:  # from before the last rescaling
+                        share *= np.exp(log[j - size, rows] - log[j, rows])
+                    alpha[j, rows] += share
+            if j % STEP == STEP - 1:
+                log[j] += np.log(alpha[j])
+                alpha[j] = 1.0
+        return alpha, log
 
     def log_words(self, strings: list[str]) -> np.ndarray:
         """(words, languages) log probabilities."""
         out = np.zeros((len(strings), len(self.languages)))
-        whole = [i for i, s in enumerate(strings) if len(s) < CHUNK]
-        for ids, codes in by_length(["▁" + strings[i] for i in whole]):
-            _, alpha = self._forward(codes)
-            out[np.array(whole)[ids]] = np.log(alpha[-1]) - codes.shape[1] * np.log(SCALE)
-        for i, s in enumerate(strings):
-            if len(s) >= CHUNK:
-                out[i] = self.log_words([s[k:k + CHUNK - 1] for k in range(0, len(s), CHUNK - 1)]).sum(0)
+        for ids, codes in by_length(["▁" + s for s in strings]):
+            alpha, log = self._forward(self._edges(codes), *codes.shape)
+            out[ids] = np.log(alpha[-1]) + log[-1]
         return out
 
     def expected(self, strings: list[str], weights: np.ndarray, language: int) -> np.ndarray:
         """Expected piece counts of one language's weighted words."""
         total = np.zeros(len(self.table))
         one = Model(self.vocabulary, [self.languages[language]], self.table[:, [language]])
-        for ids, codes in by_length(["▁" + s[:CHUNK - 1] for s in strings]):
-            found, alpha = one._forward(codes)
-            length = codes.shape[1]
-            beta = np.zeros((length + 1, len(codes)))
+        for ids, codes in by_length(["▁" + s for s in strings]):
+            n, length = codes.shape
+            edges = one._edges(codes)
+            alpha, front = (x[:, :, 0] for x in one._forward(edges, n, length))
+            whole = np.log(alpha[-1]) + front[-1]
+            beta, back = np.zeros((length + 1, n)), np.zeros((length + 1, n))
             beta[length] = 1.0
             for i in range(length - 1, -1, -1):
-                for size in range(1, min(len(found), length - i) + 1):
-                    piece = found[size - 1][:, i]
-                    rows = np.flatnonzero(piece >= 0)
-                    beta[i, rows] += one.table[piece[rows], 0] * SCALE**size * beta[i + size, rows]
-            share = weights[ids] / alpha[length, :, 0]
-            for size, piece in enumerate(found, 1):
-                for i in range(piece.shape[1]):
-                    rows = np.flatnonzero(piece[:, i] >= 0)
-                    p = piece[rows, i]
-                    total += np.bincount(p, alpha[i, rows, 0] * one.table[p, 0] * SCALE**size * beta[i + size, rows] * share[rows], minlength=len(total))
+                back[i] = back[i + 1]
+                for size in range(1, min(len(edges), length - i) + 1):
+                    if hit := edges[size - 1][i]:
+                        rows, piece = hit
+                        share = one.table[piece, 0] * beta[i + size, rows]
+                        total += np.bincount(piece, alpha[i, rows] * share * np.exp(front[i, rows] + back[i + size, rows] - whole[rows]) * weights[ids[rows]], minlength=len(total))
+                        beta[i, rows] += share * np.exp(back[i + size, rows] - back[i, rows])
+                if i % STEP == 0:
+                    back[i] += np.log(beta[i])
+                    beta[i] = 1.0
         return total
 
 
@@ -112,19 +127,20 @@ def fit(docs: DataFrame, pieces: list[str], *, id_col: str = "doc_id", text_col:
     Which documents are taken depends on their id's hash alone. A language that no text with letters has is not
     learned. Without training rows the model has no language and every prediction is ``und``.
     """
-    vocabulary = Vocabulary(pieces, LONGEST)
-    known = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull())
+    vocabulary = Vocabulary(pieces)
+    known = docs.where(quoted(lang_col).isNotNull() & quoted(text_col).isNotNull())
     known = known.where(train) if train is not None else known
+    known = known.select(quoted(id_col).alias("id"), quoted(lang_col).alias("lang"), quoted(text_col).alias("text"))
     # One row per language: what is gathered does not grow with the table.
-    share = {r[0]: min(1.0, sample / r[1]) for r in known.groupBy(lang_col).count().collect()}
+    share = {r[0]: min(1.0, sample / r[1]) for r in known.groupBy("lang").count().collect()}
     if not share:
         return Model(vocabulary, [], np.full((len(pieces) + 1, 0), FLOOR))
-    uniform = (F.xxhash64(F.lit(11), F.col(id_col)) / F.lit(2.0**64)) + 0.5
-    limit = F.create_map(*[x for k, v in share.items() for x in (F.lit(k), F.lit(v))])[F.col(lang_col)]
-    picked = known.where(uniform <= limit).select(F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
+    uniform = (F.xxhash64(F.lit(11), F.col("id")) / F.lit(2.0**64)) + 0.5
+    limit = F.create_map(*[x for k, v in share.items() for x in (F.lit(k), F.lit(v))])[F.col("lang")]
+    picked = known.where(uniform <= limit).select("lang", "text")
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (part for whole in batches for part in slices(whole, 1)):
             counts: Counter = Counter()
             for lang, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 counts.update((lang, w) for w in words(text))
@@ -201,19 +217,18 @@ def predict(docs: DataFrame, model: Model, *, text_col: str = "text", keep: list
     """The columns ``keep`` (default: all) and ``lang_pred``, ``score`` (the language's posterior under equal priors).
 
     Null texts and texts without a letter give ``und`` and 0. Ties go to the first language by name. Texts are read
-    whole. Input columns called ``lang_pred`` or ``score`` are replaced.
+    whole. Input columns called ``lang_pred`` or ``score`` are replaced. An empty table gives an empty result.
     """
     shipped = docs.sparkSession.sparkContext.broadcast(model)
-    keep = [c for c in (docs.columns if keep is None else keep) if c not in ("lang_pred", "score")]
-    plain = docs.select(*keep, F.col(text_col).alias("_text"))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def make():
         scorer = Scorer(shipped.value)
-        for b in batches:
-            langs, scores = scorer.predict(b.column(len(keep)).to_pylist())
-            yield pa.RecordBatch.from_arrays([*b.columns[:len(keep)], pa.array(langs, pa.string()), pa.array(scores, pa.float64())], names=[*keep, "lang_pred", "score"])
 
-    from pyspark.sql import types as T
+        def work(texts: list[str | None]) -> list[pa.Array]:
+            langs, scores = scorer.predict(texts)
+            return [pa.array(langs, pa.string()), pa.array(scores, pa.float64())]
 
-    schema = T.StructType([*plain.select(*keep).schema.fields, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
-    return plain.mapInArrow(run, schema)
+        return work
+
+    keep = [c for c in (docs.columns if keep is None else keep) if c not in ("lang_pred", "score")]
+    return add_columns(docs, make, [("lang_pred", T.StringType()), ("score", T.DoubleType())], text_col=text_col, keep=keep)

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, slices
 
 BUCKET = 16384
 PIECES = "id {id}, piece int, start long, length long, ids_crc32 long"
@@ -74,7 +74,7 @@ def token_pieces(docs: DataFrame, tokenizer_path: str, *, ranks_path: str | None
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = Encoder(tokenizer_path, ranks_path, pattern)
         end = np.array([end_id], dtype="<u4")
-        for b in batches:
+        for b in (part for whole in batches for part in slices(whole, 1)):
             row, piece, start, length, crc = [], [], [], [], []
             for i, text in enumerate(b.column(1).to_pylist()):
                 ids = np.concatenate([enc.ids(text or ""), end])

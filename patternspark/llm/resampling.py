@@ -1,16 +1,18 @@
 """Quality selection by importance resampling.
 
-Two generative models over hashed n-grams, one of target text (labelled good), one of the raw corpus; a text's weight
-is the ratio of its probabilities under them, per n-gram so that length does not decide. Gumbel noise on the weights
-and the k largest keys draw k documents without replacement in proportion to the weights.
+Two generative models over hashed n-grams, one of target text (labelled good), one of the raw corpus; a text's
+importance weight is the ratio of its probabilities under them. Standard Gumbel noise on the log weights and the k
+largest keys draw k documents without replacement, each next one in proportion to the weights of those that are left.
 
 N-grams are tokens (runs of letters and digits, or of punctuation; case matters) and pairs of neighbours. A pair is
-hashed by the difference of its tokens' hashes, so all immediate repetitions share one bucket. Hashing is vectorised
-over the bytes of many texts: a token's hash comes from two prefix sums.
+hashed by the difference of its tokens' hashes: pairs of different tokens spread over all buckets, and a token that
+follows itself is the same n-gram whichever token it is. Hashing is vectorised over the bytes of many texts: a token's
+hash comes from two prefix sums.
 """
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -20,17 +22,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut
+from .common import add_columns, cut, quoted, slices
 
 BUCKETS = 10_000
-#: Labelled documents that the target model and the threshold are fitted on, about.
+#: Labelled documents that the target model and the share of good ones are fitted on, about.
 SAMPLE = 4096
 SMOOTH = 0.5
-#: N-grams of weight 1 that a text's mean is padded with, so that a rare word does not condemn a very short text.
-PRIOR = 20
-TEMPERATURE = 0.002
-#: Share of good labelled documents that the threshold must keep.
-KEEP_GOOD = 0.999
 _CHUNK = 1 << 20
 _MULT = np.uint64(0xD6E8FEB86659FD93)
 _KIND = np.ones(256, dtype=np.uint8)  # 1 punctuation, 0 space, 2 letter or digit or part of a longer character
@@ -104,14 +101,15 @@ def features(texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
 
 @dataclass
 class Model:
+    """``ratio``: log of target over raw probability of each bucket; ``share``: of all documents, how many to draw."""
+
     ratio: np.ndarray
-    threshold: float = 0.0
+    share: float = 1.0
 
-    def score(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
-        """Log importance weight of each text and the same per n-gram, PRIOR included (0 for texts without any)."""
+    def score(self, texts: list[str | None]) -> np.ndarray:
+        """Log importance weight of each text (0 for texts without n-grams)."""
         who, what = features(texts)
-        total = np.bincount(who, self.ratio[what], minlength=len(texts))
-        return total, total / (np.bincount(who, minlength=len(texts)) + PRIOR)
+        return np.bincount(who, self.ratio[what], minlength=len(texts))
 
 
 def _bucket_counts(texts: DataFrame) -> np.ndarray:
@@ -119,8 +117,9 @@ def _bucket_counts(texts: DataFrame) -> np.ndarray:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(BUCKETS, dtype=np.int64)
-        for b in batches:
-            total += np.bincount(features(b.column(0).to_pylist())[1], minlength=BUCKETS)
+        for whole in batches:
+            for b in slices(whole, 0):
+                total += np.bincount(features(b.column(0).to_pylist())[1], minlength=BUCKETS)
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], names=["b", "n"])
 
@@ -131,48 +130,47 @@ def _bucket_counts(texts: DataFrame) -> np.ndarray:
 
 
 def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", sample: int = SAMPLE) -> Model:
-    """Raw model of all ``docs``, target model and threshold of a sample of about ``sample`` labelled ones.
+    """Raw model of all ``docs``, target model of the good ones among about ``sample`` labelled documents.
 
-    The sample depends on ids alone. The threshold is the lower of two values: the best split of good from bad, and
-    the score that KEEP_GOOD of the good reach. Without good labels every ratio is 0 and all texts score alike.
+    The share to draw is that of good documents among the sampled labels plus one standard error of it, so that the
+    sample's error does not cost good documents. The sample depends on ids alone; rows of ``labels`` with a null id or
+    label are ignored, of several labels of one id the greatest counts. Null texts count as empty, copies each for
+    themselves, very long texts are read whole, other columns are ignored. Without good labels (also: no documents)
+    every weight is 1 and the share is 1.
     """
-    n = labels.count()
-    drawn = labels.where(F.col(label_col).isNotNull() & ((F.xxhash64(F.lit(3), F.col(id_col)) / F.lit(2.0**64)) + 0.5 <= sample / max(n, 1)))
-    drawn = drawn.groupBy(F.col(id_col).alias("_id")).agg(F.max(label_col).alias("_label"))
-    picked = cut(docs.select(F.col(id_col).alias("_id"), F.col(text_col).alias("text")).join(F.broadcast(drawn), "_id").select("text", "_label"), "labelled")
-    raw = _bucket_counts(docs.select(F.col(text_col).alias("text")))
-    target = _bucket_counts(picked.where("_label = 1").select("text"))
+    known = labels.select(quoted(id_col).alias("id"), quoted(label_col).alias("label")).where("id is not null and label is not null").groupBy("id").agg(F.max("label").alias("label"))
+    n = known.count()
+    drawn = cut(known.where((F.xxhash64(F.lit(3), F.col("id")) / F.lit(2.0**64)) + 0.5 <= sample / max(n, 1)), "drawn-labels")  # about ``sample`` ids
+    good, of = drawn.agg(F.coalesce(F.sum((F.col("label") == 1).cast("int")), F.lit(0)), F.count(F.lit(1))).first()
+    plain = docs.select(quoted(id_col).alias("id"), quoted(text_col).alias("text"))
+    raw = _bucket_counts(plain.select("text"))
+    target = _bucket_counts(plain.join(F.broadcast(drawn.where("label = 1").select("id")), "id", "left_semi").select("text"))
     if not target.sum():
-        return Model(np.zeros(BUCKETS), -np.inf)
-    model = Model(np.log((target + SMOOTH) / (target + SMOOTH).sum()) - np.log((raw + SMOOTH) / (raw + SMOOTH).sum()))
-    got = score(picked, model, keep=["_label"]).select("_label", "score").toPandas()  # about ``sample`` rows
-    good, bad = np.sort(got.loc[got["_label"] == 1, "score"].to_numpy()), np.sort(got.loc[got["_label"] != 1, "score"].to_numpy())
-    low = good[int((1 - KEEP_GOOD) * (len(good) - 1))]
-    tops = bad[bad < low]
-    # in the middle of the gap below the good ones
-    model.threshold = float((low + tops[-1]) / 2 if len(tops) else low)
-    return model
+        return Model(np.zeros(BUCKETS))
+    share = good / of
+    share = min(1.0, share + (share * (1 - share) / of) ** 0.5)
+    return Model(np.log((target + SMOOTH) / (target + SMOOTH).sum()) - np.log((raw + SMOOTH) / (raw + SMOOTH).sum()), share)
 
 
 def score(docs: DataFrame, model: Model, *, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """The columns ``keep`` (default: all) and ``log_weight``, ``score`` (log weight per n-gram). Null text: empty."""
+    """The columns ``keep`` (default: all) and ``log_weight``, which replaces an input column of that name.
+
+    Null and empty texts have weight 1 (its log is 0). Texts are read whole.
+    """
     shipped = docs.sparkSession.sparkContext.broadcast(model)
-    keep = [c for c in (docs.columns if keep is None else keep) if c not in ("log_weight", "score")]
-    plain = docs.select(*keep, F.col(text_col).alias("_text"))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            total, mean = shipped.value.score(b.column(len(keep)).to_pylist())
-            yield pa.RecordBatch.from_arrays([*b.columns[:len(keep)], pa.array(np.round(total, 6)), pa.array(np.round(mean, 9))], names=[*keep, "log_weight", "score"])
+    def make():
+        own = shipped.value
+        return lambda texts: [pa.array(np.round(own.score(texts), 6))]
 
-    schema = T.StructType([*plain.select(*keep).schema.fields, T.StructField("log_weight", T.DoubleType()), T.StructField("score", T.DoubleType())])
-    return plain.mapInArrow(run, schema)
+    keep = [c for c in (docs.columns if keep is None else keep) if c != "log_weight"]
+    return add_columns(docs, make, [("log_weight", T.DoubleType())], text_col=text_col, keep=keep)
 
 
-def gumbel_key(id_col: str, temperature: float):
-    """Score over temperature plus Gumbel noise that depends on the id alone."""
-    uniform = F.xxhash64(F.lit(5), F.col(id_col)) / F.lit(2.0**64) + 0.5 + 2.0**-54
-    return F.round(F.col("score") / temperature - F.log(-F.log(uniform * (1 - 2.0**-50))), 6)
+def gumbel_key(id_col: str, weight_col: str = "log_weight"):
+    """Log weight plus standard Gumbel noise that depends on the id alone."""
+    uniform = F.xxhash64(F.lit(5), quoted(id_col)) / F.lit(2.0**64) + 0.5 + 2.0**-54
+    return F.round(F.col(weight_col) - F.log(-F.log(uniform * (1 - 2.0**-50))), 6)
 
 
 def kth_largest(rows: DataFrame, col: str, k: int) -> float | None:
@@ -200,17 +198,17 @@ def kth_largest(rows: DataFrame, col: str, k: int) -> float | None:
             k -= r.n
 
 
-def resample(docs: DataFrame, model: Model, *, k: int | None = None, temperature: float = TEMPERATURE, id_col: str = "doc_id", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """The columns ``keep`` with ``log_weight, score, sample_key, selected``.
+def resample(docs: DataFrame, model: Model, *, k: int | None = None, id_col: str = "doc_id", text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
+    """The columns ``keep`` (default: all) with ``log_weight, sample_key, selected``, which replace input columns of those names.
 
-    ``k`` documents are drawn; by default as many as score at least the model's threshold. Rows that tie at the last
-    key are all selected (keys tie for repeated ids with equal texts). Null and empty texts have score 0. An empty
-    table gives an empty result.
+    ``k`` documents are drawn, by default the model's share of the rows, rounded up. Rows that tie at the last key are
+    all selected (keys tie for repeated ids with equal texts). Null and empty texts have weight 1. An empty table
+    gives an empty result.
     """
-    keep = docs.columns if keep is None else keep
-    keep = [c for c in keep if c not in ("log_weight", "score", "sample_key", "selected")]
-    scored = cut(score(docs, model, text_col=text_col, keep=list(dict.fromkeys([id_col, *keep]))).withColumn("sample_key", gumbel_key(id_col, temperature)), "scored")
+    added = ("log_weight", "sample_key", "selected")
+    keep = [c for c in (docs.columns if keep is None else keep) if c not in added]
+    scored = cut(score(docs, model, text_col=text_col, keep=list(dict.fromkeys([id_col, *keep]))).withColumn("sample_key", gumbel_key(id_col)), "scored")
     if k is None:
-        k = scored.where(F.col("score") >= model.threshold).count()
+        k = math.ceil(scored.count() * model.share - 1e-9)
     least = kth_largest(scored, "sample_key", k)
-    return scored.withColumn("selected", F.lit(False) if least is None else F.coalesce(F.col("sample_key") >= least, F.lit(False))).select(*keep, "log_weight", "score", "sample_key", "selected")
+    return scored.withColumn("selected", F.lit(False) if least is None else F.col("sample_key") >= least).select(*[quoted(c) for c in keep], *added)

@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import ascii_lower_py, cut
+from .common import ascii_lower_py, cut, quoted, slices
 from .graph import components
 
 BITS = 64
@@ -59,11 +59,11 @@ def fingerprint(text: str | None, size: int = 4) -> int:
 def fingerprints(docs: DataFrame, *, size: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``id, fp`` (64 bits as a signed long) of every row."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in _small(batches):
             fps = np.array([fingerprint(t, size) for t in b.column(1).to_pylist()], dtype="<u8")
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view("<i8"), pa.int64())], names=["id", "fp"])
 
-    return docs.select(id_col, text_col).mapInArrow(run, f"id {dict(docs.dtypes)[id_col]}, fp long")
+    return docs.select(quoted(id_col).alias("id"), quoted(text_col).alias("text")).mapInArrow(run, f"id {dict(docs.dtypes)[id_col]}, fp long")
 
 
 def block_masks(k: int, distance: int) -> list[int]:
@@ -189,11 +189,10 @@ def shingle_array(text: str | None, size: int = 5) -> np.ndarray:
     return np.unique(np.array([digest(joined[a:b], SEED) for a, b in zip(starts.tolist(), ends[min(size, len(ws)) - 1:].tolist())], dtype="<u8").view("<i8"))
 
 
-def _small(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.RecordBatch]:
-    """Slices of so few rows that their shingles take little memory."""
+def _small(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Slices of ``id, text`` whose shingles take little memory."""
     for b in batches:
-        for lo in range(0, b.num_rows, rows):
-            yield b.slice(lo, rows)
+        yield from slices(b, 1, 256)
 
 
 def common_shingles(docs: DataFrame, size: int, *, sample: int = 8192, most: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
@@ -237,6 +236,25 @@ def possible(n: np.ndarray, bits: np.ndarray, i: int, j: slice | np.ndarray, sim
     return np.maximum(apart, np.abs(n[j] - n[i])) <= (1 - similarity) / (1 + similarity) * (n[j] + n[i]) + 1e-6
 
 
+def _runs(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[pa.Table]:
+    """Neighbouring rows that agree on the first ``keys`` (integer) columns, together, over the bounds of batches."""
+    held: list[pa.RecordBatch] = []
+    last = None
+    for b in batches:
+        if not b.num_rows:
+            continue
+        own = np.stack([b.column(c).to_numpy(zero_copy_only=False).astype(np.int64) for c in range(keys)])
+        edge = [0, *(np.flatnonzero((own[:, 1:] != own[:, :-1]).any(0)) + 1).tolist(), b.num_rows]
+        for lo, hi in zip(edge[:-1], edge[1:]):
+            if held and tuple(own[:, lo].tolist()) != last:
+                yield pa.Table.from_batches(held)
+                held = []
+            held.append(b.slice(lo, hi - lo))
+            last = tuple(own[:, lo].tolist())
+    if held:
+        yield pa.Table.from_batches(held)
+
+
 def _parities(column: pa.Array) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), dtype="<u8").reshape(-1, 16)
 
@@ -251,7 +269,7 @@ def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, most
     of each other. An empty table gives an empty result.
     """
     kind = dict(docs.dtypes)[id_col]
-    docs = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    docs = docs.select(quoted(id_col).alias("id"), quoted(text_col).alias("text"))
     late = common_shingles(docs, size)
 
     def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -296,31 +314,33 @@ def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, most
     left = left.join(cut(components(links), "labels"), F.col("id") == F.col("node"), "left").select("key", "id", F.coalesce("label", "id").alias("label"))
     mixed = left.groupBy("key").agg(F.count(F.lit(1)).alias("m"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key", F.ceil(F.col("m") / most).cast("int").alias("tiles"))
     tiled = left.join(mixed, "key").withColumn("tile", F.pmod(F.hash("id"), "tiles")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
-    groups = tiled.join(own.select("id", "n", "bits"), "id").groupBy("key", F.least("tile", "other"), F.greatest("tile", "other")).agg(F.collect_list(F.struct("id", "label", "n", "tile", "bits")).alias("members"))
+    dealt = tiled.join(own.select("id", "n", "bits"), "id").select("key", F.least("tile", "other").alias("lo"), F.greatest("tile", "other").alias("hi"), "id", "label", "n", "tile", "bits")
+    # one group's members are held at a time: rows come sorted by group, not gathered into lists
+    dealt = dealt.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi")
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            lists, found = b.column(0), set()
-            at = lists.offsets.to_numpy()
-            for lo, hi in zip(at[:-1].tolist(), at[1:].tolist()):
-                part = lists.values.slice(lo, hi - lo).flatten()
-                ids, label, n, tile = (c.to_numpy(zero_copy_only=False) for c in part[:4])
-                bits, whole = _parities(part[4]), len(np.unique(tile)) == 1
-                for i in range(len(ids) - 1):
-                    j = np.arange(i + 1, len(ids))
-                    j = j[(label[j] != label[i]) & (whole | (tile[j] != tile[i]))]
-                    j = j[possible(n, bits, i, j, similarity)]
-                    found.update((min(x, y), max(x, y)) for x, y in zip([ids[i]] * len(j), ids[j].tolist()))
-            yield pa.RecordBatch.from_arrays([pa.array([e[k] for e in found], lists.type.value_type.field(0).type) for k in (0, 1)], names=["a", "b"])
-
-    links = links.union(similar(groups.select("members").mapInArrow(compare, f"a {kind}, b {kind}")))
+        for group in _runs(batches, 3):
+            ids, label, n, tile = (group.column(c).to_numpy() for c in ("id", "label", "n", "tile"))
+            bits, whole = _parities(group.column("bits")), group.column("lo")[0].as_py() == group.column("hi")[0].as_py()
+            a, b = [], []
+            for i in range(len(ids) - 1):
+                j = np.arange(i + 1, len(ids))
+                j = j[(label[j] != label[i]) & (whole | (tile[j] != tile[i]))]
+                j = j[possible(n, bits, i, j, similarity)]
+                a.append(np.minimum(ids[i], ids[j])), b.append(np.maximum(ids[i], ids[j]))
+            if sum(map(len, a)):
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), group.column("id").type) for x in (a, b)], names=["a", "b"])
+
+    links = links.union(similar(dealt.mapInArrow(compare, f"a {kind}, b {kind}")))
     return components(links).select(F.col("node").alias("id"), F.col("label").alias("component_id"))
 
 
 def drop_near_copies(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **params) -> DataFrame:
-    """``docs`` without the rows of ids that are a near copy of a smaller id; columns unchanged."""
+    """``docs`` without the rows of ids that are a near copy of a smaller id; columns unchanged, whatever their names."""
     found = near_copies(docs, id_col=id_col, text_col=text_col, **params)
-    gone = cut(found.where("component_id <> id").select(F.col("id").alias("_gone")), "near-copies")
+    gone = cut(found.where("component_id <> id").select("id"), "near-copies")
     if gone.count() <= BROADCAST_IDS:  # a few MB: the texts then stay where they are
         gone = F.broadcast(gone)
-    return docs.join(gone, F.col(id_col) == F.col("_gone"), "left_anti")
+    inner = [f"c{i}" for i in range(len(docs.columns))]
+    own = inner[docs.columns.index(id_col)]
+    return docs.toDF(*inner).join(gone.withColumnRenamed("id", "gone"), F.col(own) == F.col("gone"), "left_anti").toDF(*docs.columns)

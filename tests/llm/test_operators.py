@@ -9,6 +9,7 @@ import zlib
 import numpy as np
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 
 from patternspark.llm import exact_dedup, html_text, langid, licenses, media, packing, pieces, resampling, simhash, url_filter
 from patternspark.llm.graph import components
@@ -117,15 +118,48 @@ def test_resampling_keeps_good_documents(spark):
     good = [random_words(r, 40) for _ in range(60)]
     bad = ["### $$$ " * 20 for _ in range(10)] + ["spam " * 30 for _ in range(10)]
     docs = table(spark, good + bad + [None, ""])
-    labels = spark.createDataFrame([(i, int(i < 60)) for i in range(0, 80, 2)], "doc_id long, quality int")
+    labels = spark.createDataFrame([(i, int(i < 60)) for i in range(0, 80, 2)] + [(None, 1), (3, None), (0, 0)], "doc_id long, quality int")
     model = resampling.fit(docs, labels)
-    got = {x.doc_id: x for x in resampling.resample(docs, model, keep=["doc_id"]).collect()}
+    assert model.share == 0.75 + (0.75 * 0.25 / 40) ** 0.5
+    got = {x.doc_id: x for x in resampling.resample(docs, model, k=62, keep=["doc_id"]).collect()}
     assert all(got[i].selected for i in range(60)) and not any(got[i].selected for i in range(60, 80))
-    scores = {i: x.sample_key for i, x in got.items()}
-    k = 7
-    some = {x.doc_id for x in resampling.resample(docs, model, k=k, temperature=1.0, keep=["doc_id"]).where("selected").collect()}
-    assert len(some) == k and scores
+    assert got[80].log_weight == got[81].log_weight == 0
+    assert sum(x.selected for x in resampling.resample(docs, model).collect()) == -(-82 * model.share // 1)
+    assert len([x for x in resampling.resample(docs, model, k=7).collect() if x.selected]) == 7
     assert resampling.resample(docs.limit(0), model).count() == 0
+    empty = resampling.fit(docs.limit(0), labels)
+    assert empty.share == 1 and not empty.ratio.any()
+    clash = docs.withColumn("c0", F.lit("x")).withColumn("score", F.lit("s")).withColumn("log_weight", F.lit("w")).withColumn("a.b", F.lit(1))
+    one = resampling.resample(clash, model, k=1)
+    assert set(one.columns) == {*clash.columns, "sample_key", "selected"} and {x.score for x in one.collect()} == {"s"}
+
+
+def test_resampling_draws_by_gumbel_top_k(spark):
+    """The draw, key by key: weights as a plain reading gives them, standard Gumbel noise, the k largest; by chance, not by weight alone."""
+    r = random.Random(12)
+    texts = [" ".join(r.choice(("aa", "bb", "cc")) for _ in range(r.randint(1, 4))) for _ in range(1500)]
+    docs = table(spark, texts)
+    model = resampling.fit(docs, spark.createDataFrame([(i, int("aa" in t)) for i, t in enumerate(texts)], "doc_id long, quality int"))
+    got = resampling.resample(docs, model, k=500).toPandas().sort_values("doc_id", ignore_index=True)
+    tokens = {t: int(resampling.features([t])[1][0]) for t in ("aa", "bb", "cc")}
+
+    def grams(t):
+        ws = t.split()
+        return [tokens[w] for w in ws] + [int(resampling.features([f"{a} {b}"])[1][2]) for a, b in zip(ws, ws[1:])]
+
+    raw, target = np.full(resampling.BUCKETS, resampling.SMOOTH), np.full(resampling.BUCKETS, resampling.SMOOTH)
+    for i, t in enumerate(texts):
+        for g in grams(t):
+            raw[g] += 1
+            target[g] += "aa" in t
+    ratio = np.log(target / target.sum()) - np.log(raw / raw.sum())
+    assert np.allclose(got["log_weight"], [ratio[grams(t)].sum() for t in texts], atol=1e-5)
+    noise = np.sort((got["sample_key"] - got["log_weight"]).to_numpy())
+    uniform = np.exp(-np.exp(-noise))
+    assert np.abs(uniform - (np.arange(1500) + 0.5) / 1500).max() < 0.05  # Kolmogorov-Smirnov
+    by_key = set(got.nlargest(500, "sample_key")["doc_id"])
+    assert set(got.loc[got["selected"], "doc_id"]) == by_key
+    assert len(by_key & set(got.nlargest(500, "log_weight")["doc_id"])) < 480  # the noise takes part
 
 
 def test_kth_largest(spark):
@@ -143,20 +177,24 @@ def test_kth_largest(spark):
 def test_forward_sums_all_segmentations():
     vocab = ["▁", "a", "b", "ab", "▁a", "bb", "abb"]
     table_ = np.array([[0.2, 0.1], [0.1, 0.3], [0.1, 0.1], [0.2, 0.2], [0.1, 0.1], [0.2, 0.1], [0.1, 0.1], [1e-7, 1e-7]])
-    m = langid.Model(langid.Vocabulary(vocab, 6), ["x", "y"], table_)
+    m = langid.Model(langid.Vocabulary(vocab), ["x", "y"], table_)
 
     def total(s, k):
         if not s:
             return 1.0
         return sum((table_[vocab.index(s[:n]), k] if s[:n] in vocab else 1e-7 if n == 1 else 0) * total(s[n:], k) for n in range(1, len(s) + 1))
 
-    words = ["abb", "bbab", "aca", "a" * 200]
+    from functools import cache
+
+    total = cache(total)
+    words = ["abb", "bbab", "aca", "abb" * 5, "ab" * 8 + "c", "abbab" * 20, "a" * 2000]
     got = m.log_words(words)
-    for w, row in zip(words[:3], got):
+    for w, row in zip(words[:6], got):
         assert np.allclose(row, [np.log(total("▁" + w, k)) for k in (0, 1)])
     assert np.isfinite(got).all()
-    e = m.expected(["abb"], np.array([1.0]), 0)
-    assert np.isclose(sum(len(p) * c for p, c in zip(vocab, e)), 4)
+    for w in ("abb", "abbab" * 20, "ab" * 500):  # every character of a word counts once, however long the word is
+        e = m.expected([w], np.array([1.0]), 0)
+        assert np.isclose(sum(len(p) * c for p, c in zip(vocab, e)), 1 + len(w))
 
 
 def test_language(spark):

@@ -73,6 +73,22 @@ def test_stages(spark, sf):
     assert corpus_pipeline.pack(spark, empty, sf).count() == 0
 
 
+def test_stages_keep_columns_of_any_name(spark, sf):
+    """Columns that clash with what the operators add, nulls, empty texts, repeated rows."""
+    from pyspark.sql import functions as F
+
+    clash = ["score", "selected", "sample_key", "log_weight", "lang_pred", "_text", "_gone", "_keep", "text_", "c0", "in0", "id", "norm", "kept", "a.b"]
+    docs = spark.read.parquet(f"{sf}/documents.parquet").where("doc_id < 60")
+    docs = docs.union(docs.where("doc_id < 3")).union(docs.where("doc_id = 5").withColumn("doc_id", F.lit(1000).cast("long")).withColumn("text", F.lit(None).cast("string")))
+    docs = docs.union(docs.where("doc_id = 5").withColumn("doc_id", F.lit(1001).cast("long")).withColumn("text", F.lit("")))
+    docs = docs.select("*", *[F.lit(f"own {c}").alias(c) for c in clash])
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, docs, sf)
+        assert out.columns == docs.columns, name
+        rows = out.collect()
+        assert rows and all(r[c] == f"own {c}" for r in rows for c in clash), name
+
+
 def test_registered():
     import __spark_entry__ as entry
 
