@@ -109,7 +109,7 @@ class Model:
     def score(self, texts: list[str | None]) -> np.ndarray:
         """Log importance weight of each text (0 for texts without n-grams)."""
         who, what = features(texts)
-        return np.bincount(who, self.ratio[what], minlength=len(texts))
+        return np.bincount(who, self.ratio[what], minlength=len(texts)).astype(np.float64)  # of nothing: integers otherwise
 
 
 def _bucket_counts(texts: DataFrame) -> np.ndarray:
