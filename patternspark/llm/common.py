@@ -5,6 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -29,14 +30,25 @@ def shared_dir(spark: SparkSession) -> str:
     return _own_dir[0]
 
 
-def cut(df: DataFrame, tag: str) -> DataFrame:
-    """Write ``df`` to the shared folder and read it back: ends the lineage, survives lost executors."""
+def cut(df: DataFrame, tag: str, within: str | None = None) -> DataFrame:
+    """Write ``df`` to the shared folder (or a folder of ``scratch``) and read it back: ends the lineage, survives lost executors."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/patternspark/{tag}-{uuid.uuid4().hex}"
+    path = f"{within or shared_dir(spark) + '/patternspark'}/{tag}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[str]:
+    """A folder in the shared one for tables that nothing needs after the block; it is removed at its end."""
+    path = f"{shared_dir(spark)}/patternspark/scratch-{uuid.uuid4().hex}"
+    try:
+        yield path
+    finally:
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
 def ascii_lower(c: Column) -> Column:
     """Lower-case A-Z only. Pure ASCII takes the fast built-in; other texts keep their accented capitals."""
     return F.when(F.octet_length(c) == F.char_length(c), F.lower(c)).otherwise(F.translate(c, UPPER, UPPER.lower()))

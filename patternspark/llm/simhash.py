@@ -24,13 +24,13 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import ascii_lower_py, cut, quoted, slices
+from .common import ascii_lower_py, cut, quoted, scratch, slices
 from .graph import components
 
 BITS = 64
 SEED = 42
-#: Ids of dropped documents are broadcast up to this many (8 bytes each), and joined by shuffle beyond.
-BROADCAST_IDS = 1_000_000
+#: Ids that are held against all documents are broadcast up to this many, and joined by shuffle beyond.
+BROADCAST_IDS = 500_000
 
 
 def words(text: str) -> list[bytes]:
@@ -259,17 +259,69 @@ def _parities(column: pa.Array) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), dtype="<u8").reshape(-1, 16)
 
 
+def _some(ids: DataFrame) -> DataFrame:
+    """A written table of ids, to be broadcast if it is short."""
+    return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+
+
+def verified(docs: DataFrame, pairs: DataFrame, *, size: int, similarity: float, most: int, within: str) -> DataFrame:
+    """The ``pairs(a, b)`` whose documents ``id, text`` have at least the ``similarity`` on shingle sets.
+
+    Sets are sent once for each pair, to the pair's ``a``; an ``a`` of more than ``most`` pairs goes to several tasks.
+    """
+    kind = dict(docs.dtypes)["id"]
+    load = pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / most).cast("int").alias("salts"))
+    own = load.select(F.col("a").alias("id"), F.col("a").alias("to"), F.explode(F.sequence(F.lit(0), F.col("salts") - 1)).alias("salt"), F.lit(0).alias("role"))
+    other = pairs.join(load, "a").select(F.col("b").alias("id"), F.col("a").alias("to"), F.pmod(F.hash("b"), "salts").alias("salt"), F.lit(1).alias("role"))
+    routes = cut(own.union(other).groupBy("id").agg(F.collect_list(F.struct("to", "salt", "role")).alias("routes")), "routes", within)
+
+    def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in _small(batches):
+            packed = [shingle_array(t, size).tobytes() for t in b.column(1).to_pylist()]
+            lists = b.column(2)
+            row = np.repeat(np.arange(b.num_rows), np.diff(lists.offsets.to_numpy()))
+            to, salt, role = lists.flatten().flatten()
+            for lo in range(0, len(row), 256):
+                part = row[lo:lo + 256]
+                yield pa.RecordBatch.from_arrays([to[lo:lo + 256], salt[lo:lo + 256], role[lo:lo + 256], b.column(0).take(pa.array(part)), pa.array([packed[i] for i in part], pa.binary())], names=["to", "salt", "role", "id", "s"])
+
+    def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        centre: np.ndarray | None = None
+        for b in batches:
+            good = []
+            for i, (role, raw) in enumerate(zip(b.column(2).to_pylist(), b.column(4))):
+                s = np.frombuffer(raw.as_buffer(), dtype="<i8")
+                if role == 0:
+                    centre = s.copy()
+                    continue
+                both = int((centre[np.minimum(np.searchsorted(centre, s), len(centre) - 1)] == s).sum()) if len(centre) and len(s) else 0
+                if both >= similarity * (len(centre) + len(s) - both):
+                    good.append(i)
+            found = b.take(pa.array(good, pa.int64()))
+            yield pa.RecordBatch.from_arrays([found.column(0), found.column(3)], names=["a", "b"])
+
+    sent = docs.join(_some(routes), "id").select("id", "text", "routes").mapInArrow(send, f"to {kind}, salt int, role int, id {kind}, s binary")
+    return cut(sent.repartition("to", "salt").sortWithinPartitions("to", "salt", "role").mapInArrow(check, f"a {kind}, b {kind}"), "similar", within)
+
+
 def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, most: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``id, component_id`` of ids that have a near copy: links are pairs of at least ``similarity`` on word shingles.
 
-    Exact: every pair with that Jaccard similarity of ``size``-word shingles shares a key of its prefixes. In a key all
-    are held against the least id; those of a key that are not all linked then are compared with each other, too, in
-    tiles of about ``most``. Size and parities first rule out pairs for certain, the rest is held against the exact
-    similarity. Rows of one id count as one document. Null text counts as empty; texts without words are near copies
-    of each other. An empty table gives an empty result.
+    Exact: every pair with that Jaccard similarity of ``size``-word shingles shares a key of its prefixes. Candidates
+    are taken in three turns, each leaving out pairs that verified links have connected by then: every id with the
+    least id of its keys; every other pair with the least id of a key, and in each key pairs that would connect its
+    members; last, all pairs of a key that are still apart. In a key, members are compared by size and parities, in
+    tiles of about ``most``, which rules out pairs for certain; the rest is held against the exact similarity. Rows of
+    one id count as one document. Null text counts as empty; texts without words are near copies of each other. Texts
+    are read whole. An empty table gives an empty result.
     """
-    kind = dict(docs.dtypes)[id_col]
-    docs = docs.select(quoted(id_col).alias("id"), quoted(text_col).alias("text"))
+    with scratch(docs.sparkSession) as at:
+        links = _near_links(docs.select(quoted(id_col).alias("id"), quoted(text_col).alias("text")), size, similarity, most, at)
+        return cut(components(links, within=at).select(F.col("node").alias("id"), F.col("label").alias("component_id")), "near-copies")
+
+
+def _near_links(docs: DataFrame, size: int, similarity: float, most: int, at: str) -> DataFrame:
+    kind = dict(docs.dtypes)["id"]
     late = common_shingles(docs, size)
 
     def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -278,10 +330,10 @@ def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, most
             columns = [b.column(0), pa.array([len(s) for s in sets], pa.int32()), pa.array([parity(s) for s in sets], pa.binary()), pa.array([prefix(s, similarity, late) for s in sets], pa.list_(pa.int64()))]
             yield pa.RecordBatch.from_arrays(columns, names=["id", "n", "bits", "keys"])
 
-    own = cut(docs.mapInArrow(sketch, f"id {kind}, n int, bits binary, keys array<long>"), "sketches")
+    own = cut(docs.mapInArrow(sketch, f"id {kind}, n int, bits binary, keys array<long>"), "sketches", at)
     key = Window.partitionBy("key")
     keyed = own.select("id", F.explode("keys").alias("key"))
-    shared = cut(keyed.withColumn("c", F.count(F.lit(1)).over(key)).where("c > 1").withColumn("top", F.min("id").over(key)), "shared-keys")
+    shared = cut(keyed.withColumn("c", F.count(F.lit(1)).over(key)).where("c > 1").withColumn("top", F.min("id").over(key)), "shared-keys", at)
 
     def rule_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -292,55 +344,66 @@ def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, most
             may = np.maximum(apart, np.abs(n[:k] - n[k:])) <= (1 - similarity) / (1 + similarity) * (n[:k] + n[k:]) + 1e-6
             yield b.select([0, 1]).filter(pa.array(may))
 
-    def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in _small(batches):
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingle_array(t, size) for t in b.column(1).to_pylist()], pa.list_(pa.int64()))], names=["id", "s"])
-
-    def similar(pairs: DataFrame) -> DataFrame:
-        pairs = cut(pairs.distinct(), "candidates")
-        named = cut(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "candidate-ids")
-        if named.count() <= BROADCAST_IDS:
-            named = F.broadcast(named)
-        full = cut(docs.join(named, "id", "left_semi").mapInArrow(sets, f"id {kind}, s array<long>"), "sets")
-        joined = pairs.join(full.select(F.col("id").alias("a"), F.col("s").alias("sa")), "a").join(full.select(F.col("id").alias("b"), F.col("s").alias("sb")), "b")
-        both, either = F.size(F.array_intersect("sa", "sb")), F.size("sa") + F.size("sb")
-        return cut(joined.where((either == 0) | (both >= similarity * (either - both))).select("a", "b").distinct(), "similar")
+    def check(pairs: DataFrame) -> DataFrame:
+        return verified(docs, pairs, size=size, similarity=similarity, most=most, within=at)
+
+    def labels(links: DataFrame) -> DataFrame:
+        return cut(components(links, within=at).select(F.col("node").alias("id"), "label"), "labels", at)
+
+    def apart(pairs: DataFrame, now: DataFrame) -> DataFrame:
+        named = pairs
+        for side in ("a", "b"):
+            named = named.join(now.select(F.col("id").alias(side), F.col("label").alias(f"l{side}")), side, "left")
+        return named.where(F.coalesce("la", "a") != F.coalesce("lb", "b")).select("a", "b")
+
+    def members(now: DataFrame, thin: bool) -> DataFrame:
+        """Possible pairs of members of one key that have no link yet; ``thin``: only so many as would connect them."""
+        left = shared.where("c > 2 and id <> top").select("key", "id").distinct().join(now, "id", "left").select("key", "id", F.coalesce("label", "id").alias("label"))
+        mixed = left.groupBy("key").agg(F.count(F.lit(1)).alias("m"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key", F.ceil(F.col("m") / most).cast("int").alias("tiles"))
+        tiled = left.join(mixed, "key").withColumn("tile", F.pmod(F.hash("id"), "tiles")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
+        dealt = tiled.join(own.select("id", "n", "bits"), "id").select("key", F.least("tile", "other").alias("lo"), F.greatest("tile", "other").alias("hi"), "id", "label", "n", "tile", "bits")
+        # one group's members are held at a time: rows come sorted by group, not gathered into lists
+        dealt = dealt.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi")
+
+        def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for group in _runs(batches, 3):
+                ids, label, n, tile = (group.column(c).to_numpy() for c in ("id", "label", "n", "tile"))
+                bits, whole = _parities(group.column("bits")), group.column("lo")[0].as_py() == group.column("hi")[0].as_py()
+                now, a, b = label.copy(), [], []
+                for i in range(len(ids) - 1):
+                    j = np.arange(i + 1, len(ids))
+                    j = j[(now[j] != now[i]) & (whole | (tile[j] != tile[i]))]
+                    j = j[possible(n, bits, i, j, similarity)]
+                    if thin and len(j):  # the first of each part; what they would connect counts as one part from here on
+                        parts, first = np.unique(now[j], return_index=True)
+                        j = j[first]
+                        now[np.isin(now, parts)] = now[i]
+                    a.append(np.minimum(ids[i], ids[j])), b.append(np.maximum(ids[i], ids[j]))
+                if sum(map(len, a)):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), group.column("id").type) for x in (a, b)], names=["a", "b"])
+
+        return dealt.mapInArrow(compare, f"a {kind}, b {kind}")
 
     star = shared.where("id <> top").select(F.col("top").alias("a"), F.col("id").alias("b")).distinct()
     one, other = own.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("bits").alias("ba")), own.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("bits").alias("bb"))
-    links = similar(star.join(one, "a").join(other, "b").select("a", "b", "na", "nb", "ba", "bb").mapInArrow(rule_out, f"a {kind}, b {kind}"))
-    # the least id of a key is settled; of the others, those that are not linked yet
-    left = shared.where("c > 2 and id <> top").select("key", "id").distinct()
-    left = left.join(cut(components(links), "labels"), F.col("id") == F.col("node"), "left").select("key", "id", F.coalesce("label", "id").alias("label"))
-    mixed = left.groupBy("key").agg(F.count(F.lit(1)).alias("m"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key", F.ceil(F.col("m") / most).cast("int").alias("tiles"))
-    tiled = left.join(mixed, "key").withColumn("tile", F.pmod(F.hash("id"), "tiles")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("tiles") - 1)))
-    dealt = tiled.join(own.select("id", "n", "bits"), "id").select("key", F.least("tile", "other").alias("lo"), F.greatest("tile", "other").alias("hi"), "id", "label", "n", "tile", "bits")
-    # one group's members are held at a time: rows come sorted by group, not gathered into lists
-    dealt = dealt.repartition("key", "lo", "hi").sortWithinPartitions("key", "lo", "hi")
-
-    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for group in _runs(batches, 3):
-            ids, label, n, tile = (group.column(c).to_numpy() for c in ("id", "label", "n", "tile"))
-            bits, whole = _parities(group.column("bits")), group.column("lo")[0].as_py() == group.column("hi")[0].as_py()
-            a, b = [], []
-            for i in range(len(ids) - 1):
-                j = np.arange(i + 1, len(ids))
-                j = j[(label[j] != label[i]) & (whole | (tile[j] != tile[i]))]
-                j = j[possible(n, bits, i, j, similarity)]
-                a.append(np.minimum(ids[i], ids[j])), b.append(np.maximum(ids[i], ids[j]))
-            if sum(map(len, a)):
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), group.column("id").type) for x in (a, b)], names=["a", "b"])
-
-    links = links.union(similar(dealt.mapInArrow(compare, f"a {kind}, b {kind}")))
-    return components(links).select(F.col("node").alias("id"), F.col("label").alias("component_id"))
+    star = cut(star.join(one, "a").join(other, "b").select("a", "b", "na", "nb", "ba", "bb").mapInArrow(rule_out, f"a {kind}, b {kind}"), "star", at)
+    first = cut(star.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), "pairs", at)
+    links = check(first)
+    now = labels(links)
+    second = cut(apart(star.join(first, ["a", "b"], "left_anti"), now).union(members(now, True)).distinct().join(first, ["a", "b"], "left_anti"), "pairs", at)
+    if second.take(1):
+        links = links.union(check(second))
+        now = labels(links)
+        third = cut(members(now, False).distinct().join(first.union(second), ["a", "b"], "left_anti"), "pairs", at)
+        if third.take(1):
+            links = links.union(check(third))
+    return links
 
 
 def drop_near_copies(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **params) -> DataFrame:
     """``docs`` without the rows of ids that are a near copy of a smaller id; columns unchanged, whatever their names."""
     found = near_copies(docs, id_col=id_col, text_col=text_col, **params)
-    gone = cut(found.where("component_id <> id").select("id"), "near-copies")
-    if gone.count() <= BROADCAST_IDS:  # a few MB: the texts then stay where they are
-        gone = F.broadcast(gone)
+    gone = _some(found.where("component_id <> id").select("id"))  # if few are broadcast, the texts stay where they are
     inner = [f"c{i}" for i in range(len(docs.columns))]
     own = inner[docs.columns.index(id_col)]
     return docs.toDF(*inner).join(gone.withColumnRenamed("id", "gone"), F.col(own) == F.col("gone"), "left_anti").toDF(*docs.columns)
