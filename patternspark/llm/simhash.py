@@ -226,14 +226,38 @@ def prefix(s: np.ndarray, similarity: float, late: tuple[np.ndarray, np.ndarray]
 
 
 def parity(s: np.ndarray) -> bytes:
-    """1024 bits, each the parity of the members that fall on it: two sets differ in at least as many members as bits."""
-    return np.packbits(np.bincount(s.view("<u8") % 1024, minlength=1024) & 1, bitorder="little").tobytes()
+    """As many bits as the set has members (64 or the next power of two), each the parity of the members that fall on it.
+
+    Two sets differ in at least as many members as their bits do, and folding the halves of the longer one onto each
+    other gives its bits at half the length.
+    """
+    width = max(64, 1 << (len(s) - 1).bit_length()) if len(s) else 64
+    return np.packbits(np.bincount((s.view("<u8") % np.uint64(width)).astype(np.int64), minlength=width) & 1, bitorder="little").tobytes()
+
+
+def bits_apart(x: bytes, others: list[bytes]) -> np.ndarray:
+    """In how many bits each of the others differs at the shorter length; lengths are the same or one is twice the other."""
+    out = np.zeros(len(others), dtype=np.int64)
+    own = np.frombuffer(x, dtype="<u8")
+    sizes = np.array([len(y) for y in others])
+    for size in np.unique(sizes):
+        at = np.flatnonzero(sizes == size)
+        them = np.frombuffer(b"".join([others[i] for i in at]), dtype="<u8").reshape(len(at), -1)
+        me = own
+        while me.shape[0] > them.shape[1]:
+            me = me[:len(me) // 2] ^ me[len(me) // 2:]
+        while them.shape[1] > len(me):
+            them = them[:, :them.shape[1] // 2] ^ them[:, them.shape[1] // 2:]
+        out[at] = np.bitwise_count(them ^ me).sum(1, dtype=np.int64)
+    return out
 
 
-def possible(n: np.ndarray, bits: np.ndarray, i: int, j: slice | np.ndarray, similarity: float) -> np.ndarray:
-    """Whether sets of sizes ``n`` and parities ``bits`` can have the ``similarity``: never false for those that have."""
-    apart = np.bitwise_count(bits[j] ^ bits[i]).sum(1, dtype=np.int64)
-    return np.maximum(apart, np.abs(n[j] - n[i])) <= (1 - similarity) / (1 + similarity) * (n[j] + n[i]) + 1e-6
+def possible(n: np.ndarray, bits: list[bytes], i: int, j: np.ndarray, similarity: float) -> np.ndarray:
+    """Those of ``j`` that can have the ``similarity`` with i by sizes ``n`` and parities: never lacks one that has."""
+    most = (1 - similarity) / (1 + similarity) * (n[j] + n[i]) + 1e-6
+    near = np.abs(n[j] - n[i]) <= most
+    j, most = j[near], most[near]
+    return j[bits_apart(bits[i], [bits[x] for x in j.tolist()]) <= most] if len(j) else j
 
 
 def _runs(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[pa.Table]:
@@ -255,10 +279,6 @@ def _runs(batches: Iterator[pa.RecordBatch], keys: int) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(held)
 
 
-def _parities(column: pa.Array) -> np.ndarray:
-    return np.frombuffer(b"".join(column.to_pylist()), dtype="<u8").reshape(-1, 16)
-
-
 def _some(ids: DataFrame) -> DataFrame:
     """A written table of ids, to be broadcast if it is short."""
     return F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
@@ -333,15 +353,17 @@ def _near_links(docs: DataFrame, size: int, similarity: float, most: int, at: st
     own = cut(docs.mapInArrow(sketch, f"id {kind}, n int, bits binary, keys array<long>"), "sketches", at)
     key = Window.partitionBy("key")
     keyed = own.select("id", F.explode("keys").alias("key"))
-    shared = cut(keyed.withColumn("c", F.count(F.lit(1)).over(key)).where("c > 1").withColumn("top", F.min("id").over(key)), "shared-keys", at)
+    met = keyed.select("id", F.count(F.lit(1)).over(key).alias("c"), F.min("id").over(key).alias("top"), F.bit_xor(F.xxhash64("id")).over(key).alias("xor")).where("c > 1")
+    # a passage gives many keys with the same members: one of them will do
+    shared = cut(met.select("id", "c", "top", F.xxhash64("c", "top", "xor").alias("key")).distinct(), "shared-keys", at)
 
     def rule_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            k = b.num_rows
-            n = np.concatenate([b.column(c).to_numpy(zero_copy_only=False) for c in (2, 3)])
-            bits = np.concatenate([_parities(b.column(c)) for c in (4, 5)])
-            apart = np.bitwise_count(bits[:k] ^ bits[k:]).sum(1, dtype=np.int64)
-            may = np.maximum(apart, np.abs(n[:k] - n[k:])) <= (1 - similarity) / (1 + similarity) * (n[:k] + n[k:]) + 1e-6
+            na, nb = (b.column(c).to_numpy(zero_copy_only=False) for c in (2, 3))
+            most = (1 - similarity) / (1 + similarity) * (na + nb) + 1e-6
+            may = np.abs(na - nb) <= most
+            at = np.flatnonzero(may)
+            may[at] = [bits_apart(x, [y])[0] <= m for x, y, m in zip(b.column(4).take(pa.array(at)).to_pylist(), b.column(5).take(pa.array(at)).to_pylist(), most[at])]
             yield b.select([0, 1]).filter(pa.array(may))
 
     def check(pairs: DataFrame) -> DataFrame:
@@ -368,12 +390,12 @@ def _near_links(docs: DataFrame, size: int, similarity: float, most: int, at: st
         def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for group in _runs(batches, 3):
                 ids, label, n, tile = (group.column(c).to_numpy() for c in ("id", "label", "n", "tile"))
-                bits, whole = _parities(group.column("bits")), group.column("lo")[0].as_py() == group.column("hi")[0].as_py()
+                bits, whole = group.column("bits").to_pylist(), group.column("lo")[0].as_py() == group.column("hi")[0].as_py()
                 now, a, b = label.copy(), [], []
                 for i in range(len(ids) - 1):
                     j = np.arange(i + 1, len(ids))
                     j = j[(now[j] != now[i]) & (whole | (tile[j] != tile[i]))]
-                    j = j[possible(n, bits, i, j, similarity)]
+                    j = possible(n, bits, i, j, similarity)
                     if thin and len(j):  # the first of each part; what they would connect counts as one part from here on
                         parts, first = np.unique(now[j], return_index=True)
                         j = j[first]

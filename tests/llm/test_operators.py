@@ -343,6 +343,23 @@ def test_near_copies_beside_others_of_the_same_words(spark, most):
     assert got == least_linked(near_pairs(texts)) and got
 
 
+def test_parities_bound_the_difference():
+    r = random.Random(21)
+    for n in (1, 3, 60, 64, 65, 500, 3000):
+        a = np.unique(np.array([r.getrandbits(63) for _ in range(n)], dtype="<i8"))
+        others = []
+        for share in (0.0, 0.5, 0.9, 1.0):
+            b = np.array([x for x in a.tolist() if r.random() < share] + [r.getrandbits(63) for _ in range(r.randint(0, n // 2))], dtype="<i8")
+            others.append(np.unique(b))
+        apart = simhash.bits_apart(simhash.parity(a), [simhash.parity(b) for b in others])
+        for b, d in zip(others, apart.tolist()):
+            assert d <= len(np.setxor1d(a, b))
+        assert simhash.bits_apart(simhash.parity(a), [simhash.parity(a)])[0] == 0
+    long = [np.unique(np.array([r.getrandbits(63) for _ in range(4000)], dtype="<i8")) for _ in range(2)]
+    n = np.array([len(x) for x in long])
+    assert not len(simhash.possible(n, [simhash.parity(x) for x in long], 0, np.array([1]), 0.8))  # long strangers are told apart
+
+
 def test_near_copies_by_brute_force(spark):
     r = random.Random(18)
     texts = []
