@@ -1,8 +1,8 @@
 """Piece lattices of many short strings at once.
 
 Strings of one length are rows of a matrix of code points. A vocabulary finds its pieces in all of them by rolling
-hashes, one vector operation per piece length; a bitmap of hashes sorts out most misses, a sorted array settles the
-rest, and hits are confirmed code point by code point.
+hashes, one vector operation per piece length; a table of hash prefixes sorts out most misses and names the only piece
+with a prefix, a sorted array settles prefixes of several pieces, and hits are confirmed code point by code point.
 """
 
 from __future__ import annotations
@@ -33,8 +33,10 @@ class Vocabulary:
         self.hashes, self.number = hashes[order], self.number[order]
         if len(np.unique(self.hashes)) != len(self.hashes):
             raise ValueError("pieces repeat or their hashes collide")
-        self.bitmap = np.zeros(1 << _BITS, dtype=bool)
-        self.bitmap[self._slot(self.hashes)] = True
+        own = self._slot(self.hashes)
+        self.slots = np.full(1 << _BITS, -1, dtype=np.int32)  # place in ``hashes``; -1: none, -2: several
+        self.slots[own] = np.arange(len(own))
+        self.slots[own[1:][own[1:] == own[:-1]]] = -2
         self.chars = np.zeros((len(codes), self.longest), dtype=np.uint32)
         for k, o in enumerate(order):
             self.chars[k, :len(codes[o])] = codes[o]
@@ -51,10 +53,12 @@ class Vocabulary:
             starts = length - size + 1
             h = (h[:, :starts] + wide[:, size - 1:] + np.uint64(1)) * _BASE
             found = np.full((n, starts), -1, dtype=np.int32)
-            r, c = np.nonzero(self.bitmap[self._slot(h)])
+            place = self.slots[self._slot(h)]
+            r, c = np.nonzero(place != -1)
             if len(r):
-                own = h[r, c]
-                at = np.minimum(np.searchsorted(self.hashes, own), len(self.hashes) - 1)
+                own, at = h[r, c], place[r, c]
+                if (many := np.flatnonzero(at == -2)).size:
+                    at[many] = np.minimum(np.searchsorted(self.hashes, own[many]), len(self.hashes) - 1)
                 ok = self.hashes[at] == own
                 r, c, at = r[ok], c[ok], at[ok]
                 same = np.ones(len(r), dtype=bool)

@@ -2,8 +2,13 @@
 
 Text is escaped as SentencePiece does (a space becomes U+2581, one is put in front) and cut where no piece can cross:
 before each run of U+2581 that follows another character, and around line feeds. A segment's lattice has all pieces of
-the vocabulary as edges; characters without a piece become byte pieces. A piece's score is the logarithm of its share
-under Zipf's law of its rank in the vocabulary, or what the caller gives.
+the vocabulary as edges; characters without a piece become byte pieces.
+
+A segmentation's score is the sum of its pieces' log probabilities. A unigram model's file has them; the file of a
+merge model has merge ranks instead (no probabilities, and their sum says nothing of a segmentation), so there the
+probability of a piece is its share under Zipf's law at its rank, 1 / (rank + 10), which is how frequencies fall in a
+vocabulary that was merged by frequency. The best segmentation is therefore the most probable one, not the one that
+replaying the merges gives. Other scores can be given to ``PieceModel``.
 
 Forward Viterbi scores of all distinct segments of a batch are computed together. They are exact heuristics for a
 backward A-star search, which takes hypotheses from the end of a lattice in falling order of (score so far + forward
@@ -18,18 +23,19 @@ import re
 import zlib
 from collections.abc import Iterator
 from dataclasses import dataclass
-from itertools import count
+from itertools import count, islice
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from .common import quoted, slices
 from .lattice import Vocabulary, by_length
 
 MARK = "▁"
 #: Byte pieces score this much below the rarest piece.
 BYTE_LOSS = 5.0
-_MEMO = 200_000
+_MEMO = 300_000
 _SEGMENT = re.compile(rf"\n|{MARK}*[^{MARK}\n]+|{MARK}+")
 
 
@@ -50,16 +56,20 @@ class PieceModel:
 
 
 def load(model_path: str) -> PieceModel:
-    """Pieces of a SentencePiece model file with byte pieces; Zipf scores by rank. Pieces that cross a segment's cut are left out."""
+    """Pieces of a SentencePiece model file with byte pieces, and their log probabilities (see above)."""
     import sentencepiece
 
     sp = sentencepiece.SentencePieceProcessor(model_file=model_path)
     size = sp.get_piece_size()
     bytes_at = [sp.piece_to_id(f"<0x{b:02X}>") for b in range(256)]
-    ids = [i for i in range(size) if not (sp.is_control(i) or sp.is_unknown(i) or sp.is_byte(i) or sp.is_unused(i)) and _SEGMENT.fullmatch(sp.id_to_piece(i))]
-    rank = np.argsort(np.argsort([-sp.get_score(i) for i in ids], kind="stable"), kind="stable")
-    share = 1.0 / (rank + 10.0)
-    return PieceModel([sp.id_to_piece(i) for i in ids], np.array(ids), np.log(share / share.sum()), bytes_at)
+    ids = [i for i in range(size) if not (sp.is_control(i) or sp.is_unknown(i) or sp.is_byte(i) or sp.is_unused(i))]
+    if crossing := [p for i in ids if not _SEGMENT.fullmatch(p := sp.id_to_piece(i))]:
+        raise ValueError(f"{len(crossing)} pieces cross a cut between segments, such as {crossing[0]!r}")
+    own = np.array([sp.get_score(i) for i in ids])
+    if np.logaddexp.reduce(own) > np.log(1.5) or np.logaddexp.reduce(own) < np.log(0.5):  # no distribution: merge ranks
+        rank = np.argsort(np.argsort(-own, kind="stable"), kind="stable")
+        own = np.log(1.0 / (rank + 10.0)) - np.log((1.0 / (np.arange(len(ids)) + 10.0)).sum())
+    return PieceModel([sp.id_to_piece(i) for i in ids], np.array(ids), own, bytes_at)
 
 
 def escape(text: str) -> str:
@@ -77,16 +87,29 @@ def segments(escaped: str) -> list[str]:
 class Segmenter:
     def __init__(self, model: PieceModel):
         self.model = model
-        # ids as little-endian 32-bit words, score, loss to the second best, and what the ids read back as
-        self.known: dict[str, tuple[bytes, float, float, str]] = {}
+        # of known segments: place, ids as little-endian 32-bit words, score, loss to the second best; where the best
+        # ids do not read back as the segment, what they read back as
+        self.place: dict[str, int] = {}
+        self.ids: list[bytes] = []
+        self.scores, self.losses = np.zeros(0), np.zeros(0)
+        self.odd: dict[int, str] = {}
         self.searched: dict[tuple[str, int], list[tuple[float, bytes]]] = {}  # what A-star has found
         self.number = {p: (float(s), int(i).to_bytes(4, "little")) for p, s, i in zip(model.pieces, model.scores, model.ids)}
         self.longest = model.vocabulary.longest
 
-    def learn(self, strings: list[str]) -> None:
-        """Best ids, score and loss to the second best of each new distinct segment."""
-        model = self.model
-        fresh = list(set(strings).difference(self.known))
+    def forget(self) -> None:
+        self.place.clear(), self.ids.clear(), self.odd.clear(), self.searched.clear()
+        self.scores, self.losses = np.zeros(0), np.zeros(0)
+
+    def learn(self, texts: list[list[str]]) -> list[np.ndarray]:
+        """Places of the segments of each text; ids, score and loss to the second best of each new one are found."""
+        model, place, had = self.model, self.place, len(self.place)
+        out = [np.array([place.setdefault(s, len(place)) for s in parts], dtype=np.int64) for parts in texts]
+        if len(place) == had:
+            return out
+        fresh = list(islice(place, had, None))
+        self.ids += [b""] * len(fresh)
+        scores, losses = np.zeros(len(fresh)), np.zeros(len(fresh))
         for ids, codes in by_length(fresh):
             found = model.vocabulary.match(codes)
             n, length = codes.shape
@@ -142,18 +165,23 @@ class Segmenter:
                     rest[i, rows] = np.maximum(rest[i, rows], score)
                     taken = on_best[i + size, rows] & (back[i + size, rows] == size)  # the best path's own edge
                     second[rows] = np.maximum(second[rows], np.where(taken, -np.inf, forward[i, rows] + score))
-            best, gap = forward[length].tolist(), (forward[length] - second).tolist()
+            scores[ids], losses[ids] = forward[length], forward[length] - second
+            from_, whole = (length - used).tolist(), packed.tobytes()
             for r, k in enumerate(ids.tolist()):
                 own = fresh[k]
                 if plain[r]:
-                    row = packed[r, length - used[r]:]
+                    row = whole[4 * (r * length + from_[r]):4 * (r + 1) * length]
                 else:  # some character is spelled in bytes
                     path, j = [], length
                     while j > 0:
                         path.append(self.number[own[j - back[j, r]:j]][1] if piece[j, r] >= 0 else self._bytes(own[j - 1]))
                         j -= back[j, r]
-                    row = np.frombuffer(b"".join(reversed(path)), dtype="<u4")
-                self.known[own] = (row.tobytes(), best[r], gap[r], self.read(row.tolist()))
+                    row = b"".join(reversed(path))
+                self.ids[had + k] = row
+                if (read := self.read(memoryview(row).cast("I"))) != own:
+                    self.odd[had + k] = read
+        self.scores, self.losses = np.concatenate([self.scores, scores]), np.concatenate([self.losses, losses])
+        return out
 
     def _bytes(self, char: str) -> bytes:
         return np.array([self.model.bytes_at[x] for x in char.encode("utf-8", "surrogatepass")], dtype="<u4").tobytes()
@@ -183,42 +211,39 @@ class Segmenter:
                 heapq.heappush(heap, (-(forward[i] + score + s), next(order), i, score + s, (ids, *tail)))
         return out
 
-    def encode_packed(self, text: str, n: int = 1) -> list[tuple[float, bytes]]:
-        """The n best (score, ids as little-endian 32-bit words) of a text, best first; fewer if it has fewer."""
-        parts = segments(escape(text))
-        self.learn(parts)
-        return self.combine(parts, n)[0]
-
-    def combine(self, parts: list[str], n: int) -> tuple[list[tuple[float, bytes]], str]:
-        """The n best of a text given as known segments, and the text that the best one's ids read back as."""
-        known = self.known
-        ids, scores, losses, read = map(list, zip(*[known[p] for p in parts]))
-        total = sum(scores)
-        back = unescape("".join(read))
+    def combine(self, parts: list[str], at: np.ndarray, n: int) -> tuple[list[tuple[float, bytes]], str]:
+        """The n best (score, packed ids) of a text given as segments and their places, best first (fewer if it has
+        fewer), and the text that the best one's ids read back as."""
+        total = float(self.scores[at].sum())
+        ids = [self.ids[k] for k in at.tolist()]
+        back = "".join([self.odd.get(k, p) for k, p in zip(at.tolist(), parts)] if self.odd else parts)
         if n == 1:
-            return [(total, b"".join(ids))], back
-        some = [k for k in heapq.nsmallest(n - 1, range(len(parts)), key=losses.__getitem__) if losses[k] < np.inf]
+            return [(total, b"".join(ids))], unescape(back)
+        losses = self.losses[at]
+        some = np.argsort(losses, kind="stable")[:n - 1] if len(at) < 4 * n else np.argpartition(losses, n - 2)[:n - 1]
+        some = sorted(k for k in some.tolist() if losses[k] < np.inf)
         for k in some:
             if (parts[k], n) not in self.searched:
                 self.searched[parts[k], n] = self.best_of(parts[k], n)
-        choices = {k: self.searched[parts[k], n] for k in some}
+        choices = [self.searched[parts[k], n] for k in some]
+        cuts = [0, *[k + 1 for k in some]]
+        between = [b"".join(ids[x:y]) for x, y in zip(cuts, [*some, len(ids)])]
         # combine: pop the best vector of choices, push those that take one more step in one segment
-        start = tuple(0 for _ in some)
+        start = (0,) * len(some)
         heap, seen, out = [(0.0, start)], {start}, []
         while heap and len(out) < n:
-            loss, at = heapq.heappop(heap)
-            for k, y in zip(some, at):
-                ids[k] = choices[k][y][1]
-            out.append((total - loss, b"".join(ids)))
-            for j, k in enumerate(some):
-                nxt = (*at[:j], at[j] + 1, *at[j + 1:])
-                if at[j] + 1 < len(choices[k]) and nxt not in seen:
+            loss, vector = heapq.heappop(heap)
+            out.append((total - loss, b"".join([between[0], *[x for c, y, b in zip(choices, vector, between[1:]) for x in (c[y][1], b)]])))
+            for j in range(len(some)):
+                nxt = (*vector[:j], vector[j] + 1, *vector[j + 1:])
+                if nxt[j] < len(choices[j]) and nxt not in seen:
                     seen.add(nxt)
-                    heapq.heappush(heap, (sum(choices[x][0][0] - choices[x][y][0] for x, y in zip(some, nxt)), nxt))
-        return out, back
+                    heapq.heappush(heap, (sum(c[0][0] - c[y][0] for c, y in zip(choices, nxt)), nxt))
+        return out, unescape(back)
 
     def encode(self, text: str, n: int = 1) -> list[tuple[float, list[int]]]:
-        return [(score, np.frombuffer(ids, dtype="<u4").tolist()) for score, ids in self.encode_packed(text, n)]
+        parts = segments(escape(text))
+        return [(score, np.frombuffer(ids, dtype="<u4").tolist()) for score, ids in self.combine(parts, self.learn([parts])[0], n)[0]]
 
     def decode(self, ids: list[int]) -> str:
         """The text that ids stand for."""
@@ -245,38 +270,41 @@ class Segmenter:
         return "".join(out)
 
 
-SCHEMA = "id {id}, n_pieces long, ids_crc32 long, score double, nbest_scores array<double>, nbest_crc32 array<long>, round_trip boolean"
+SCHEMA = "id {id}, n_pieces long, ids array<int>, ids_crc32 long, score double, nbest_scores array<double>, nbest_ids array<array<int>>, decoded string, round_trip boolean"
+
+
+def _lists(rows: list[bytes]) -> pa.Array:
+    """Lists of 32-bit ids from their bytes."""
+    ends = np.cumsum([0, *[len(r) // 4 for r in rows]], dtype=np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(rows), dtype="<i4")))
 
 
 def segment_documents(docs: DataFrame, model_path: str, *, n: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The best segmentation's size, checksum and score, scores and checksums of the n best, and whether ids decode to the text.
+    """The best segmentation's ids (number, checksum, score), scores and ids of the n best, and the text that ids decode to.
 
     Null text counts as empty (the front mark alone). U+2581 in a text reads back as a space, and ``round_trip`` says
-    so. Texts are read whole; equal texts get equal values; an empty table gives an empty result. Other columns are
-    ignored.
+    so. Texts are read whole; equal texts get equal values (segmentations of one score in any order); an empty table
+    gives an empty result. Other columns are ignored.
     """
+    names = ["id", "n_pieces", "ids", "ids_crc32", "score", "nbest_scores", "nbest_ids", "decoded", "round_trip"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Segmenter(load(model_path))
-        for b in batches:
-            rows, texts = [], [t or "" for t in b.column(1).to_pylist()]
-            lo = 0
-            while lo < len(texts):  # about 4 MB of text at a time
-                hi, held = lo, 0
-                while hi < len(texts) and (hi == lo or held < 1 << 22):
-                    held += len(texts[hi])
-                    hi += 1
-                part, lo = texts[lo:hi], hi
-                if len(own.known) > _MEMO:
-                    own.known.clear()
-                    own.searched.clear()
-                cut_up = [segments(escape(t)) for t in part]
-                own.learn([s for parts in cut_up for s in parts])
-                for t, parts in zip(part, cut_up):
-                    best, back = own.combine(parts, n)
-                    crcs = [zlib.crc32(i) for _, i in best]
-                    rows.append((len(best[0][1]) // 4, crcs[0], round(best[0][0], 4), [round(s, 4) for s, _ in best], crcs, back == t))
-            kinds = [pa.int64(), pa.int64(), pa.float64(), pa.list_(pa.float64()), pa.list_(pa.int64()), pa.bool_()]
-            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds))], names=["id", "n_pieces", "ids_crc32", "score", "nbest_scores", "nbest_crc32", "round_trip"])
-
-    return docs.select(id_col, text_col).mapInArrow(run, SCHEMA.format(id=dict(docs.dtypes)[id_col]))
+        for b in (part for whole in batches for part in slices(whole, 1, size=1 << 22)):
+            texts = [t or "" for t in b.column(1).to_pylist()]
+            if len(own.place) > _MEMO:
+                own.forget()
+            parts = [segments(escape(t)) for t in texts]
+            found, backs = map(list, zip(*[own.combine(p, at, n) for p, at in zip(parts, own.learn(parts))]))
+            best = [f[0][1] for f in found]
+            ends = pa.array(np.cumsum([0, *map(len, found)], dtype=np.int32))
+            yield pa.RecordBatch.from_arrays(
+                [
+                    b.column(0), pa.array([len(x) // 4 for x in best], pa.int64()), _lists(best), pa.array([zlib.crc32(x) for x in best], pa.int64()),
+                    pa.array([round(f[0][0], 4) for f in found], pa.float64()), pa.array([[round(s, 4) for s, _ in f] for f in found], pa.list_(pa.float64())),
+                    pa.ListArray.from_arrays(ends, _lists([x for f in found for _, x in f])), pa.array(backs, pa.string()), pa.array([x == t for x, t in zip(backs, texts)], pa.bool_()),
+                ],
+                names=names,
+            )
+
+    return docs.select(quoted(id_col).alias("id"), quoted(text_col).alias("text")).mapInArrow(run, SCHEMA.format(id=dict(docs.dtypes)[id_col]))

@@ -419,7 +419,37 @@ def test_pieces_round_trip(spark, segmenter):
     docs = table(spark, ["some text here", None, "a▁b", "some text here"])
     got = {r.id: r for r in pieces.segment_documents(docs, known.path("piece_bpe_32k.model")).collect()}
     assert got[0].round_trip and got[1].round_trip and not got[2].round_trip
-    assert got[0].nbest_crc32 == got[3].nbest_crc32 and got[0].nbest_scores == sorted(got[0].nbest_scores, reverse=True)
+    assert got[0].nbest_ids == got[3].nbest_ids and got[0].nbest_scores == sorted(got[0].nbest_scores, reverse=True)
+    assert got[0].ids == got[0].nbest_ids[0] and got[0].n_pieces == len(got[0].ids) and got[0].ids_crc32 == zlib.crc32(np.array(got[0].ids, dtype="<u4").tobytes())
+    assert got[0].decoded == "some text here" and got[1].decoded == "" and got[2].decoded == "a b"
+    assert all(segmenter.decode(ids) == "some text here" for ids in got[0].nbest_ids) and len({tuple(x) for x in got[0].nbest_ids}) == 4
+    assert pieces.segment_documents(docs.limit(0), known.path("piece_bpe_32k.model")).count() == 0
+
+
+def test_n_best_of_whole_documents(spark, sf, segmenter):
+    """Scores of the n best of given texts against a plain n-best dynamic program over the whole text, without segments."""
+    import heapq
+
+    import public_tokenizers as known
+
+    m = segmenter.model
+    score = dict(zip(m.pieces, m.scores.tolist()))
+    docs = spark.read.parquet(f"{sf}/documents.parquet").where("length(text) < 3000").limit(12)
+    texts = {r.doc_id: r.text for r in docs.select("doc_id", "text").collect()}
+    for r in pieces.segment_documents(docs, known.path("piece_bpe_32k.model"), n=4).collect():
+        text = pieces.escape(texts[r.id])
+        best = [[0.0]] + [[] for _ in text]
+        for j in range(1, len(text) + 1):
+            cands = []
+            for i in range(max(0, j - m.vocabulary.longest), j):
+                s = score.get(text[i:j])
+                if s is None and i == j - 1:
+                    s = len(text[i].encode()) * m.byte_score
+                if s is not None:
+                    cands += [x + s for x in best[i]]
+            best[j] = heapq.nlargest(4, cands)
+        assert np.allclose(r.nbest_scores, best[-1], atol=1e-3)
+        assert r.decoded == texts[r.id]
 
 
 # media
