@@ -109,17 +109,13 @@ def op8_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers as known
 
     pieces = packing.token_pieces(_table(spark, sf_dir, "documents"), known.path("byte_bpe_50k.json"), ranks_path=known.path("byte_bpe_50k.tiktoken"), pattern=known.PATTERN, end_id=2, width=1024)
-    return packing.pack(pieces, packing.Capacity(tokens=1024)).withColumnRenamed("id", "doc_id")
+    return packing.pack(pieces, packing.Capacity(tokens=1024, documents=1024, attention=1024**2)).withColumnRenamed("id", "doc_id")
 
 
 def op9_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Licences of ``documents`` as files ``source/lang/doc_id`` of a tree.
-
-    The table has no paths and no licence files: a document of at most 400 characters that carries a notice (mostly
-    the notice, then) speaks for its directory.
-    """
+    """Licences of ``documents`` as files ``source/lang/doc_id`` of a tree: the table has no paths of its own."""
     docs = _table(spark, sf_dir, "documents").withColumn("path", F.concat_ws("/", "source", "lang", F.col("doc_id").cast("string")))
-    return licenses.scan(docs, id_col="doc_id", license_file=F.coalesce(F.char_length("text") <= 400, F.lit(False))).withColumnRenamed("id", "doc_id")
+    return licenses.scan(docs, id_col="doc_id").withColumnRenamed("id", "doc_id")
 
 
 def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -616,24 +616,70 @@ def test_licenses(spark):
     assert not re.search("Python|Pandas|Arrow", licenses.own_licenses(df)._jdf.queryExecution().toString())
 
 
+def plain_passages(text):
+    lines = [x for x in text.split("\n") if x.strip()]
+    head = 0
+    while head < len(lines) and re.match(r"\s*(#|//|/?\*|--|;|%|<!--)", lines[head]):
+        head += 1
+    out = [text, " ".join(lines[:head]), *re.split(r"\n[ \t#*/;-]*\n", text), *lines, *[" ".join(lines[i:i + k]) for k in (2, 3) for i in range(len(lines))], *re.split(r"(?<=[.!?;:]) ", re.sub(r"\s+", " ", text))]
+    return [x for x in out if re.search(r"\b(" + "|".join(licenses.KEYWORDS) + ")", x)]
+
+
 def test_license_cosines_match_a_plain_reading(spark):
     import math
     from collections import Counter
 
     r = random.Random(11)
-    words = re.findall(r"[a-z0-9]+", " ".join(t for _, t in licenses.TEMPLATES).lower()) + ["foo", "bar"]
+    words = re.findall(r"[a-z0-9]+", " ".join(t for _, t in licenses.TEMPLATES[:11]).lower()) + ["foo", "bar"]
     lines = [" ".join(r.choice(words) for _ in range(r.randint(3, 9))) for _ in range(150)] + [t for _, t in licenses.TEMPLATES]
+    lines += ["\n".join(r.sample(lines[:150], 5)) for _ in range(20)] + [f"# {t}\n#\n# code {lines[0]}" for _, t in licenses.TEMPLATES]
     idf, rare, vectors = licenses.weights()
 
-    def best(line):
-        v = {t: n * idf.get(t, rare) for t, n in Counter(re.findall(r"[a-z0-9]+", line.lower())).items()}
-        norm = math.sqrt(sum(x * x for x in v.values()))
-        return min((-round(sum(x * w.get(t, 0) for t, x in v.items()) / norm / n, 6), name) for name, w, n in vectors)
+    def best(text):
+        out = (0, "")
+        for line in plain_passages(text.lower()):
+            v = {t: n * idf.get(t, rare) for t, n in Counter(re.findall(r"[a-z0-9]+", line)).items()}
+            norm = math.sqrt(sum(x * x for x in v.values()))
+            out = min(out, *((-round(sum(x * w.get(t, 0) for t, x in v.items()) / norm / n, 6), name) for name, w, n in vectors))
+        return out
 
     got = {x.id: x for x in licenses.own_licenses(spark.createDataFrame(list(enumerate(lines)), "id long, text string")).collect()}
     for i, line in enumerate(lines):
         c, name = best(line)
-        assert (got[i].license, got[i].cosine) == ((name, pytest.approx(-c, abs=2e-6)) if -c >= licenses.THRESHOLD else (None, None))
+        assert (got[i].license, got[i].cosine) == ((name, pytest.approx(-c, abs=2e-6)) if -c >= licenses.THRESHOLD else (None, None)), line
+    for i, (name, text) in enumerate(licenses.TEMPLATES):
+        assert got[150 + i].license == name and got[150 + i].whole and plain_passages(text.lower())
+        assert got[150 + len(licenses.TEMPLATES) + 20 + i].license is not None
+
+
+def test_license_texts_and_headers(spark):
+    """A licence file with a name and year, headers in comments, texts far from any licence that use its words."""
+    texts = dict(licenses.TEMPLATES[11:])
+    mit = licenses.TEMPLATES[12][1].replace("Copyright (c)", "Copyright (c) 2021 Ann Other\n\n").replace("The above", "\n\nThe above").replace("THE SOFTWARE IS", "\n\nTHE SOFTWARE IS")
+    bsd = dict(licenses.TEMPLATES[13:15])
+    gpl = licenses.TEMPLATES[20][1]
+    header = "\n".join(f" * {x}" for x in re.findall(r".{1,70}(?:\s|$)", gpl))  # with an empty line inside
+    rows = [
+        ("p/LICENSE", mit), ("p/src/deep/er/main.c", "int main() {}"), ("q/any-name", bsd["BSD-3-Clause"]), ("q/b2", "x = 1"), ("r/mod.c", f"/*\n * Tool, (C) 2001 Some One\n *\n{header}\n */\n\n" + "int f();\n" * 400),
+        ("r/other.c", "int g();"), ("s/LICENSE", "Terms to follow. Ask for permission, all copies need a license and rights."), ("s/x", "y"), ("t/COPYING", bsd["BSD-2-Clause"]), ("t/u", None), ("v/u", texts["Unlicense"]),
+    ]
+    df = spark.createDataFrame([(i, p, t) for i, (p, t) in enumerate(rows)], "id long, path string, text string")
+    got = {r.path: (r.license, r.effective, r.from_dir, r.licence_file) for r in licenses.scan(df).collect()}
+    assert got["p/LICENSE"] == ("MIT", "MIT", None, True) and got["p/src/deep/er/main.c"] == (None, "MIT", "p", False)
+    assert got["q/any-name"] == ("BSD-3-Clause", "BSD-3-Clause", None, True) and got["q/b2"] == (None, "BSD-3-Clause", "q", False)
+    assert got["r/mod.c"][0] == "GPL-2.0" and not got["r/mod.c"][3] and got["r/other.c"] == (None, None, None, False)
+    assert got["s/LICENSE"][0] is None and got["s/x"][1] is None
+    assert got["t/COPYING"][0] == "BSD-2-Clause" and got["t/u"][1] == "BSD-2-Clause" and got["v/u"][0] == "Unlicense"
+
+
+@pytest.mark.parametrize("most", [200_000, 0])
+def test_licenses_of_a_hot_directory(spark, monkeypatch, most):
+    monkeypatch.setattr(licenses, "BROADCAST_DIRS", most)
+    files = spark.range(3000).select("id", F.concat(F.lit("hot/a/"), "id").alias("path"), F.when(F.col("id") == 7, "MIT").alias("license"))
+    dirs = spark.createDataFrame([("hot", "ISC"), ("", "ARR"), ("cold", "MIT")], "dir string, dir_license string")
+    got = licenses.inherit(files, dirs)
+    assert got.count() == 3000 and {(r.effective, r.from_dir) for r in got.where("id <> 7").collect()} == {("ISC", "hot")}
+    assert got.where("id = 7").first().effective == "MIT"
 
 
 # HTML
