@@ -1,11 +1,13 @@
 """Main text of web pages by tag-path ratios.
 
-A page becomes its text blocks with their root-to-leaf tag paths. Parts that are boilerplate by their element, role or
-class (menus, headers, footers, sidebars, notices, adverts, forms, comments, scripts, styles) leave first. Of the rest,
-each path gathers text length, punctuation and number of blocks. Two ratios per path (text per block, punctuation per
-block) are laid along the page's blocks, smoothed, fused by their product, and thresholded at a share of their spread.
-The blocks above name the content region: the deepest element that holds all of them and the headings right before
-them. Its blocks are the result, short ones included. Within an article or main element nothing else is left out.
+A page becomes its text blocks with their root-to-leaf tag paths; what the markup itself says is no article (menus,
+footers, asides, forms, dialogs, scripts, styles, hidden parts; by element or role) has no blocks. Each path gathers
+text length, punctuation and number of blocks. Two ratios per path (text per block, punctuation per block) are laid
+along the page's blocks, smoothed and fused by their product with a prior of its class names, which is nought for names
+of boilerplate (adverts, notices, comments, sharing). Paths at or above a share of the page's mean score, weighted by
+length, are content; their blocks name the content nodes: the article or main element around them, elsewhere the deepest
+element that holds all of them and the headings right before them. The nodes' blocks are the result, short ones
+included, but for those of no score at all.
 """
 
 from __future__ import annotations
@@ -15,11 +17,14 @@ import os.path
 import re
 from collections import defaultdict
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from .common import quoted, slices
+
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>|</([a-zA-Z][^\s/>]*)[^>]*>|<([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
 _ATTR = re.compile(r"([^\s=/>\"']+)(?:\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+))?")
 # Fixed values of the HTML standard.
@@ -34,7 +39,7 @@ PARTS = HEADINGS | frozenset("p li ul ol dl dt dd table thead tbody tfoot tr blo
 CLOSES = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "body": {"head"}}
 ENDS_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre search section table ul".split())
 BOUNDS = frozenset("ul ol dl table div section article main body aside nav header footer form td th".split())
-# Boilerplate by element, role and by whole words of class or id.
+# Boilerplate by element, by role, and by whole words of class or id.
 DROP = frozenset("head title script style noscript template iframe object embed svg canvas audio video nav aside footer form button select option optgroup textarea input fieldset legend dialog menu search noembed noframes datalist map".split())
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alertdialog alert menu menubar toolbar tablist".split())
 CUES = frozenset(
@@ -70,47 +75,49 @@ def _cued(names: str) -> set[str]:
     return out
 
 
-def _dropped(tag: str, raw: str, inside_content: bool, cues: bool = True) -> bool:
-    if tag in DROP:
-        return True
-    if tag == "header" and not inside_content:
-        return True
-    a = _attrs(raw)
-    if not a:
-        return False
-    if "hidden" in a or a.get("aria-hidden") == "true" or _HIDDEN.search(a.get("style", "")):
-        return True
-    if a.get("role", "").lower() in ROLES:
+def _dropped(tag: str, a: dict[str, str], inside_content: bool) -> bool:
+    """Whether the markup says that an element is no part of the article."""
+    if tag in DROP or tag == "header" and not inside_content:
         return True
-    if not cues:
+    return bool(a) and ("hidden" in a or a.get("aria-hidden") == "true" or a.get("role", "").lower() in ROLES or bool(_HIDDEN.search(a.get("style", ""))))
+
+
+def _named(tag: str, a: dict[str, str]) -> bool:
+    """Whether an element's class or id names boilerplate."""
+    if not ("class" in a or "id" in a):
         return False
     found = _cued(f"{a.get('class', '')} {a.get('id', '')}")
-    if tag in KEEPERS:
-        return tag == "article" and bool(found & COMMENT_CUES)
-    return bool(found)
+    return tag == "article" and bool(found & COMMENT_CUES) if tag in KEEPERS else bool(found)
 
 
-def blocks(page: str, cues: bool = True) -> list[tuple[tuple[int, ...], str, str]]:
-    """(element numbers from the root, tag path, text) of each block of text that is not boilerplate, in page order.
+@dataclass(frozen=True)
+class Block:
+    """``nodes``: element numbers from the root, ``path``: their tags; ``named``: some class or id says boilerplate."""
 
-    Without ``cues``, class and id names are not looked at.
-    """
-    out: list[tuple[tuple[int, ...], str, str]] = []
-    stack: list[tuple[str, int, bool, bool]] = []  # tag, number, dropped, inside article or main
+    nodes: tuple[int, ...]
+    path: str
+    text: str
+    named: bool
+
+
+def blocks(page: str) -> list[Block]:
+    """Blocks of text in page order."""
+    out: list[Block] = []
+    stack: list[tuple[str, int, bool, bool, bool]] = []  # tag, number, dropped, inside article or main, named
     text: list[str] = []
     at, count, owner = 0, 0, ()
 
     def flush() -> None:
         if text:
             if joined := " ".join(entities.unescape("".join(text)).split()):
-                out.append((tuple(n for _, n in owner), "/".join(t for t, _ in owner), joined))
+                out.append(Block(tuple(n for _, n, _ in owner), "/".join(t for t, *_ in owner), joined, any(x for *_, x in owner)))
             text.clear()
 
     def said(piece: str) -> None:
         nonlocal owner
         if piece and not (stack and stack[-1][2]):
             if not text:
-                owner = tuple((t, n) for t, n, *_ in stack if t not in INLINE)
+                owner = tuple((t, n, x) for t, n, *_, x in stack if t not in INLINE)
             text.append(piece)
 
     def close(k: int) -> None:
@@ -157,10 +164,11 @@ def blocks(page: str, cues: bool = True) -> list[tuple[tuple[int, ...], str, str
                 continue
             count += 1
             inside = bool(stack and stack[-1][3]) or name in ("article", "main")
-            drop = gone or _dropped(name, raw, bool(stack and stack[-1][3]), cues)
+            a = {} if gone else _attrs(raw)
+            drop = gone or _dropped(name, a, bool(stack and stack[-1][3])) or name in INLINE and _named(name, a)
             if drop and not gone:
                 flush() if name not in INLINE else None
-            stack.append((name, count, drop, inside))
+            stack.append((name, count, drop, inside, not drop and _named(name, a)))
             if name in RAW:
                 end = re.compile(rf"</{name}(?=[\s/>])[^>]*>", re.I).search(page, pos)
                 said(page[pos:end.start() if end else len(page)])
@@ -171,49 +179,65 @@ def blocks(page: str, cues: bool = True) -> list[tuple[tuple[int, ...], str, str
     return out
 
 
-def path_scores(found: list[tuple[tuple[int, ...], str, str]], radius: int = 1) -> np.ndarray:
-    """Fused, smoothed path ratios along the blocks."""
+def path_scores(found: list[Block], radius: int = 1, names: bool = True) -> np.ndarray:
+    """Fused, smoothed path ratios along the blocks; ``names``: with the prior of class names."""
     chars, marks, number = defaultdict(int), defaultdict(int), defaultdict(int)
-    for _, path, text in found:
-        chars[path] += len(text)
-        marks[path] += len(_PUNCT.findall(text))
-        number[path] += 1
-    ratio = np.array([chars[p] / number[p] for _, p, _ in found])
-    punct = np.array([(1 + marks[p]) / number[p] for _, p, _ in found])
+    named = np.array([names and b.named for b in found])
+    keys = [(b.path, x) for b, x in zip(found, named.tolist())]
+    for key, b in zip(keys, found):
+        chars[key] += len(b.text)
+        marks[key] += len(_PUNCT.findall(b.text))
+        number[key] += 1
+    ratio = np.array([chars[k] / number[k] for k in keys])
+    punct = np.array([(1 + marks[k]) / number[k] for k in keys])
     weight = np.exp(-0.5 * (np.arange(-radius, radius + 1) / max(radius, 1)) ** 2)
     weight /= weight.sum()
     smooth = lambda x: np.convolve(np.pad(x, radius, mode="edge"), weight, mode="valid")
-    return smooth(ratio) * smooth(punct)
+    return np.where(named, 0.0, smooth(ratio) * smooth(punct))
+
+
+def _content_node(b: Block) -> tuple[int, ...]:
+    """Numbers down to the outermost article around a block, else main; empty without either."""
+    tags = b.path.split("/")
+    for name in ("article", "main"):
+        if name in tags:
+            return b.nodes[:tags.index(name) + 1]
+    return ()
 
 
-def main_text(page: str | None, *, spread: float = 0.8) -> str:
+def main_text(page: str | None, *, share: float = 0.8, names: bool = True, scores=path_scores) -> str:
     """The page's article; empty if there is none.
 
-    In an article or main element that is all but boilerplate. ``spread``: elsewhere, blocks count as content from
-    this share of the scores' standard deviation on, and the region is what holds them and their headings.
+    ``share``: paths are content from this share of the score on that an average character of the page has. ``names``: whether class and id
+    names take part. ``scores`` is for ablations.
     """
-    if not page:
+    if not page or not (found := blocks(page)):
         return ""
-    found = blocks(page)
-    marked = re.search(r"<(article|main)[\s>]", page, re.I) is not None
-    if marked and not any("article" in path.split("/") or "main" in path.split("/") for _, path, _ in found) and (again := blocks(page, False)):
-        found = again  # a name above the article was misread: go by elements and roles alone
-    if not found:
+    homes = [_content_node(b) for b in found]
+    if names and any(homes) and all(b.named for b, h in zip(found, homes) if h):
+        names = False  # a name above the article was misread: go by elements, roles and ratios alone
+    value = scores(found, names=names)
+    if not value.any():
         return ""
-    marked = [x for x in found if "article" in x[1].split("/") or "main" in x[1].split("/")]
-    if marked:
-        return " ".join(x[2] for x in marked)
-    scores = path_scores(found)
-    level = spread * float(scores.std())
-    picked = np.flatnonzero(scores >= min(level, scores.max())).tolist()
-    first = picked[0]
-    while first and found[first - 1][1].rsplit("/", 1)[-1] in HEADINGS:
-        first -= 1
-    region = os.path.commonprefix([found[i][0] for i in (first, *picked)])
-    tags = found[first][1].split("/")
-    while region and tags[len(region) - 1] in PARTS:  # what is said beside a part belongs to it
-        region = region[:-1]
-    return " ".join(x[2] for x in found if x[0][:len(region)] == region)
+    chars = np.array([len(b.text) for b in found])
+    picked = np.flatnonzero((value > 0) & (value >= share * float((value * chars).sum() / chars[value > 0].sum()) - 1e-9)).tolist()
+    nodes = {homes[i] for i in picked if homes[i]}
+    if nodes:
+        keep = {i for i, h in enumerate(homes) if h in nodes and value[i] > 0} | set(picked)
+        for i in sorted(keep):  # the headings that main has right before its article
+            while i and i - 1 not in keep and value[i - 1] > 0 and homes[i - 1] and homes[i][:len(homes[i - 1])] == homes[i - 1] and found[i - 1].path.rsplit("/", 1)[-1] in HEADINGS:
+                i -= 1
+                keep.add(i)
+        return " ".join(found[i].text for i in sorted(keep))
+    region, tags = os.path.commonprefix([found[i].nodes for i in picked]), found[picked[0]].path.split("/")
+    while True:
+        while region and tags[len(region) - 1] in PARTS:  # what is said beside a part belongs to it
+            region = region[:-1]
+        first = next(i for i, b in enumerate(found) if b.nodes[:len(region)] == region)
+        if not (first and value[first - 1] > 0 and found[first - 1].path.rsplit("/", 1)[-1] in HEADINGS):
+            break
+        region = os.path.commonprefix([region, found[first - 1].nodes])
+    return " ".join(b.text for b, v in zip(found, value) if v > 0 and b.nodes[:len(region)] == region)
 
 
 def extract(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
@@ -225,9 +249,9 @@ def extract(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url",
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (part for whole in batches for part in slices(whole, 2)):
             texts = [main_text(x) for x in b.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["id", "url", "text", "n_chars"])
 
     kinds = dict(pages.dtypes)
-    return pages.select(id_col, url_col, html_col).mapInArrow(run, f"id {kinds[id_col]}, url {kinds[url_col]}, text string, n_chars long")
+    return pages.select(quoted(id_col).alias("id"), quoted(url_col).alias("url"), quoted(html_col).alias("html")).mapInArrow(run, f"id {kinds[id_col]}, url {kinds[url_col]}, text string, n_chars long")

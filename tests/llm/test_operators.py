@@ -737,3 +737,35 @@ def test_html_layout_classes():
     assert html_text.main_text('<body class="x"><div class="widget-area"><article><p>Inside, still.</p></article></div></body>') == "Inside, still."
     long_ = "".join(f"<p>Paragraph {i}, long enough, with words.</p>" for i in range(5))
     assert html_text.main_text(f'<body><div class="content-with-sidebar"><div class="post-header"><h1>Head</h1></div>{long_}</div><div class="sidebar">no, no</div></body>').startswith("Head Paragraph 0")
+
+
+def plain_article(page):
+    inner = re.search(r"<article>(.*)</article>", page, re.S)[1]
+    plain = re.sub(r"</?[a-z0-9]+[^>]*>", lambda m: "" if m[0] in ("<b>", "</b>") else " ", inner)
+    return " ".join(html.unescape(plain).split())
+
+
+@pytest.mark.parametrize("shape", ["article", "div", "table"])
+@pytest.mark.parametrize("names", [True, False])
+def test_html_by_ratios(spark, sf, shape, names):
+    """The given pages, also with other elements for article, and with the list of class names off: path ratios alone
+    find the text then. With flat or random scores they do not, so the scores decide."""
+    pages = [r.html for r in spark.read.parquet(f"{sf}/pages.parquet").collect()]
+    change = {"article": lambda p: p, "div": lambda p: p.replace("<article>", "<div>").replace("</article>", "</div>"), "table": lambda p: p.replace("<article>", "<table><tr><td>").replace("</article>", "</td></tr></table>")}[shape]
+
+    def right(**kw):
+        return np.mean([html_text.main_text(change(p), names=names, **kw) == plain_article(p) for p in pages])
+
+    assert right() >= (1.0 if names else 0.88)  # without names, an article shorter than its one advert cannot be told from it
+    assert right(scores=lambda found, names=True: np.ones(len(found))) < 0.1
+    r = np.random.default_rng(1)
+    assert right(scores=lambda found, names=True: r.random(len(found))) < (0.8 if shape == "article" else 0.5)
+
+
+def test_html_ratios_beside_long_boilerplate():
+    para = "".join(f"<p>Sentence number {i}, with words, and more words. It goes on, and on, for some time.</p>" for i in range(8))
+    links = "".join(f"<div><span>teaser {i}</span></div>" for i in range(30))
+    page = f"<body><div>{links}</div><div><h2>Own title</h2>{para}</div><div><ul>{'<li>tag</li>' * 20}</ul></div></body>"
+    assert html_text.main_text(page) == "Own title " + " ".join(f"Sentence number {i}, with words, and more words. It goes on, and on, for some time." for i in range(8))
+    page = f"<body><main><h1>Head</h1><article>{para}<div class='share'>Share, this.</div></article><p>More: a, b.</p></main></body>"
+    assert html_text.main_text(page).startswith("Head Sentence number 0") and "Share" not in html_text.main_text(page)
