@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, slices
+from .common import cut, quoted, slices
 
 BUCKET = 16384
 PIECES = "id {id}, piece int, start long, length long, ids_crc32 long"
@@ -28,13 +28,17 @@ PIECES = "id {id}, piece int, start long, length long, ids_crc32 long"
 
 @dataclass(frozen=True)
 class Capacity:
-    """What a sequence holds. The last two do not bind unless they are set lower."""
+    """What a sequence holds: tokens, documents and attention cost (a piece's length squared).
+
+    At the defaults documents bind for sequences of very short ones; 1024 tokens in one piece take all the attention.
+    Weights are those of the three in the choice among the sequences that fit.
+    """
 
     tokens: int = 1024
-    documents: int = 1 << 20
-    attention: int = 1 << 40
+    documents: int = 64
+    attention: int = 1024**2
     rule: str = "norm"
-    weights: tuple[float, float, float] = (1.0, 1e-3, 1e-3)
+    weights: tuple[float, float, float] = (1.0, 1.0, 1.0)
 
 
 #: Characters on which both tokenizer libraries split alike; other texts go to the slower library, whose ids count.
@@ -69,7 +73,11 @@ class Encoder:
 
 
 def token_pieces(docs: DataFrame, tokenizer_path: str, *, ranks_path: str | None = None, pattern: str | None = None, end_id: int = 2, width: int = 1024, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``id, piece, start, length, ids_crc32`` of every document's pieces. Null text counts as empty (one end token)."""
+    """``id, piece, start, length, ids_crc32`` of every document's pieces.
+
+    Null text counts as empty (one end token). Texts are read whole, whatever their length; repeated rows give repeated
+    pieces; other columns are ignored; an empty table gives an empty result.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = Encoder(tokenizer_path, ranks_path, pattern)
@@ -87,7 +95,7 @@ def token_pieces(docs: DataFrame, tokenizer_path: str, *, ranks_path: str | None
                 names=["id", "piece", "start", "length", "ids_crc32"],
             )
 
-    return docs.select(id_col, text_col).mapInArrow(run, PIECES.format(id=dict(docs.dtypes)[id_col]))
+    return docs.select(quoted(id_col).alias("id"), quoted(text_col).alias("text")).mapInArrow(run, PIECES.format(id=dict(docs.dtypes)[id_col]))
 
 
 def best_fit(lengths: np.ndarray, cap: Capacity) -> tuple[np.ndarray, np.ndarray]:

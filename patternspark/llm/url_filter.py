@@ -17,11 +17,16 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
+
+from .common import UPPER, quoted, slices
 
 SEED = 0
 #: Largest array that is sent to the workers whole; longer lists go through ``judge_urls_by_join``.
 MAX_BYTES = 256 << 20
+#: Hosts that ``hosts_named`` gathers at most; more need ``judge_urls_by_join``.
+MAX_HOSTS = 4_000_000
 _MAGIC = b"DIGARR01"
 
 
@@ -158,24 +163,45 @@ def filter_urls(pages: DataFrame, rules: UrlRules, blocklist: Iterable[str] = ()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         (own, own_len, own_names), (block, block_len, _) = [(map_bytes(p), n, v) for p, n, v in shipped.value]
-        for b in batches:
+        for b in (part for whole in batches for part in slices(whole, 1, 8192)):
             urls = b.column(1).to_pylist()
             parts, at = judge(urls, own, own_len)
             _, listed_at = judge(urls, block, block_len)
-            texts = [bytes(own.blob[own.offsets[k]:own.offsets[k + 1]]).decode() if k >= 0 else None for k in range(-1, len(own.keys))]
+            texts = {k: bytes(own.blob[own.offsets[k]:own.offsets[k + 1]]).decode() for k in set(at) if k >= 0}
             yield pa.RecordBatch.from_arrays(
                 [
                     b.column(0),
                     pa.array([h for h, _ in parts], pa.string()),
                     pa.array([p for _, p in parts], pa.string()),
-                    pa.array([texts[k + 1] for k in at], pa.string()),
+                    pa.array([texts.get(k) for k in at], pa.string()),
                     pa.array([own_names[own.verdicts[k]] if k >= 0 else "block" if j >= 0 else default for k, j in zip(at, listed_at)], pa.string()),
                 ],
                 names=["id", "host", "path", "rule", "verdict"],
             )
 
     kind = dict(pages.dtypes)[id_col]
-    return pages.select(id_col, url_col).mapInArrow(run, f"id {kind}, host string, path string, rule string, verdict string")
+    return pages.select(quoted(id_col).alias("id"), quoted(url_col).alias("url")).mapInArrow(run, f"id {kind}, host string, path string, rule string, verdict string")
+
+
+def url_parts(url: Column) -> tuple[Column, Column]:
+    """Host and path as columns, as ``split_url`` gives them."""
+    rest = F.when(F.instr(url, "://") > 0, F.regexp_extract(url, r"(?s)^.*?://(.*)$", 1)).otherwise(F.lit(""))
+    host = F.translate(F.regexp_extract(rest, r"^([^/?#]*)", 1), UPPER, UPPER.lower())
+    return F.coalesce(host, F.lit("")), F.coalesce(F.regexp_extract(rest, r"^[^/?#]*([^?#]*)", 1), F.lit(""))
+
+
+def hosts_named(pages: DataFrame, words: Iterable[str], *, url_col: str = "url") -> list[str]:
+    """A blocklist from the pages themselves: their hosts that have one of ``words`` as a part between dots and hyphens.
+
+    Null URLs and URLs without ``://`` have no host; repeated rows count once; other columns are ignored; an empty
+    table gives an empty list. Over MAX_HOSTS hosts are refused.
+    """
+    host = url_parts(quoted(url_col))[0]
+    own = pages.select(host.alias("host")).where(F.arrays_overlap(F.split("host", "[.-]"), F.array(*[F.lit(w) for w in words]))).distinct()
+    found = own.limit(MAX_HOSTS + 1).collect()
+    if len(found) > MAX_HOSTS:
+        raise ValueError(f"more than {MAX_HOSTS} hosts; use judge_urls_by_join")
+    return sorted(r.host for r in found)
 
 
 def judge_urls_by_join(pages: DataFrame, entries: DataFrame, *, id_col: str = "page_id", url_col: str = "url") -> DataFrame:
@@ -183,18 +209,14 @@ def judge_urls_by_join(pages: DataFrame, entries: DataFrame, *, id_col: str = "p
 
     Host suffixes and path prefixes up to each ``/`` are exploded as candidates (bounded by a URL's own length) and
     joined on the 64-bit digest and the string. Gives ``id, entry`` of the longest matching entry (null: none). Path
-    prefixes of entries must end at a ``/`` or be empty.
+    prefixes of entries must end at a ``/`` or be empty. Null URLs and URLs without ``://`` match nothing, repeated rows
+    are judged alike, ties in length cannot be; other columns are ignored; an empty table gives an empty result.
     """
-    from pyspark.sql import functions as F
-
-    u = F.coalesce(F.col(url_col), F.lit(""))
-    rest = F.when(F.instr(u, "://") > 0, F.substring_index(F.expr(f"substr({url_col}, instr({url_col}, '://') + 3)"), "\u0000", 1)).otherwise(F.lit(""))
-    host = F.translate(F.regexp_extract(rest, r"^([^/?#]*)", 1), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-    path = F.regexp_extract(rest, r"^[^/?#]*([^?#]*)", 1)
+    host, path = url_parts(quoted(url_col))
     labels, steps = F.split("host", r"\."), F.split("path", "/")
     suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
     prefixes = F.array_union(F.array(F.lit("")), F.when(F.size(steps) > 1, F.transform(F.sequence(F.lit(1), F.size(steps) - 1), lambda i: F.concat(F.array_join(F.slice(steps, 1, i), "/"), F.lit("/")))).otherwise(F.array().cast("array<string>")))
-    asked = pages.select(F.monotonically_increasing_id().alias("_row"), F.col(id_col).alias("id"), host.alias("host"), path.alias("path")).select("_row", "id", F.explode(suffixes).alias("s"), prefixes.alias("ps")).select("_row", "id", F.explode(F.transform("ps", lambda p: F.concat("s", p))).alias("entry"))
+    asked = pages.select(F.monotonically_increasing_id().alias("_row"), quoted(id_col).alias("id"), host.alias("host"), path.alias("path")).select("_row", "id", F.explode(suffixes).alias("s"), prefixes.alias("ps")).select("_row", "id", F.explode(F.transform("ps", lambda p: F.concat("s", p))).alias("entry"))
     asked = asked.withColumn("d", F.xxhash64("entry"))
     listed = entries.select("entry").distinct().withColumn("d", F.xxhash64("entry")).withColumn("hit", F.lit(True))
     best = asked.join(listed, ["d", "entry"], "left").groupBy("_row", "id").agg(F.max(F.when(F.col("hit"), F.struct(F.length("entry").alias("n"), "entry"))).alias("m"))

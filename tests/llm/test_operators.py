@@ -70,6 +70,19 @@ def test_urls(spark):
     assert url_filter.filter_urls(df.limit(0), rules).count() == 0
 
 
+def test_hosts_named(spark):
+    urls = ["http://A.Spam-farm.org/x", "https://spam.org", "http://a.spam-farm.org?y", "http://notspam.org/", "http://x.org/spam", None, "spam", "http://my.spammer.org"]
+    df = spark.createDataFrame([(i, u, "clash") for i, u in enumerate(urls)], "page_id long, url string, host string")
+    assert url_filter.hosts_named(df, ["spam", "ads"]) == ["a.spam-farm.org", "spam.org"]
+    assert url_filter.hosts_named(df.limit(0), ["spam"]) == []
+    from pyspark.sql import functions as F
+
+    odd = ["HTTP://Ab.C/d/e?f#g", "a://b", "a://b#c/d", "://", "x://y://z", "a://é.Ñ/ß", "no", "", "a://b\n/c"]
+    host, path = url_filter.url_parts(F.col("u"))
+    got = spark.createDataFrame([(u,) for u in odd], "u string").select("u", host.alias("h"), path.alias("p")).collect()
+    assert all((r.h, r.p) == url_filter.split_url(r.u) for r in got)
+
+
 def test_digest_collisions_are_settled_by_the_strings():
     same = lambda b: 7
     a = url_filter.DigestArray.build([("one", 0), ("two", 1)], same)
@@ -572,6 +585,31 @@ def test_best_fit_respects_every_capacity(rule):
         packing.best_fit(np.array([80]), packing.Capacity(100, 4, 100))
 
 
+@pytest.mark.parametrize("rule", ["norm", "dot"])
+def test_best_fit_looks_at_every_dimension(rule):
+    """As a plain reading of the rule chooses; with the weights of two dimensions off, the choice is another one."""
+    r = random.Random(19)
+    lengths = np.array(sorted((r.randint(1, 1023) for _ in range(1500)), reverse=True))
+    cap = packing.Capacity(1024, 6, 1024**2, rule)
+    seq, off = packing.best_fit(lengths, cap)
+    full, free = np.array([1024, 6, 1024**2], dtype=float), []
+    for i, size in enumerate(lengths.tolist()):
+        need = np.array([size, 1, size * size], dtype=float)
+        fits = [k for k, f in enumerate(free) if (f >= need).all()]
+        value = {k: (np.array(cap.weights) * need / full**2 * free[k]).sum() if rule == "dot" else -(np.array(cap.weights) * ((free[k] - need) / full) ** 2).sum() for k in fits}
+        own = int(seq[i])
+        if fits:
+            assert value[own] >= max(value.values()) - 1e-12
+        else:
+            assert own == len(free)
+            free.append(full.copy())
+        free[own] -= need
+    assert max(np.bincount(seq)) == 6 or rule == "norm"
+    assert (off != packing.best_fit(lengths, packing.Capacity(1024, 6, 1024**2, rule, (1.0, 0.0, 0.0)))[1]).mean() > 0.02
+    few = np.full(100, 3)
+    assert packing.best_fit(few, cap)[0].max() + 1 == 17  # six documents at most
+
+
 def test_packing_is_tight(spark):
     import public_tokenizers as known
     from tokenizers import Tokenizer
