@@ -211,14 +211,14 @@ class Segmenter:
                 heapq.heappush(heap, (-(forward[i] + score + s), next(order), i, score + s, (ids, *tail)))
         return out
 
-    def combine(self, parts: list[str], at: np.ndarray, n: int) -> tuple[list[tuple[float, bytes]], str]:
-        """The n best (score, packed ids) of a text given as segments and their places, best first (fewer if it has
-        fewer), and the text that the best one's ids read back as."""
+    def combine(self, parts: list[str], at: np.ndarray, n: int) -> tuple[bytes, list[float], list[tuple[int, int, bytes]], str]:
+        """Of a text given as segments and their places: the best packed ids, the n best scores (fewer if it has fewer),
+        the other segmentations as (start, stop, packed ids that stand there instead), and what the best reads back as."""
         total = float(self.scores[at].sum())
-        ids = [self.ids[k] for k in at.tolist()]
-        back = "".join([self.odd.get(k, p) for k, p in zip(at.tolist(), parts)] if self.odd else parts)
+        own = [self.ids[k] for k in at.tolist()]
+        back = unescape("".join([self.odd.get(k, p) for k, p in zip(at.tolist(), parts)] if self.odd else parts))
         if n == 1:
-            return [(total, b"".join(ids))], unescape(back)
+            return b"".join(own), [total], [], back
         losses = self.losses[at]
         some = np.argsort(losses, kind="stable")[:n - 1] if len(at) < 4 * n else np.argpartition(losses, n - 2)[:n - 1]
         some = sorted(k for k in some.tolist() if losses[k] < np.inf)
@@ -227,23 +227,34 @@ class Segmenter:
                 self.searched[parts[k], n] = self.best_of(parts[k], n)
         choices = [self.searched[parts[k], n] for k in some]
         cuts = [0, *[k + 1 for k in some]]
-        between = [b"".join(ids[x:y]) for x, y in zip(cuts, [*some, len(ids)])]
+        between = [b"".join(own[x:y]) for x, y in zip(cuts, [*some, len(own)])]
+        # the best has the first choice everywhere, so what is replaced is the same length as the own ids
+        chunks = [between[0], *[x for c, b in zip(choices, between[1:]) for x in (c[0][1], b)]]
+        ends = np.cumsum([len(c) // 4 for c in chunks]).tolist()
         # combine: pop the best vector of choices, push those that take one more step in one segment
         start = (0,) * len(some)
-        heap, seen, out = [(0.0, start)], {start}, []
-        while heap and len(out) < n:
+        heap, seen, scores, others = [(0.0, start)], {start}, [], []
+        while heap and len(scores) < n:
             loss, vector = heapq.heappop(heap)
-            out.append((total - loss, b"".join([between[0], *[x for c, y, b in zip(choices, vector, between[1:]) for x in (c[y][1], b)]])))
+            scores.append(total - loss)
+            if any(vector):
+                used = [j for j, y in enumerate(vector) if y]
+                lo, hi = 2 * used[0] + 1, 2 * used[-1] + 1  # chunks of the first and the last segment that change
+                mine = [choices[(c - 1) // 2][vector[(c - 1) // 2]][1] if c % 2 else chunks[c] for c in range(lo, hi + 1)]
+                others.append((ends[lo - 1], ends[hi], b"".join(mine)))
             for j in range(len(some)):
                 nxt = (*vector[:j], vector[j] + 1, *vector[j + 1:])
                 if nxt[j] < len(choices[j]) and nxt not in seen:
                     seen.add(nxt)
                     heapq.heappush(heap, (sum(c[0][0] - c[y][0] for c, y in zip(choices, nxt)), nxt))
-        return out, unescape(back)
+        return b"".join(chunks), scores, others, back
 
     def encode(self, text: str, n: int = 1) -> list[tuple[float, list[int]]]:
+        """The n best (score, ids) of a text, best first; fewer if it has fewer."""
         parts = segments(escape(text))
-        return [(score, np.frombuffer(ids, dtype="<u4").tolist()) for score, ids in self.combine(parts, self.learn([parts])[0], n)[0]]
+        packed, scores, others, _ = self.combine(parts, self.learn([parts])[0], n)
+        best = np.frombuffer(packed, dtype="<u4").tolist()
+        return list(zip(scores, [best, *[best[:a] + np.frombuffer(x, dtype="<u4").tolist() + best[b:] for a, b, x in others]]))
 
     def decode(self, ids: list[int]) -> str:
         """The text that ids stand for."""
@@ -270,7 +281,7 @@ class Segmenter:
         return "".join(out)
 
 
-SCHEMA = "id {id}, n_pieces long, ids array<int>, ids_crc32 long, score double, nbest_scores array<double>, nbest_ids array<array<int>>, decoded string, round_trip boolean"
+SCHEMA = "id {id}, n_pieces long, ids array<int>, ids_crc32 long, score double, nbest_scores array<double>, others array<struct<start: int, stop: int, ids: array<int>>>, decoded string, round_trip boolean"
 
 
 def _lists(rows: list[bytes]) -> pa.Array:
@@ -280,13 +291,14 @@ def _lists(rows: list[bytes]) -> pa.Array:
 
 
 def segment_documents(docs: DataFrame, model_path: str, *, n: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The best segmentation's ids (number, checksum, score), scores and ids of the n best, and the text that ids decode to.
+    """The best segmentation (ids, their number and checksum, score), the scores of the n best, the others, the decoded text.
 
+    Each of ``others``, second best first, is what stands in the best one's ids from ``start`` up to ``stop`` instead.
     Null text counts as empty (the front mark alone). U+2581 in a text reads back as a space, and ``round_trip`` says
     so. Texts are read whole; equal texts get equal values (segmentations of one score in any order); an empty table
     gives an empty result. Other columns are ignored.
     """
-    names = ["id", "n_pieces", "ids", "ids_crc32", "score", "nbest_scores", "nbest_ids", "decoded", "round_trip"]
+    names = ["id", "n_pieces", "ids", "ids_crc32", "score", "nbest_scores", "others", "decoded", "round_trip"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = Segmenter(load(model_path))
@@ -295,14 +307,15 @@ def segment_documents(docs: DataFrame, model_path: str, *, n: int = 4, id_col: s
             if len(own.place) > _MEMO:
                 own.forget()
             parts = [segments(escape(t)) for t in texts]
-            found, backs = map(list, zip(*[own.combine(p, at, n) for p, at in zip(parts, own.learn(parts))]))
-            best = [f[0][1] for f in found]
-            ends = pa.array(np.cumsum([0, *map(len, found)], dtype=np.int32))
+            best, scores, others, backs = map(list, zip(*[own.combine(p, at, n) for p, at in zip(parts, own.learn(parts))]))
+            flat = [x for o in others for x in o]
+            ends = pa.array(np.cumsum([0, *map(len, others)], dtype=np.int32))
+            edits = pa.StructArray.from_arrays([pa.array([x[0] for x in flat], pa.int32()), pa.array([x[1] for x in flat], pa.int32()), _lists([x[2] for x in flat])], names=["start", "stop", "ids"])
             yield pa.RecordBatch.from_arrays(
                 [
                     b.column(0), pa.array([len(x) // 4 for x in best], pa.int64()), _lists(best), pa.array([zlib.crc32(x) for x in best], pa.int64()),
-                    pa.array([round(f[0][0], 4) for f in found], pa.float64()), pa.array([[round(s, 4) for s, _ in f] for f in found], pa.list_(pa.float64())),
-                    pa.ListArray.from_arrays(ends, _lists([x for f in found for _, x in f])), pa.array(backs, pa.string()), pa.array([x == t for x, t in zip(backs, texts)], pa.bool_()),
+                    pa.array([round(s[0], 4) for s in scores], pa.float64()), pa.array([[round(x, 4) for x in s] for s in scores], pa.list_(pa.float64())),
+                    pa.ListArray.from_arrays(ends, edits), pa.array(backs, pa.string()), pa.array([x == t for x, t in zip(backs, texts)], pa.bool_()),
                 ],
                 names=names,
             )

@@ -432,10 +432,12 @@ def test_pieces_round_trip(spark, segmenter):
     docs = table(spark, ["some text here", None, "a▁b", "some text here"])
     got = {r.id: r for r in pieces.segment_documents(docs, known.path("piece_bpe_32k.model")).collect()}
     assert got[0].round_trip and got[1].round_trip and not got[2].round_trip
-    assert got[0].nbest_ids == got[3].nbest_ids and got[0].nbest_scores == sorted(got[0].nbest_scores, reverse=True)
-    assert got[0].ids == got[0].nbest_ids[0] and got[0].n_pieces == len(got[0].ids) and got[0].ids_crc32 == zlib.crc32(np.array(got[0].ids, dtype="<u4").tobytes())
+    assert got[0].others == got[3].others and got[0].nbest_scores == sorted(got[0].nbest_scores, reverse=True)
+    assert got[0].n_pieces == len(got[0].ids) and got[0].ids_crc32 == zlib.crc32(np.array(got[0].ids, dtype="<u4").tobytes())
     assert got[0].decoded == "some text here" and got[1].decoded == "" and got[2].decoded == "a b"
-    assert all(segmenter.decode(ids) == "some text here" for ids in got[0].nbest_ids) and len({tuple(x) for x in got[0].nbest_ids}) == 4
+    nbest = [got[0].ids, *[got[0].ids[:x.start] + x.ids + got[0].ids[x.stop:] for x in got[0].others]]
+    assert [i for _, i in segmenter.encode("some text here", 4)] == nbest
+    assert all(segmenter.decode(ids) == "some text here" for ids in nbest) and len({tuple(x) for x in nbest}) == 4
     assert pieces.segment_documents(docs.limit(0), known.path("piece_bpe_32k.model")).count() == 0
 
 
@@ -463,6 +465,9 @@ def test_n_best_of_whole_documents(spark, sf, segmenter):
             best[j] = heapq.nlargest(4, cands)
         assert np.allclose(r.nbest_scores, best[-1], atol=1e-3)
         assert r.decoded == texts[r.id]
+        of = dict(zip(m.ids.tolist(), m.scores.tolist())) | {i: m.byte_score for i in m.bytes_at}
+        for s, ids in zip(r.nbest_scores, [r.ids, *[r.ids[:x.start] + x.ids + r.ids[x.stop:] for x in r.others]]):
+            assert segmenter.decode(ids) == texts[r.id] and np.isclose(s, sum(of[i] for i in ids), atol=1e-3)
 
 
 # media
