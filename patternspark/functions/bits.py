@@ -93,13 +93,36 @@ def names_of(mask: Column, names: Sequence[str]) -> Column:
     return F.array_join(F.transform(items_of(mask, len(names)), lambda k: F.element_at(table, k + 1)), ",")
 
 
-def submasks(mask: Column) -> Column:
-    """ARRAY<BIGINT> of all non-empty subsets of a one-word mask of at most 20 items."""
-    # the k-th subset spreads the bits of k over the items of the mask
-    ids = items_of(mask, WORD)
+def single(item: Column, n: int) -> Column:
+    """Mask of one item given by a column."""
+    if is_wide(n):
+        words = F.array(*[F.lit(w) for w in range(len(words_of(0, n)))])
+        return F.transform(words, lambda w: F.when(F.floor(item / WORD) == w, shift(F.lit(1).cast("long"), (item % WORD).cast("int"))).otherwise(F.lit(0).cast("long")))
+    return shift(F.lit(1).cast("long"), item.cast("int"))
+
+
+def with_item(mask: Column, item: Column, n: int) -> Column:
+    return union(mask, single(item, n), n)
+
+
+def without_item(mask: Column, item: Column, n: int) -> Column:
+    return difference(mask, single(item, n), n)
+
+
+def of_items(ids: Column, n: int) -> Column:
+    """Mask of an ARRAY<INT> of item ids."""
+    one = lambda keep: F.aggregate(ids, F.lit(0).cast("long"), lambda a, i: F.when(keep(i), a.bitwiseOR(shift(F.lit(1).cast("long"), (i % WORD).cast("int")))).otherwise(a))
+    if not is_wide(n):
+        return F.aggregate(ids, F.lit(0).cast("long"), lambda a, i: a.bitwiseOR(shift(F.lit(1).cast("long"), i.cast("int"))))
+    return F.array(*[one(lambda i, w=w: F.floor(i / WORD) == w) for w in range(len(words_of(0, n)))])
+
+
+def submasks(mask: Column, n: int = WORD) -> Column:
+    """ARRAY of all subsets of a mask of at most 20 items, the empty one included."""
+    # the k-th subset takes the items at the places of k's bits
+    ids = items_of(mask, n)
     count = shift(F.lit(1).cast("long"), F.size(ids)) - 1
-    spread = lambda k: F.aggregate(F.transform(ids, lambda item, at: shift(F.getbit(k, at).cast("long"), item)), F.lit(0).cast("long"), lambda a, x: a.bitwiseOR(x))
-    return F.transform(F.sequence(F.lit(1).cast("long"), count), spread)
+    return F.transform(F.sequence(F.lit(0).cast("long"), count), lambda k: of_items(F.filter(ids, lambda item, at: F.getbit(k, at) == 1), n))
 
 
 # Python-side helpers of the kernels

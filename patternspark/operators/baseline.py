@@ -11,24 +11,23 @@ from .itemdb import ItemDB
 from .measure import support
 
 
-def mine_levelwise(db: ItemDB, minsup: int) -> DataFrame:
-    """``mask, sup`` of all frequent itemsets, level by level: join on the common prefix, prune by subsets, count.
-
-    A candidate is made of two frequent itemsets that differ in their highest item; all its one-item-smaller subsets
-    must be frequent (semi-joins); supports are one broadcast match. One-word masks.
-    """
+def next_level(level: DataFrame, n: int, k: int) -> DataFrame:
+    """``mask`` of sets of k + 1 items all of whose subsets of k items are in ``level``: a prefix join and a count."""
+    split = level.select("mask", F.array_max(bits.items_of(F.col("mask"), n)).alias("hi")).withColumn("pre", bits.without_item(F.col("mask"), F.col("hi"), n))
+    a, b = split.select("pre", F.col("hi").alias("ha")), split.select("pre", F.col("hi").alias("hb"))
+    cand = a.join(b, "pre").where("ha < hb").select(bits.with_item(bits.with_item(F.col("pre"), F.col("ha"), n), F.col("hb"), n).alias("mask"))
+    subs = cand.select("mask", F.explode(bits.items_of(F.col("mask"), n)).alias("i")).select("mask", bits.without_item(F.col("mask"), F.col("i"), n).alias("sub"))
+    known = subs.join(level.select(F.col("mask").alias("sub")), "sub", "left_semi").groupBy("mask").agg(F.count(F.lit(1)).alias("c"))
+    return known.where(F.col("c") == k + 1).select("mask")
+
+
+def mine_levelwise(db: ItemDB, minsup: int, *, max_size: int | None = None) -> DataFrame:
+    """``mask, sup`` of all frequent itemsets, level by level: join on the common prefix, prune by subsets, count."""
     spark, n = db.spark, db.n
-    level = spark.createDataFrame([(1 << i, s) for i, s in enumerate(db.supports) if s >= minsup], "mask long, sup long")
+    level = spark.createDataFrame([(bits.from_int(1 << i, n), s) for i, s in enumerate(db.supports) if s >= minsup], f"mask {bits.mask_type(n)}, sup long")
     out, k = level, 1
-    top = lambda c: bits.shift(F.lit(1).cast("long"), F.array_max(F.filter(F.array(*[F.lit(i) for i in range(n)]), lambda i: F.getbit(c, i) == 1)))
-    while n and level.take(1):
-        split = level.select("mask", top(F.col("mask")).alias("hi")).withColumn("pre", F.col("mask").bitwiseXOR(F.col("hi")))
-        a, b = split.select("pre", F.col("hi").alias("ha")), split.select("pre", F.col("hi").alias("hb"))
-        cand = a.join(b, "pre").where("ha < hb").select(F.col("pre").bitwiseOR(F.col("ha")).bitwiseOR(F.col("hb")).alias("mask"))
-        subs = cand.select("mask", F.explode(F.filter(F.array(*[F.lit(i) for i in range(n)]), lambda i: F.getbit("mask", i) == 1)).alias("i"))
-        subs = subs.select("mask", F.col("mask").bitwiseXOR(bits.shift(F.lit(1).cast("long"), F.col("i"))).alias("sub"))
-        known = subs.join(level.select(F.col("mask").alias("sub")), "sub", "left_semi").groupBy("mask").agg(F.count(F.lit(1)).alias("c"))
-        level = cut(support(db, known.where(F.col("c") == k + 1).select("mask")).where(F.col("sup") >= minsup), "level")
+    while n and (max_size is None or k < max_size) and level.take(1):
+        level = cut(support(db, next_level(level, n, k)).where(F.col("sup") >= minsup), "level")
         out, k = out.union(level), k + 1
     return out
 

@@ -40,12 +40,12 @@ def _check(budget: Budget | None, done: int) -> None:
         raise OutOfBudget(s)
 
 
-def grow_maximal(m: Matrix, minsup: int, *, scope: Scope = Scope(), budget: Budget | None = None, must_contain: int = 0, limit: int | None = None) -> Run:
+def grow_maximal(m: Matrix, minsup: int, *, scope: Scope = Scope(), budget: Budget | None = None, must_contain: int = 0, limit: int | None = None, min_size: int | None = None) -> Run:
     """Maximal frequent itemsets of a scope by greedy growth and depth-first branching.
 
     A node is a set with its rows. All extensions that keep the support on every row join at once; the rest are tried
     by rising support, and a branch whose every candidate fits under a known maximal set (compact subset blocking) is
-    cut. Hits are maximal over all items, those outside the scope included.
+    cut. Hits are maximal over all items, those outside the scope included. ``min_size`` cuts branches that cannot reach it.
     """
     run, t = Run(), Bitmap(m)
     known: list[int] = []
@@ -65,7 +65,7 @@ def grow_maximal(m: Matrix, minsup: int, *, scope: Scope = Scope(), budget: Budg
         reach = cur
         for i in cand:
             reach |= 1 << i
-        if any(reach & k == reach for k in known):
+        if min_size and reach.bit_count() < min_size or any(reach & k == reach for k in known):
             return
         if not cand:
             others = [i for i in range(m.n) if not cur >> i & 1 and got[i] >= minsup]
@@ -80,7 +80,7 @@ def grow_maximal(m: Matrix, minsup: int, *, scope: Scope = Scope(), budget: Budg
             reach = cur | 1 << i
             for j in rest:
                 reach |= 1 << j
-            if any(reach & x == reach for x in known):
+            if min_size and reach.bit_count() < min_size or any(reach & x == reach for x in known):
                 continue
             visit(cur | 1 << i, rows[t.has[rows, i]], rest)
 
@@ -98,11 +98,12 @@ def grow_maximal(m: Matrix, minsup: int, *, scope: Scope = Scope(), budget: Budg
     return run
 
 
-def propagate_all(m: Matrix, minsup: int, *, reified: bool = True, scope: Scope = Scope(), budget: Budget | None = None) -> Run:
+def propagate_all(m: Matrix, minsup: int, *, reified: bool = True, scope: Scope = Scope(), budget: Budget | None = None, max_size: int | None = None, weights: tuple[float, ...] = (), max_weight: float | None = None) -> Run:
     """Constraint propagation baseline: every frequent itemset by depth-first search with domains.
 
     Fixing an item to 1 removes the rows without it (coverage); the sum of possible rows under the threshold fails the
-    node. The reified form also fixes items to 0 whose own row sum cannot reach the threshold.
+    node. The reified form also fixes items to 0 whose own row sum cannot reach the threshold. ``max_size`` and
+    ``max_weight`` (a bound on the sum of the items' ``weights``) cut the search where they are reached.
     """
     run, t = Run(), Bitmap(m)
     nodes = fails = cuts = 0
@@ -113,6 +114,11 @@ def propagate_all(m: Matrix, minsup: int, *, reified: bool = True, scope: Scope
         nonlocal nodes, fails, cuts
         nodes += 1
         _check(budget, nodes)
+        if max_size is not None and cur.bit_count() >= max_size:
+            return
+        if max_weight is not None:
+            left = max_weight - sum(weights[i] for i in bits(cur))
+            cand = [i for i in cand if weights[i] <= left + 1e-12]
         got = t.counts(rows) if reified else None
         if reified:
             kept = [i for i in cand if got[i] >= minsup]
@@ -132,7 +138,7 @@ def propagate_all(m: Matrix, minsup: int, *, reified: bool = True, scope: Scope
         rows = t.rows(scope.must)
         total = int(t.w[rows].sum())
         if total >= minsup:
-            if scope.must:
+            if scope.must and (max_size is None or scope.must.bit_count() <= max_size) and (max_weight is None or sum(weights[i] for i in bits(scope.must)) <= max_weight + 1e-12):
                 run.found[scope.must] = total
             visit(scope.must, rows, order)
     except OutOfBudget as e:

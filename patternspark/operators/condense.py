@@ -12,10 +12,11 @@ from .measure import support
 
 def _neighbours(masks: DataFrame, n: int, add: bool) -> DataFrame:
     """``mask, other``: each itemset with one item more or less."""
-    ids = F.sequence(F.lit(0), F.lit(n - 1))
-    bit = bits.shift(F.lit(1).cast("long"), F.col("k"))
-    out = masks.select("*", F.explode(ids).alias("k")).where((F.getbit("mask", F.col("k")) == 0) if add else (F.getbit("mask", F.col("k")) == 1))
-    return out.withColumn("other", F.col("mask").bitwiseXOR(bit)).drop("k")
+    own = bits.items_of(F.col("mask"), n)
+    if not add:
+        return masks.select("*", F.explode(own).alias("k")).withColumn("other", bits.without_item(F.col("mask"), F.col("k"), n)).drop("k")
+    ids = F.array_except(F.array(*[F.lit(k) for k in range(n)]), own)
+    return masks.select("*", F.explode(ids).alias("k")).withColumn("other", bits.with_item(F.col("mask"), F.col("k"), n)).drop("k")
 
 
 def maximal(frequent: DataFrame, n: int) -> DataFrame:
@@ -33,22 +34,33 @@ def closed(frequent: DataFrame, n: int) -> DataFrame:
 def minimal_infrequent(frequent: DataFrame, db: ItemDB) -> DataFrame:
     """``mask`` of infrequent itemsets all of whose one-item-smaller subsets are frequent (the empty set counts)."""
     n, spark = db.n, db.spark
-    base = frequent.select("mask").union(spark.createDataFrame([(0,)], "mask long"))
+    base = frequent.select("mask").union(spark.createDataFrame([(bits.from_int(0, n),)], f"mask {bits.mask_type(n)}"))
     up = _neighbours(base, n, True).select(F.col("other").alias("mask")).distinct().join(frequent.select("mask"), "mask", "left_anti")
     down = _neighbours(up, n, False)
     bad = down.join(base.withColumnRenamed("mask", "other"), "other", "left_anti").select("mask").distinct()
     return up.join(bad, "mask", "left_anti")
 
 
+#: Longest border set that is expanded: 2 to this power subsets.
+MAX_EXPANDED = 30
+
+
 def expand_maximal(border: DataFrame, db: ItemDB) -> DataFrame:
     """``mask, sup`` of every non-empty subset of the border's masks: all frequent itemsets, recounted.
 
-    A border set of more than 20 items would give over a million subsets and is refused: report the border instead.
+    A set's items are halved, and the halves' subsets are combined in two steps, so no row holds more than 2^15 of
+    them. Border sets over MAX_EXPANDED items are refused: report the border, or bound the size.
     """
-    longest = border.agg(F.max(bits.size(F.col("mask"), db.n))).first()[0] or 0
-    if longest > 20 or bits.is_wide(db.n):
-        raise ValueError(f"expansion of sets of {longest} items over {db.n} items; report the border")
-    return support(db, border.select(F.explode(bits.submasks(F.col("mask"))).alias("mask")))
+    n = db.n
+    longest = border.agg(F.max(bits.size(F.col("mask"), n))).first()[0] or 0
+    if longest > MAX_EXPANDED:
+        raise ValueError(f"expansion of sets of {longest} items; report the border or bound the size")
+    ids = bits.items_of(F.col("mask"), n)
+    half = F.ceil(F.size(ids) / 2).cast("int")
+    halves = border.select(bits.of_items(F.slice(ids, F.lit(1), half), n).alias("a"), bits.of_items(F.slice(ids, half + 1, F.size(ids)), n).alias("b"))
+    first = halves.select(F.explode(bits.submasks(F.col("a"), n)).alias("a"), "b").distinct()
+    second = first.select("a", F.explode(bits.submasks(F.col("b"), n)).alias("b"))
+    return support(db, second.select(bits.union(F.col("a"), F.col("b"), n).alias("mask")).where(bits.size(F.col("mask"), n) > 0))
 
 
 def border_profile(frequent: DataFrame, db: ItemDB) -> DataFrame:
@@ -68,7 +80,7 @@ def deduce_bounds(known: DataFrame, n: int, m: int) -> DataFrame:
     """
     base = known.select("mask", "sup").union(known.sparkSession.createDataFrame([(0, m)], "mask long, sup long"))
     sets = known.where(F.bit_count("mask") >= 2)
-    subs = F.filter(F.concat(bits.submasks(F.col("mask")), F.array(F.lit(0).cast("long"))), lambda s: s != F.col("mask"))
+    subs = F.filter(bits.submasks(F.col("mask"), n), lambda s: s != F.col("mask"))
     between = sets.select("mask", "sup", F.explode(subs).alias("j")).select("mask", "sup", "j", F.explode(subs).alias("x")).where(F.col("x").bitwiseAND(F.col("j")) == F.col("j"))
     priced = between.join(base.select(F.col("mask").alias("x"), F.col("sup").alias("xs")), "x")
     sign = F.when((F.bit_count("mask") - F.bit_count("x")) % 2 == 1, 1).otherwise(-1)

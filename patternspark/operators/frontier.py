@@ -1,8 +1,10 @@
-"""Growing search as distributed rounds: every start grows together, supports are Spark aggregations.
+"""Growing search as distributed rounds: all open sets grow together, supports are Spark aggregations.
 
-For databases whose groups no task can hold. A round counts all one-item extensions of all open sets in one shuffle
-and adds the best to each. When all are maximal, the next starts are minimal sets that no known maximal set covers
-(hitting sets of the complements), and those of them that are infrequent become learned blockers.
+For databases whose groups no task can hold. An open set has a tail of items that may join it, those after its own in
+the order of rising support. A round counts, in one aggregation, every open set with each item of its tail and with the
+whole tail. A tail that fits whole ends its set; items that all of a set's rows have join at once; else each frequent
+item opens a set of its own with the items after it. Sets whose tail lies under a found one are dropped. Open sets, the
+found ones and their check are tables: nothing but counts reaches the driver.
 """
 
 from __future__ import annotations
@@ -12,69 +14,72 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from ..functions import bits
+from ..session import cut
 from .itemdb import ItemDB
-from .measure import support
+from .measure import matches
 from .solver import OutOfBudget
 
+#: Found sets are held against open ones up to this many; more open sets are counted then, and the result is the same.
+MOST_COVERS = 20_000
+#: Stands for the whole tail among the items of a round's counts.
+_ALL = -1
 
-def grow_round(db: ItemDB, frontier: DataFrame, minsup: int) -> DataFrame:
-    """``seed, mask, grown``: each open set with the item of greatest joint support added, if any reaches ``minsup``."""
-    rows = db.masks.select(F.col("mask").alias("row"), "w")
-    hit = rows.join(F.broadcast(frontier), F.col("row").bitwiseAND(F.col("mask")) == F.col("mask"))
-    ids = F.array(*[F.lit(k) for k in range(db.n)])
-    more = hit.select("seed", "mask", "w", F.explode(F.filter(ids, lambda k: F.getbit(F.col("row").bitwiseAND(F.bitwise_not("mask")), k) == 1)).alias("k"))
-    sums = more.groupBy("seed", "mask", "k").agg(F.sum("w").alias("s")).where(F.col("s") >= minsup)
-    best = sums.groupBy("seed", "mask").agg(F.max_by("k", F.struct(F.col("s"), -F.col("k"))).alias("k"))
-    grown = best.select("seed", F.col("mask").alias("was"), F.col("mask").bitwiseOR(bits.shift(F.lit(1).cast("long"), F.col("k"))).alias("to"))
-    return frontier.join(F.broadcast(grown), "seed", "left").select("seed", F.coalesce("to", "mask").alias("mask"), F.col("to").isNotNull().alias("grown"))
 
+def grow_round(db: ItemDB, open_: DataFrame, minsup: int) -> DataFrame:
+    """``mask, tail, sup, item, s``: support of each open set with each item of its tail, and with all (item -1), if frequent."""
+    n = db.n
+    hit = matches(db, open_.select("mask", "tail", "sup")).withColumn("in", bits.intersection(F.col("row"), F.col("tail"), n))
+    items = F.when(F.col("in") == F.col("tail"), F.array_append(bits.items_of(F.col("in"), n), F.lit(_ALL))).otherwise(bits.items_of(F.col("in"), n))
+    return hit.select("mask", "tail", "sup", "w", F.explode(items).alias("item")).groupBy("mask", "tail", "sup", "item").agg(F.sum("w").alias("s")).where(F.col("s") >= minsup)
 
-def mine_growing_frontier(db: ItemDB, minsup: int, *, seeds: int = 256, max_rounds: int | None = None) -> tuple[DataFrame, dict[str, int]]:
-    """Maximal frequent itemsets (``mask, sup``) and counters. The driver holds the border (the answer) and seeds only.
 
-    A round adds an item to every open set, so the rounds end by themselves; if ``max_rounds`` is set and they are spent
-    before that, OutOfBudget is raised and there is no border.
-    """
-    if bits.is_wide(db.n):
-        raise ValueError("frontier rounds work on one-word masks")
-    spark, n, full = db.spark, db.n, (1 << db.n) - 1
-    border: dict[int, int] = {}
-    infrequent: list[int] = [1 << i for i in range(n) if db.supports[i] < minsup]
-    stats = {"rounds": 0, "seeds": 0, "duplicates": 0}
-    open_ = [1 << i for i in range(n) if db.supports[i] >= minsup][:seeds]
-    tried = {*open_, *infrequent}
-    while open_:
-        frontier = [(i, m) for i, m in enumerate(dict.fromkeys(open_))]
-        stats["seeds"] += len(frontier)
-        done: list[int] = []
-        while frontier:
-            if max_rounds is not None and stats["rounds"] >= max_rounds:
-                raise OutOfBudget("rounds")
-            stats["rounds"] += 1
-            got = grow_round(db, spark.createDataFrame(frontier, "seed int, mask long"), minsup).collect()
-            done += [r.mask for r in got if not r.grown]
-            stats["duplicates"] += len(frontier) - len({r.mask for r in got})
-            frontier = [(i, m) for i, m in enumerate(sorted({r.mask for r in got if r.grown}))]
-        border |= {m: 0 for m in done}
-        open_ = []
-        candidates = [c for c in uncovered(list(border), infrequent, n, full) if c not in tried]
-        while candidates and not open_:
-            tried |= set(candidates[:seeds])
-            sup = {r.mask: r.sup for r in support(db, spark.createDataFrame([(c,) for c in candidates[:seeds]], "mask long")).collect()}
-            infrequent += [c for c in candidates[:seeds] if sup[c] < minsup]
-            open_ = [c for c in candidates[:seeds] if sup[c] >= minsup]
-            if not open_:
-                candidates = [c for c in uncovered(list(border), infrequent, n, full) if c not in tried]
-    out = support(db, spark.createDataFrame([(m,) for m in border], "mask long"))
-    return out, stats
-
-
-def uncovered(border: list[int], infrequent: list[int], n: int, full: int, limit: int = 50_000) -> list[int]:
-    """Minimal itemsets that lie under no border set and contain no known infrequent one."""
-    from .search import minimal_hitting_sets
+def mine_growing_frontier(db: ItemDB, minsup: int, *, max_rounds: int | None = None) -> tuple[DataFrame, dict[str, int]]:
+    """Maximal frequent itemsets (``mask, sup``) and counters.
 
-    found = minimal_hitting_sets([full & ~b for b in border], limit) if border else [1 << i for i in range(n)]
-    return [h for h in found if h and not any(x & h == x for x in infrequent)]
+    A round adds an item to every open set, so there are at most as many as items; if ``max_rounds`` is set and they
+    are spent before the last open set, OutOfBudget is raised and there is no border.
+    """
+    spark, n = db.spark, db.n
+    kind = bits.mask_type(n)
+    order = sorted((i for i in range(n) if db.supports[i] >= minsup), key=lambda i: (db.supports[i], i))
+    place = [n] * max(n, 1)
+    for p, i in enumerate(order):
+        place[i] = p
+    ranks = F.array(*[F.lit(p) for p in place])
+    start = [(bits.from_int(1 << i, n), bits.from_int(sum(1 << j for j in order[p + 1:]), n), int(db.supports[i])) for p, i in enumerate(order)]
+    open_ = spark.createDataFrame(start, f"mask {kind}, tail {kind}, sup long")
+    found = spark.createDataFrame([], f"mask {kind}, sup long")
+    stats = {"rounds": 0, "sets": len(order)}
+    while open_.take(1):
+        if max_rounds is not None and stats["rounds"] >= max_rounds:
+            raise OutOfBudget("rounds")
+        stats["rounds"] += 1
+        counted = grow_round(db, open_, minsup).groupBy("mask", "tail", "sup").agg(
+            F.max(F.when(F.col("item") == _ALL, F.col("s"))).alias("whole"),
+            F.array_sort(F.collect_list(F.when((F.col("item") != _ALL) & (F.col("s") < F.col("sup")), F.struct(F.get(ranks, F.col("item")).alias("p"), F.col("item"), F.col("s"))))).alias("more"),
+            F.collect_list(F.when((F.col("item") != _ALL) & (F.col("s") == F.col("sup")), F.col("item"))).alias("same"),
+        )
+        now = cut(open_.join(counted, ["mask", "tail", "sup"], "left"), "open")
+        ended = now.where("whole is not null").select(bits.union(F.col("mask"), F.col("tail"), n).alias("mask"), F.col("whole").alias("sup"))
+        grown = now.where("whole is null").select(bits.union(F.col("mask"), bits.of_items(F.coalesce("same", F.array().cast("array<int>")), n), n).alias("mask"), "sup", F.coalesce("more", F.array().cast("array<struct<p:int,item:int,s:bigint>>")).alias("more"))
+        ended = ended.union(grown.where(F.size("more") == 0).select("mask", "sup"))
+        found = cut(found.union(ended).distinct(), "found")
+        kids = grown.select("mask", "more", F.posexplode("more").alias("at", "x")).select(
+            bits.with_item(F.col("mask"), F.col("x.item"), n).alias("mask"), bits.of_items(F.slice("more.item", F.col("at") + 2, n + 1), n).alias("tail"), F.col("x.s").alias("sup"))
+        found_now = found.select(F.col("mask").alias("cover"))
+        if found_now.limit(MOST_COVERS + 1).count() <= MOST_COVERS:
+            kids = kids.join(F.broadcast(found_now), bits.contains(F.col("cover"), bits.union(F.col("mask"), F.col("tail"), n), n), "left_anti")
+        open_ = cut(kids, "open")
+        stats["sets"] += open_.count()
+    return maximal_of(db, found, minsup), stats
+
+
+def maximal_of(db: ItemDB, frequent: DataFrame, minsup: int) -> DataFrame:
+    """Those of some frequent itemsets ``mask, sup`` that no single item can join: one aggregation."""
+    n = db.n
+    hit = matches(db, frequent.select("mask")).select("mask", "w", F.explode(bits.items_of(bits.difference(F.col("row"), F.col("mask"), n), n)).alias("item"))
+    grows = hit.groupBy("mask", "item").agg(F.sum("w").alias("s")).where(F.col("s") >= minsup).select("mask").distinct()
+    return cut(frequent.join(grows, "mask", "left_anti"), "border")
 
 
 def local_length_counts(db: ItemDB) -> DataFrame:
@@ -82,5 +87,3 @@ def local_length_counts(db: ItemDB) -> DataFrame:
     hist = db.masks.groupBy(bits.size(F.col("mask"), db.n).alias("size")).agg(F.sum("w").alias("rows"))
     down = Window.orderBy(F.col("size").desc()).rowsBetween(Window.unboundedPreceding, Window.currentRow)  # at most n + 1 rows
     return hist.select("size", "rows", F.sum("rows").over(down).cast("long").alias("at_least"))
-
-

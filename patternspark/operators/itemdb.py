@@ -1,7 +1,8 @@
 """Itemset databases: a dictionary of items and weighted row masks.
 
-Equal rows are collapsed with a weight (lossless for support), so what follows depends on distinct rows. Encoding takes
-one counting pass and one pass that maps rows to masks; the dictionary has a checked bound.
+Equal rows are collapsed with a weight (lossless for support), so what follows depends on distinct rows. Baskets are
+gathered once (one shuffle) and written; encoding then takes a counting pass and a pass that maps rows to masks. The
+masks are written, too: every later step reads them and not the source. The dictionary has a checked bound.
 """
 
 from __future__ import annotations
@@ -13,9 +14,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import bits
+from ..session import cut
 
 #: Largest dictionary; beyond, raise the threshold (infrequent items leave first) or take fewer attributes.
 MAX_ITEMS = 100_000
+#: Dictionaries up to this size are part of the plan as a map; longer ones are joined.
+MAP_ITEMS = 2048
 
 
 def absolute(theta: float | int, m: int) -> int:
@@ -79,10 +83,10 @@ def build_item_db(tx: DataFrame, *, theta: float | int | None = None, alphabet:
     (also such as never occur). Without ``collapse`` each row keeps its own mask with weight 1.
     """
     spark = tx.sparkSession
-    arrays = "items" in tx.columns
-    long = tx.select("tid", F.explode(F.array_distinct("items")).alias("item")) if arrays else tx.select("tid", "item").distinct()
-    long = long.where(F.col("item").isNotNull())
-    m = tx.count() if arrays else tx.select("tid").distinct().count()
+    if "items" not in tx.columns:
+        tx = cut(tx.where(F.col("tid").isNotNull()).groupBy("tid").agg(F.collect_set("item").alias("items")), "baskets")
+    m = tx.count()
+    long = tx.select(F.explode(F.array_distinct("items")).alias("item")).where(F.col("item").isNotNull())
     if alphabet is None:
         counted = _counts(long, absolute(theta, m) if theta is not None else 1)
         names, supports = [a for a, _ in counted], [b for _, b in counted]
@@ -92,22 +96,18 @@ def build_item_db(tx: DataFrame, *, theta: float | int | None = None, alphabet:
         supports = [found.get(x, 0) for x in names]
     n = len(names)
     if n == 0:
-        masks = spark.createDataFrame([(0, m)] if m else [], "mask long, w long")
-    elif arrays and not bits.is_wide(n):
-        place = F.create_map(*[x for k, name in enumerate(names) for x in (F.lit(name), F.lit(1 << k).cast("long"))])
-        mask = F.aggregate("items", F.lit(0).cast("long"), lambda a, x: a.bitwiseOR(F.coalesce(F.element_at(place, x), F.lit(0).cast("long"))))
-        masks = tx.select(mask.alias("mask"), F.lit(1).cast("long").alias("w"))
+        return ItemDB(spark.createDataFrame([(0, m)] if m else [], "mask long, w long"), names, supports, m)
+    if n <= MAP_ITEMS:
+        place = F.create_map(*[x for k, name in enumerate(names) for x in (F.lit(name), F.lit(k))])
+        ids = F.filter(F.transform(F.filter("items", lambda x: x.isNotNull()), lambda x: F.element_at(place, x)), lambda k: k.isNotNull())
+        masks = tx.select(bits.of_items(ids, n).alias("mask"), F.lit(1).cast("long").alias("w"))
     else:
-        table = F.broadcast(spark.createDataFrame([(name, k // bits.WORD, 1 << (k % bits.WORD)) for k, name in enumerate(names)], "item string, word int, bit long"))
-        width = len(bits.words_of(0, n)) if bits.is_wide(n) else 1
-        parts = [F.bit_or(F.when(F.col("word") == k, F.col("bit")).otherwise(F.lit(0).cast("long"))).alias(f"w{k}") for k in range(width)]
-        source = tx.select("tid", F.explode_outer("items").alias("item")) if arrays else long
-        per = source.join(table, "item", "left").groupBy("tid").agg(*parts)
-        zero = [F.coalesce(F.col(f"w{k}"), F.lit(0).cast("long")) for k in range(width)]
-        masks = per.select((F.array(*zero) if bits.is_wide(n) else zero[0]).alias("mask"), F.lit(1).cast("long").alias("w"))
+        table = F.broadcast(spark.createDataFrame([(name, k) for k, name in enumerate(names)], "item string, id int"))  # at most MAX_ITEMS
+        numbered = tx.select(F.monotonically_increasing_id().alias("row"), F.explode_outer("items").alias("item")).join(table, "item", "left")
+        masks = numbered.groupBy("row").agg(F.collect_set("id").alias("ids")).select(bits.of_items(F.col("ids"), n).alias("mask"), F.lit(1).cast("long").alias("w"))
     if collapse:
         masks = masks.groupBy("mask").agg(F.sum("w").alias("w"))
-    return ItemDB(masks, names, supports, m)
+    return ItemDB(cut(masks, "masks"), names, supports, m)
 
 
 def collapse(masks: DataFrame) -> DataFrame:

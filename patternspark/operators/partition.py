@@ -20,6 +20,7 @@ from ..session import cut
 from .bitset import grow_maximal, propagate_all
 from .formula import Matrix
 from .itemdb import ItemDB
+from .measure import support
 from .search import Options, Run, Scope, mine_matrix
 from .solver import Budget
 
@@ -37,15 +38,19 @@ class Kernel:
     options: Options = Options()
     seconds: float | None = None
     must_contain: int = 0
+    min_size: int | None = None
+    max_size: int | None = None
+    weights: tuple[float, ...] = ()  # of the items, not negative
+    max_weight: float | None = None
 
     def __call__(self, m: Matrix, minsup: int, scope: Scope) -> Run:
         budget = Budget(seconds=self.seconds) if self.seconds else None
         if self.engine == "bitset":
-            return grow_maximal(m, minsup, scope=scope, budget=budget, must_contain=self.must_contain, limit=self.options.limit)
+            return grow_maximal(m, minsup, scope=scope, budget=budget, must_contain=self.must_contain, limit=self.options.limit, min_size=self.min_size)
         if self.engine == "clausal":
             return mine_matrix(m, minsup, self.options, scope=scope, budget=budget)
         if self.engine in ("propagation", "propagation_plain"):
-            return propagate_all(m, minsup, reified=self.engine == "propagation", scope=scope, budget=budget)
+            return propagate_all(m, minsup, reified=self.engine == "propagation", scope=scope, budget=budget, max_size=self.max_size, weights=self.weights, max_weight=self.max_weight)
         raise ValueError(self.engine)
 
 
@@ -55,11 +60,10 @@ def _records(run: Run, group: int, n: int) -> pd.DataFrame:
     return pd.DataFrame(rows, columns=["tag", "group_id", "seq", "kind", "status", "mask", "size", "sup", "ms", "conflicts", "blockers", "literals"])
 
 
-def split_by_prefix(db: ItemDB, minsup: int, *, group_rows: int = GROUP_ROWS, depth: int = 4) -> tuple[DataFrame, list[int]]:
+def split_by_prefix(db: ItemDB, minsup: int, *, group_rows: int = GROUP_ROWS) -> tuple[DataFrame, list[int]]:
     """``prefix, closed, mask, w`` groups and the item ranking. ``closed``: only the prefix itself is asked for.
 
-    Each round counts rows per prefix; those that are too long are replaced by longer prefixes. Only the number of
-    long prefixes decides the number of rounds, at most ``depth``.
+    Each round counts rows per prefix; those that are too long are replaced by longer prefixes until none is.
     """
     n = db.n
     order = sorted((i for i in range(n) if db.supports[i] >= minsup), key=lambda i: (db.supports[i], i))
@@ -69,11 +73,11 @@ def split_by_prefix(db: ItemDB, minsup: int, *, group_rows: int = GROUP_ROWS, de
     # (prefix as positions in ``own``): explode position p, keep what comes after
     step = base.select("mask", "w", F.posexplode("own").alias("p", "item"), "own").select("mask", "w", F.array("item").alias("prefix"), F.slice("own", F.col("p") + 2, n + 1).alias("rest"))
     done = None
-    for _ in range(depth):
+    while True:
         long_ = step.groupBy("prefix").agg(F.count(F.lit(1)).alias("rows")).where(F.col("rows") > group_rows).select("prefix")
         if not long_.take(1):
             break
-        long_ = F.broadcast(long_)
+        long_ = cut(long_, "long-names")  # joined as Spark sees fit: their number is the data's
         fits = step.join(long_, "prefix", "left_anti").select("prefix", F.lit(False).alias("closed"), "mask", "w")
         big = cut(step.join(long_, "prefix", "left_semi"), "long-prefixes")
         # the prefix alone: what can be added is known from counts, so its group is one row per distinct extension
@@ -101,9 +105,18 @@ def closed_prefixes(groups: DataFrame, minsup: int, n: int) -> DataFrame:
 
 
 def _mask_of(items, n: int):
-    if bits.is_wide(n):
-        return F.transform(F.sequence(F.lit(0), F.lit(len(bits.words_of(0, n)) - 1)), lambda k: F.aggregate(items, F.lit(0).cast("long"), lambda a, i: F.when(F.floor(i / bits.WORD) == k, a.bitwiseOR(bits.shift(F.lit(1).cast("long"), (i % bits.WORD).cast("int")))).otherwise(a)))
-    return F.aggregate(items, F.lit(0).cast("long"), lambda a, i: a.bitwiseOR(bits.shift(F.lit(1).cast("long"), i)))
+    return bits.of_items(items, n)
+
+
+def infrequent_extensions(groups: DataFrame, minsup: int, n: int, order: list[int]) -> DataFrame:
+    """``mask, sup`` of closed prefixes that are infrequent, and of those with one later item that together are."""
+    own = groups.where("closed")
+    total = own.groupBy("prefix").agg(F.sum("w").alias("sup"))
+    ranks = F.array(*[F.lit(i) for i in order])
+    later = total.where(F.col("sup") >= minsup).select("prefix", F.explode(F.slice(ranks, F.array_position(ranks, F.element_at("prefix", -1)).cast("int") + 1, n)).alias("item"))
+    have = own.select("prefix", "w", F.explode(bits.items_of(F.col("mask"), n)).alias("item")).groupBy("prefix", "item").agg(F.sum("w").alias("s"))
+    more = later.join(have, ["prefix", "item"], "left").where(F.coalesce("s", F.lit(0)) < minsup).select(_mask_of(F.array_append("prefix", F.col("item")), n).alias("mask"), F.coalesce("s", F.lit(0)).alias("sup"))
+    return more.union(total.where(F.col("sup") < minsup).select(_mask_of(F.col("prefix"), n).alias("mask"), "sup"))
 
 
 def run_partitioned(db: ItemDB, minsup: int, kernel: Kernel, *, group_rows: int = GROUP_ROWS) -> DataFrame:
@@ -112,7 +125,7 @@ def run_partitioned(db: ItemDB, minsup: int, kernel: Kernel, *, group_rows: int
     groups, order = split_by_prefix(db, minsup, group_rows=group_rows)
     place = {i: r for r, i in enumerate(order)}
     rare = sum(1 << i for i in range(n) if i not in place)
-    everything = kernel.engine.startswith("propagation")
+    everything, dual = kernel.engine.startswith("propagation"), kernel.engine == "clausal" and kernel.options.search == "dual"
 
     def run(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
         prefix = [int(i) for i in key[0]]
@@ -131,7 +144,17 @@ def run_partitioned(db: ItemDB, minsup: int, kernel: Kernel, *, group_rows: int
     out = body.groupBy("prefix", "closed").applyInPandas(run, schema)
     if everything:
         return out
-    alone = closed_prefixes(groups, minsup, n).select(F.lit("pattern").alias("tag"), F.lit(0).cast("long").alias("group_id"), F.lit(0).alias("seq"), F.lit("").alias("kind"), F.lit("ok").alias("status"), "mask", bits.size(F.col("mask"), n).alias("size"), F.col("sup").cast("long").alias("sup"), F.lit(0.0).alias("ms"), *[F.lit(0).cast("long").alias(c) for c in ("conflicts", "blockers", "literals")])
+    if dual:  # infrequent items have no group; in a group only subsets with the prefix were looked at
+        singles = db.spark.createDataFrame([(bits.from_int(1 << i, n), int(db.supports[i])) for i in range(n) if i not in place], f"mask {bits.mask_type(n)}, sup long")
+        found = cut(out, "dual")
+        more = found.where("tag = 'pattern'").select("mask", "sup").union(infrequent_extensions(groups, minsup, n, order)).distinct()
+        smaller = more.select("mask", F.explode(bits.items_of(F.col("mask"), n)).alias("i")).select("mask", bits.without_item(F.col("mask"), F.col("i"), n).alias("sub")).where(bits.size(F.col("sub"), n) > 0)
+        low = support(db, smaller.select(F.col("sub").alias("mask"))).where(F.col("sup") < minsup).select(F.col("mask").alias("sub"))
+        bad = smaller.join(low, "sub", "left_semi").select("mask").distinct()
+        out, alone = found.where("tag <> 'pattern'"), more.join(bad, "mask", "left_anti").union(singles)
+    else:
+        alone = closed_prefixes(groups, minsup, n)
+    alone = alone.select(F.lit("pattern").alias("tag"), F.lit(0).cast("long").alias("group_id"), F.lit(0).alias("seq"), F.lit("").alias("kind"), F.lit("ok").alias("status"), "mask", bits.size(F.col("mask"), n).alias("size"), F.col("sup").cast("long").alias("sup"), F.lit(0.0).alias("ms"), *[F.lit(0).cast("long").alias(c) for c in ("conflicts", "blockers", "literals")])
     return out.union(alone)
 
 

@@ -274,10 +274,10 @@ def length_decreasing(s: _Session) -> None:
 
 
 def dual(s: _Session) -> None:
-    """Minimal infrequent itemsets: an infrequent model is shrunk, and its supersets are blocked."""
+    """Minimal infrequent itemsets: an infrequent model is shrunk (what the scope asks for stays), its supersets are blocked."""
     while (mask := s.solve("dual")) is not None:
         for i in bits(mask):
-            if mask != 1 << i and s.m.support(mask & ~(1 << i)) < s.minsup:
+            if mask != 1 << i and not s.scope.must >> i & 1 and s.m.support(mask & ~(1 << i)) < s.minsup:
                 mask &= ~(1 << i)
         s.keep(mask)
         s.block(mask, s.o.blocking if s.o.blocking in (B.SUPERSETS, B.SUPERSET) else B.SUPERSET)

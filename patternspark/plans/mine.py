@@ -10,14 +10,14 @@ from pyspark.sql import functions as F
 
 from ..functions import bits
 from ..operators import blocking as B
-from ..operators.baseline import mine_bruteforce, mine_levelwise
+from ..operators.baseline import mine_bruteforce, mine_levelwise, next_level
 from ..operators.condense import closed, expand_maximal
-from ..operators.frontier import mine_growing_frontier
+from ..operators.frontier import local_length_counts, mine_growing_frontier
 from ..operators.itemdb import ItemDB
-from ..operators.measure import patterns
+from ..operators.measure import patterns, support
 from ..operators.partition import GROUP_ROWS, Kernel, run_partitioned, run_whole
 from ..operators.search import Options
-from ..operators.solver import Polarity, SolverParams, SolverProfile
+from ..operators.solver import OutOfBudget, Polarity, SolverParams, SolverProfile
 from ..session import cut
 
 
@@ -34,6 +34,9 @@ class MiningResult:
 
     @property
     def patterns(self) -> DataFrame:
+        """The answer; a run that spent its budget has none (its part of one is in ``masks``)."""
+        if self.status != "ok":
+            raise OutOfBudget(self.status)
         return patterns(self.masks, self.db)
 
     def refine(self, condition: Column | None = None, **changes) -> MiningResult:
@@ -62,10 +65,17 @@ def _conditional(db: ItemDB, must: int) -> ItemDB:
     return ItemDB(cleared, db.names, supports, db.m)
 
 
+def _without(db: ItemDB, items: int) -> ItemDB:
+    """The database without some items: rows that become equal are collapsed, the items' numbers stay."""
+    masks = db.masks.select(bits.difference(F.col("mask"), bits.literal(items, db.n), db.n).alias("mask"), "w").groupBy("mask").agg(F.sum("w").alias("w"))
+    return ItemDB(cut(masks, "masks"), db.names, [0 if items >> i & 1 else s for i, s in enumerate(db.supports)], db.m)
+
+
 def mine(
     db: ItemDB, theta: float | int, *, search: str = "growing", blocking: str = B.SUBSET, formulation: str = "primal", coverage: str = "clausal", frequency: str = "reified",
     restriction: str = "free", engine: str = "bitset", polarity: Polarity | None = None, params: SolverParams | None = None, profile: SolverProfile | None = None, bounds: str = "all",
-    maximality: str = "blocking", must_contain: list[str] | None = None, min_size: int | None = None, max_size: int | None = None, output: str = "maximal", limit: int | None = None,
+    maximality: str = "blocking", must_contain: list[str] | None = None, must_not: list[str] | None = None, any_of: list[list[str]] | None = None, weights: dict[str, float] | None = None,
+    max_weight: float | None = None, min_weight: float | None = None, min_size: int | None = None, max_size: int | None = None, output: str = "maximal", limit: int | None = None,
     seconds: float | None = None, partitioning: str = "prefix", group_rows: int = GROUP_ROWS,
 ) -> MiningResult:
     """Frequent itemsets of ``db``.
@@ -74,19 +84,30 @@ def mine(
     "propagation_plain" (baseline), "levelwise", "bruteforce". ``partitioning``: "prefix" (groups over the cluster),
     "none" (one group, faithful counters) or "frontier" (rounds of aggregations). ``output``: "maximal", "frequent",
     "closed", or "infrequent" (minimal ones; the dual formulation, clausal, one group). An empty database or a
-    threshold above its size gives no pattern. ``must_contain`` filters rows first and looks for sets with these items;
-    sizes are bounds on what is reported.
+    threshold above its size gives no pattern. ``must_contain`` filters rows first and looks for sets with these items,
+    ``must_not`` takes items out of the database. ``any_of`` asks for an item of each group (a disjunction over selected
+    variables); ``weights`` (of items, 0 where not named, not negative) are summed and bounded. Bounds from above on
+    size and weight of all frequent sets cut the search; other bounds are on what is reported. What is reported as
+    maximal is maximal without the bounds.
     """
     settings = {k: v for k, v in locals().items() if k != "db"}
     again = lambda **kw: mine(db, **kw)
     minsup = db.minsup(theta)
     if formulation == "dual" or output == "infrequent":
-        search, engine, partitioning = "dual", "clausal", "none"
+        search, engine, partitioning = "dual", "clausal", "none" if partitioning == "none" else "prefix"
         blocking = blocking if blocking in (B.SUPERSET, B.SUPERSETS) else B.SUPERSET
     target, must = db, 0
+    if must_not:
+        target = _without(target, db.mask(must_not))
     if must_contain:
         must = db.mask(must_contain)
-        target = _conditional(db, must)
+        target = _conditional(target, must)
+    loads = tuple(float((weights or {}).get(x, 0.0)) for x in db.names)
+    if min(loads, default=0.0) < 0:
+        raise ValueError("weights of items are not negative")
+    cuts = output == "frequent" and formulation != "dual" and (max_size is not None or max_weight is not None)
+    if cuts and engine == "bitset" and partitioning != "frontier":
+        engine = "propagation"  # all sets up to the bounds, not the subsets of a border
     profile = profile or SolverProfile()
     if polarity or params:
         profile = replace(profile, polarity=polarity or profile.polarity, params=params or profile.params)
@@ -94,13 +115,15 @@ def mine(
     trace, status = None, "ok"
     full_list = engine in ("levelwise", "bruteforce") or engine.startswith("propagation") or engine == "clausal" and search in ("simple", "longest") and blocking in (B.FULL, B.ITEMS)
     if engine == "levelwise":
-        masks = mine_levelwise(target, minsup)
+        masks = mine_levelwise(target, minsup, max_size=max_size - must.bit_count() if cuts and max_size is not None else None)
     elif engine == "bruteforce":
         masks = mine_bruteforce(target, minsup)
     elif partitioning == "frontier":
         masks, _ = mine_growing_frontier(target, minsup)
     else:
-        kernel = Kernel(engine, options, seconds)
+        kernel = Kernel(engine, options, seconds, min_size=min_size if engine == "bitset" and output == "maximal" and not must else None)
+        if cuts and engine.startswith("propagation"):
+            kernel = replace(kernel, max_size=None if max_size is None else max_size - must.bit_count(), weights=loads, max_weight=None if max_weight is None else max_weight - sum(loads[i] for i in bits.bits(must)))
         tagged = run_whole(target, minsup, kernel) if partitioning == "none" else run_partitioned(target, minsup, kernel, group_rows=group_rows)
         tagged = cut(tagged, "mined")
         masks = tagged.where("tag = 'pattern'").select("mask", "sup")
@@ -131,26 +154,53 @@ def mine(
         masks = masks.where(bits.size(F.col("mask"), db.n) >= min_size)
     if max_size:
         masks = masks.where(bits.size(F.col("mask"), db.n) <= max_size)
+    for group in any_of or []:
+        masks = masks.where(bits.size(bits.intersection(F.col("mask"), bits.literal(db.mask(group), db.n), db.n), db.n) > 0)
+    if max_weight is not None or min_weight is not None:
+        table = F.array(*[F.lit(x) for x in loads])
+        load = F.aggregate(bits.items_of(F.col("mask"), db.n), F.lit(0.0), lambda a, i: a + F.get(table, i))
+        masks = masks.where((load <= (max_weight if max_weight is not None else float("inf")) + 1e-12) & (load >= (min_weight if min_weight is not None else 0.0) - 1e-12))
     return MiningResult(db, masks, trace, status, again, settings)
 
 
 def complement_of_border(db: ItemDB, border: DataFrame, minsup: int) -> DataFrame:
-    """``mask, sup`` of all itemsets that contain no minimal infrequent one, level by level."""
+    """``mask, sup`` of all itemsets that contain no minimal infrequent one, level by level.
+
+    A set does not if its subsets with one item less do not and it is no such set itself: equi-joins only. Each level
+    is counted as it is made.
+    """
     spark, n = db.spark, db.n
-    from ..operators.measure import support
-
-    bad = F.broadcast(border.select(F.col("mask").alias("b")))
-    level = spark.createDataFrame([(0, -1)], "mask long, last int")
-    out = None
-    for _ in range(n):
-        grown = level.select("mask", F.explode(F.array(*[F.lit(i) for i in range(n)])).alias("i"), "last").where("i > last").select(F.col("mask").bitwiseOR(bits.shift(F.lit(1).cast("long"), F.col("i"))).alias("mask"), F.col("i").alias("last"))
-        level = cut(grown.join(bad, F.col("mask").bitwiseAND(F.col("b")) == F.col("b"), "left_anti"), "level")
+    border = cut(border.select("mask"), "infrequent")
+    level = spark.createDataFrame([(bits.from_int(1 << i, n),) for i in range(n)], f"mask {bits.mask_type(n)}").join(border, "mask", "left_anti")
+    out, k = None, 1
+    while n:
+        level = cut(support(db, level), "level")
+        out = level if out is None else out.union(level)
         if not level.take(1):
             break
-        out = level if out is None else out.union(level)
-    if out is None:
-        return spark.createDataFrame([], "mask long, sup long")
-    return support(db, out.select("mask"))
+        level, k = next_level(level, n, k).join(border, "mask", "left_anti"), k + 1
+    return out if out is not None else spark.createDataFrame([], f"mask {bits.mask_type(n)}, sup long")
+
+
+def top_k_longest(db: ItemDB, theta: float | int, k: int, **settings) -> DataFrame:
+    """``itemset, size, sup, freq`` of k longest maximal itemsets (ties by name).
+
+    The default engine takes sizes from above: the greatest that a scan of row lengths allows, then less, each time
+    cutting every branch that cannot reach the size, until k sets are found. With the clause solver every group ends
+    after its k longest. The merge is a distributed top-k.
+    """
+    if settings.get("engine", "bitset") == "bitset" and "partitioning" not in settings:
+        minsup = db.minsup(theta)
+        most = local_length_counts(db).where(F.col("at_least") >= minsup).agg(F.max("size")).first()[0] or 0
+        step, size = 1, most
+        while size > 0:
+            got = mine(db, theta, min_size=size, **settings)
+            if size <= 1 or got.masks.limit(k).count() >= k:
+                return got.patterns.orderBy(F.col("size").desc(), "itemset").limit(k)
+            size, step = max(1, size - step), 2 * step
+    if settings.get("engine") == "clausal":
+        settings = {"search": "longest", "limit": k} | settings
+    return mine(db, theta, **settings).patterns.orderBy(F.col("size").desc(), "itemset").limit(k)
 
 
 def top_k_longest(db: ItemDB, theta: float | int, k: int, **settings) -> DataFrame:
@@ -229,6 +279,33 @@ class MustContain:
         return {"must_contain": self.items.split(",")}
 
 
+@dataclass(frozen=True)
+class MustNotContain:
+    items: str
+
+    def settings(self) -> dict:
+        return {"must_not": self.items.split(",")}
+
+
+@dataclass(frozen=True)
+class AnyOf:
+    """At least one of some items, in each of the groups."""
+
+    groups: tuple[str, ...]
+
+    def settings(self) -> dict:
+        return {"any_of": [g.split(",") for g in self.groups]}
+
+
+@dataclass(frozen=True)
+class MaxWeight:
+    weights: tuple[tuple[str, float], ...]
+    most: float
+
+    def settings(self) -> dict:
+        return {"weights": dict(self.weights), "max_weight": self.most, "output": "frequent"}
+
+
 @dataclass(frozen=True)
 class MaxSize:
     size: int

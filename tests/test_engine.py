@@ -56,6 +56,76 @@ def test_wide_masks(spark):
     assert db.n == 70 and bits.is_wide(db.n)
     deep, whole = sets(mine(db, 0.2, group_rows=40)), sets(mine(db, 0.2, partitioning="none"))
     assert deep == whole and whole
+    assert sets(mine(db, 0.2, partitioning="frontier")) == whole
+    level = sets(mine(db, 0.2, engine="levelwise", output="frequent"))
+    assert sets(mine(db, 0.2, output="frequent")) == level and set(whole) <= set(level)
+    assert sets(mine(db, 0.2, engine="propagation", output="frequent")) == level
+    closed = sets(mine(db, 0.2, output="closed"))
+    assert closed == {k: v for k, v in level.items() if not any(v == w and set(k.split(",")) < set(x.split(",")) for x, w in level.items())}
+
+
+def minimal_infrequent(db, minsup):
+    """By plain enumeration of candidates one item larger than frequent sets."""
+    rows, weights = db.rows()
+    sup = lambda x: sum(w for r, w in zip(rows, weights) if r & x == x)
+    level, out = [0], set()
+    while level:
+        nxt = set()
+        for x in level:
+            for i in range(x.bit_length(), db.n):
+                y = x | 1 << i
+                if sup(y) >= minsup:
+                    nxt.add(y)
+                elif all(y == 1 << j or sup(y & ~(1 << j)) >= minsup for j in range(db.n) if y >> j & 1):
+                    out.add(y)
+        level = nxt
+    return {",".join(db.names[j] for j in range(db.n) if y >> j & 1) for y in out}
+
+
+@pytest.mark.parametrize("kw", [{}, {"group_rows": 10}, {"group_rows": 2}, {"partitioning": "none"}, {"blocking": "supersets_explicit", "group_rows": 10}])
+def test_dual_in_prefix_groups(spark, illus, kw):
+    for db, minsup in ((illus, 2), (illus, 1), (build_item_db(generate(spark, 9, 60, 0.4, 0.4, 3)), 9)):
+        got = {r.itemset for r in mine(db, minsup, output="infrequent", **kw).patterns.collect()}
+        assert got == minimal_infrequent(db, minsup)
+    wide = build_item_db(generate(spark, 66, 40, 0.12, 0.5, 2))
+    assert {r.itemset for r in mine(wide, 8, output="infrequent", **({} if "blocking" in kw else kw)).patterns.collect()} == minimal_infrequent(wide, 8)
+    assert sets(mine(wide, 8, formulation="dual", output="frequent")) == sets(mine(wide, 8, output="frequent"))
+
+
+def test_bounds_cut_the_search(spark, sf):
+    db = D.item_db(spark, sf, "order_mix")
+    every = sets(mine(db, 0.1, output="frequent"))
+    items = lambda k: k.split(",")
+    assert sets(mine(db, 0.1, output="frequent", max_size=2)) == {k: v for k, v in every.items() if len(items(k)) <= 2}
+    assert sets(mine(db, 0.1, output="frequent", engine="levelwise", max_size=2)) == {k: v for k, v in every.items() if len(items(k)) <= 2}
+    load = {"rf=N": 2.0, "ls=O": 1.5, "ls=F": 0.5}
+    total = lambda k: sum(load.get(x, 0.0) for x in items(k))
+    assert sets(mine(db, 0.1, output="frequent", weights=load, max_weight=2.0)) == {k: v for k, v in every.items() if total(k) <= 2}
+    assert sets(mine(db, 0.1, output="frequent", weights=load, min_weight=2.0)) == {k: v for k, v in every.items() if total(k) >= 2}
+    assert sets(mine(db, 0.1, output="frequent", must_not=["rf=N", "ls=O"])) == {k: v for k, v in every.items() if not {"rf=N", "ls=O"} & set(items(k))}
+    assert sets(mine(db, 0.1, output="frequent", any_of=[["rf=A", "rf=R"], ["ls=F"]])) == {k: v for k, v in every.items() if {"rf=A", "rf=R"} & set(items(k)) and "ls=F" in items(k)}
+    assert sets(mine(db, 0.1, output="frequent", must_contain=["rf=N"], max_size=3, weights=load, max_weight=3.5)) == {k: v for k, v in every.items() if "rf=N" in items(k) and len(items(k)) <= 3 and total(k) <= 3.5}
+    from patternspark.plans.mine import top_k_longest
+
+    border = sorted(((-len(items(k)), k) for k in sets(mine(db, 0.1))))
+    assert [r.itemset for r in top_k_longest(db, 0.1, 3).collect()] == [k for _, k in border[:3]]
+    with pytest.raises(OutOfBudget):
+        mine(db, 1, engine="propagation", partitioning="none", seconds=1e-9, output="frequent").patterns
+
+
+def test_matches_by_rarest_item(spark, sf, monkeypatch):
+    db = D.item_db(spark, sf, "order_mix")
+    want = sets(mine(db, 0.1, output="frequent"))
+    monkeypatch.setattr(measure, "BROADCAST_CANDIDATES", 3)
+    assert sets(mine(db, 0.1, output="frequent")) == want
+    assert sets(mine(db, 0.1, engine="levelwise", output="frequent")) == want
+    cand = measure.candidates(db, [0, 1, 3])
+    assert measure.support(db, cand).where("mask = 0").first().sup == sum(db.rows()[1])
+
+
+def test_long_border_sets_are_expanded(spark):
+    db = build_item_db(spark.createDataFrame([(1, [f"i{k:02d}" for k in range(12)]), (2, ["i00", "i05"])], "tid long, items array<string>"))
+    assert mine(db, 1, output="frequent").masks.count() == 2**12 - 1
     p = profile(db).first()
     assert abs(p.density - 0.2) < 0.02
 
@@ -199,6 +269,6 @@ def test_plans_stay_native_until_the_kernel(spark, sf):
 
 def test_frontier_rounds_end_with_the_whole_border_or_none(illus):
     want = {illus.mask(x.split(",")) for x in ("A,N,P", "A,D,H,J", "D,H,J,N", "A,E,G,K,N")}
-    assert {r.mask for r in mine_growing_frontier(illus, 2, seeds=1)[0].collect()} == want
+    assert {r.mask for r in mine_growing_frontier(illus, 2)[0].collect()} == want
     with pytest.raises(OutOfBudget):
-        mine_growing_frontier(illus, 2, seeds=1, max_rounds=2)
+        mine_growing_frontier(illus, 2, max_rounds=1)
