@@ -151,15 +151,18 @@ def length(names: list[str], formula: DataFrame, size: int | None = None) -> Dat
 def cardinality_cnf(tx: DataFrame, names: list[str], minsup: int, method: str = "seqcounter") -> DataFrame:
     """CNF for "an item that is chosen has at least ``minsup`` rows", guarded by the item.
 
-    'seqcounter': s(j, k) may be true only if k of the item's first j rows are. 'bdd': the same states as a decision
-    diagram over (row, count) with only reachable nodes. 'totalizer': unary merging is built in the kernel
-    (``operators.search``); as a relation it has the counter's clauses with one block. Small databases only.
+    All variables may be true only if enough rows are, so that the last one forces the count. 'seqcounter': s(j, k) needs
+    k of the item's first j rows. 'bdd': a decision diagram over (row, count) with only the nodes that are reachable
+    and can still end well. 'totalizer': a tree of unary sums, each node's k-th output needs k of its rows. 'network':
+    odd-even merge sorting, whose output k needs k rows. Small databases only.
     """
-    if method not in ("seqcounter", "bdd", "totalizer"):
+    if method not in ("seqcounter", "bdd", "totalizer", "network"):
         raise ValueError(method)
     per = tx.select("tid", F.explode("items").alias("i")).groupBy("i").agg(F.array_sort(F.collect_list("tid")).alias("tids")).select("i", "tids", F.size("tids").alias("c"))
     unit = _formula(per.where(F.col("c") < minsup), "count_unit", "or", 1, F.array(_lit(_item(F.col("i")), True)))
     ok = per.where(F.col("c") >= minsup)
+    if method in ("totalizer", "network"):
+        return numbered(unit.union(_totalizer(ok, minsup) if method == "totalizer" else _network(ok, minsup)))
     name = lambda j, k: F.concat(F.lit("s_"), F.col("i"), F.lit("_"), j.cast("string"), F.lit("_"), k.cast("string"))
     cells = ok.select("i", "tids", "c", F.posexplode("tids").alias("p", "tid")).select("*", (F.col("p") + 1).alias("j"), F.explode(F.sequence(F.lit(1), F.lit(minsup))).alias("k"))
     if method != "seqcounter":  # from a state that cannot reach the end, or cannot be reached, no node is needed
@@ -178,6 +181,80 @@ def cardinality_cnf(tx: DataFrame, names: list[str], minsup: int, method: str =
     )
 
 
+def _totalizer(ok: DataFrame, minsup: int) -> DataFrame:
+    """Clauses of a unary tree over each item's rows: block b of level l sums rows b * 2^l up to the next block.
+
+    An output of a node with more than i + j true rows needs more than i below on the left or more than j on the right.
+    """
+    top = F.ceil(F.log2(F.col("c"))).cast("int")
+    out = lambda l, b, k: F.when(l == 0, _row(F.get("tids", b))).otherwise(F.concat(F.lit("u_"), F.col("i"), F.lit("_"), l.cast("string"), F.lit("_"), b.cast("string"), F.lit("_"), k.cast("string")))
+    width = lambda l, b: F.greatest(F.lit(0), F.least(F.col("c") - b * bits_shift(l), bits_shift(l))).cast("int")
+    nodes = ok.where("c > 1").select("i", "tids", "c", F.explode(F.sequence(F.lit(1), top)).alias("l")).select("*", F.explode(F.sequence(F.lit(0), F.floor((F.col("c") - 1) / bits_shift(F.col("l"))).cast("int"))).alias("b"))
+    nodes = nodes.withColumn("wa", width(F.col("l") - 1, F.col("b") * 2)).withColumn("wb", width(F.col("l") - 1, F.col("b") * 2 + 1))
+    cells = nodes.select("*", F.explode(F.sequence(F.lit(0), F.least("wa", F.lit(minsup)))).alias("x")).select("*", F.explode(F.sequence(F.lit(0), F.least("wb", F.lit(minsup)))).alias("y")).where((F.col("x") + F.col("y") < F.least(F.col("wa") + F.col("wb"), F.lit(minsup))))
+    l, b, x, y = (F.col(v) for v in ("l", "b", "x", "y"))
+    none = F.array().cast("array<struct<var:string,neg:boolean,coef:bigint>>")
+    lits = F.concat(F.array(_lit(out(l, b, x + y + 1), True)), F.when(x < F.col("wa"), F.array(_lit(out(l - 1, b * 2, x + 1), False))).otherwise(none), F.when(y < F.col("wb"), F.array(_lit(out(l - 1, b * 2 + 1, y + 1), False))).otherwise(none))
+    goal = F.array(_lit(_item(F.col("i")), True), _lit(out(F.when(F.col("c") > 1, top).otherwise(0), F.lit(0), F.lit(minsup)), False))
+    return _formula(cells, "count_node", "or", 1, lits).union(_formula(ok, "count_goal", "or", 1, goal))
+
+
+def bits_shift(level):
+    """2 to the power of a column, as a whole number."""
+    return F.call_function("shiftleft", F.lit(1), level.cast("int"))
+
+
+def merge_network(wires: int) -> list[tuple[int, int, int]]:
+    """(step, a, b) comparators of odd-even merge sorting of a power of two of wires; the greater value goes to a < b."""
+    out, step = [], 0
+    p = 1
+    while p < wires:
+        k = p
+        while k >= 1:
+            for j in range(k % p, wires - k, 2 * k):
+                for i in range(min(k, wires - j - k)):
+                    if (i + j) // (2 * p) == (i + j + k) // (2 * p):
+                        out.append((step, i + j, i + j + k))
+            step += 1
+            k //= 2
+        p *= 2
+    return out
+
+
+#: Most rows of an item that a sorting network is built for.
+MAX_WIRES = 4096
+
+
+def _network(ok: DataFrame, minsup: int) -> DataFrame:
+    """Clauses of a sorting network over each item's rows, padded by wires that are false."""
+    spark = ok.sparkSession
+    sizes = sorted(r[0] for r in ok.select(F.greatest(F.lit(1), bits_shift(F.ceil(F.log2("c")))).alias("p")).distinct().collect())  # powers of two
+    if sizes and sizes[-1] > MAX_WIRES:
+        raise ValueError(f"an item of more than {MAX_WIRES} rows")
+    plan, last = [], []
+    for p in sizes:
+        at = {w: 0 for w in range(p)}  # how often each wire was compared
+        for _, a, b in merge_network(p):
+            plan.append((p, a, b, at[a], at[b]))
+            at[a], at[b] = at[a] + 1, at[b] + 1
+        last += [(p, w, k) for w, k in at.items()]
+    table = spark.createDataFrame(plan, "p int, a int, b int, ta int, tb int")
+    wired = ok.withColumn("p", F.greatest(F.lit(1), bits_shift(F.ceil(F.log2("c")))))
+    name = lambda w, t: F.when(t == 0, F.coalesce(_row(F.get("tids", w)), F.concat(F.lit("none_"), F.col("i")))).otherwise(F.concat(F.lit("w_"), F.col("i"), F.lit("_"), w.cast("string"), F.lit("_"), t.cast("string")))
+    on = wired.join(F.broadcast(table), "p")  # a few thousand comparators a size
+    a, b = name(F.col("a"), F.col("ta")), name(F.col("b"), F.col("tb"))
+    most, least = name(F.col("a"), F.col("ta") + 1), name(F.col("b"), F.col("tb") + 1)
+    ends = spark.createDataFrame(last, "p int, w int, t int").where(F.col("w") == minsup - 1)
+    goal = wired.join(F.broadcast(ends), "p")
+    return (
+        _formula(on, "count_most", "or", 1, F.array(_lit(most, True), _lit(a, False), _lit(b, False)))
+        .union(_formula(on, "count_least", "or", 1, F.array(_lit(least, True), _lit(a, False))))
+        .union(_formula(on, "count_least", "or", 1, F.array(_lit(least, True), _lit(b, False))))
+        .union(_formula(wired.where(F.col("p") > F.col("c")), "count_none", "or", 1, F.array(_lit(F.concat(F.lit("none_"), F.col("i")), True))))
+        .union(_formula(goal, "count_goal", "or", 1, F.array(_lit(_item(F.col("i")), True), _lit(name(F.col("w"), F.col("t")), False))))
+    )
+
+
 def formula_size(formula: DataFrame) -> DataFrame:
     """One row: ``variables, binary, long, pb, literals, longest``. Clauses of two literals are binary, others long."""
     clause, n = F.col("op") == "or", F.size("lits")

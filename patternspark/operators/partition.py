@@ -24,10 +24,10 @@ from .measure import support
 from .search import Options, Run, Scope, mine_matrix
 from .solver import Budget
 
-TRACE = "group_id long, seq int, kind string, status string, mask {mask}, size int, ms double, conflicts long, blockers long, literals long"
+TRACE = "group_id long, seq int, kind string, status string, mask {mask}, size int, ms double, conflicts long, blockers long, literals long, decisions long, backtracks long, restarts long"
 #: Distinct rows of a group that one task takes.
 GROUP_ROWS = 200_000
-TAGGED = "tag string, group_id long, seq int, kind string, status string, mask {mask}, size int, sup long, ms double, conflicts long, blockers long, literals long"
+TAGGED = "tag string, group_id long, seq int, kind string, status string, mask {mask}, size int, sup long, ms double, conflicts long, blockers long, literals long, decisions long, backtracks long, restarts long"
 
 
 @dataclass(frozen=True)
@@ -55,9 +55,9 @@ class Kernel:
 
 
 def _records(run: Run, group: int, n: int) -> pd.DataFrame:
-    rows = [("trace", group, r["seq"], r["kind"], r["status"], bits.from_int(r["mask"], n), r["size"], 0, r["ms"], r["conflicts"], r["blockers"], r["literals"]) for r in run.trace]
-    rows += [("pattern", group, i, "", run.status, bits.from_int(k, n), k.bit_count(), v, 0.0, 0, 0, 0) for i, (k, v) in enumerate(sorted(run.found.items()))]
-    return pd.DataFrame(rows, columns=["tag", "group_id", "seq", "kind", "status", "mask", "size", "sup", "ms", "conflicts", "blockers", "literals"])
+    rows = [("trace", group, r["seq"], r["kind"], r["status"], bits.from_int(r["mask"], n), r["size"], 0, r["ms"], r["conflicts"], r["blockers"], r["literals"], *[r.get(c, 0) for c in ("decisions", "backtracks", "restarts")]) for r in run.trace]
+    rows += [("pattern", group, i, "", run.status, bits.from_int(k, n), k.bit_count(), v, 0.0, 0, 0, 0, 0, 0, 0) for i, (k, v) in enumerate(sorted(run.found.items()))]
+    return pd.DataFrame(rows, columns=["tag", "group_id", "seq", "kind", "status", "mask", "size", "sup", "ms", "conflicts", "blockers", "literals", "decisions", "backtracks", "restarts"])
 
 
 def split_by_prefix(db: ItemDB, minsup: int, *, group_rows: int = GROUP_ROWS) -> tuple[DataFrame, list[int]]:
@@ -154,7 +154,7 @@ def run_partitioned(db: ItemDB, minsup: int, kernel: Kernel, *, group_rows: int
         out, alone = found.where("tag <> 'pattern'"), more.join(bad, "mask", "left_anti").union(singles)
     else:
         alone = closed_prefixes(groups, minsup, n)
-    alone = alone.select(F.lit("pattern").alias("tag"), F.lit(0).cast("long").alias("group_id"), F.lit(0).alias("seq"), F.lit("").alias("kind"), F.lit("ok").alias("status"), "mask", bits.size(F.col("mask"), n).alias("size"), F.col("sup").cast("long").alias("sup"), F.lit(0.0).alias("ms"), *[F.lit(0).cast("long").alias(c) for c in ("conflicts", "blockers", "literals")])
+    alone = alone.select(F.lit("pattern").alias("tag"), F.lit(0).cast("long").alias("group_id"), F.lit(0).alias("seq"), F.lit("").alias("kind"), F.lit("ok").alias("status"), "mask", bits.size(F.col("mask"), n).alias("size"), F.col("sup").cast("long").alias("sup"), F.lit(0.0).alias("ms"), *[F.lit(0).cast("long").alias(c) for c in ("conflicts", "blockers", "literals", "decisions", "backtracks", "restarts")])
     return out.union(alone)
 
 

@@ -75,10 +75,10 @@ class _Session:
             for c in self.extra:
                 self.f.solver.add_clause(c)
         s = self.f.solver
-        before, start = s.conflicts, time.perf_counter()
+        before, start = (s.conflicts, s.decisions, s.backtracks, s.restarts), time.perf_counter()
         sat = s.solve(assume)
         mask = self.f.itemset() if sat else None
-        self.run.trace.append({"seq": len(self.run.trace), "kind": kind if sat else f"{kind}_unsat", "status": "sat" if sat else "unsat", "mask": mask or 0, "size": (mask or 0).bit_count(), "ms": (time.perf_counter() - start) * 1000, "conflicts": s.conflicts - before, "blockers": self.blockers, "literals": self.literals})
+        self.run.trace.append({"seq": len(self.run.trace), "kind": kind if sat else f"{kind}_unsat", "status": "sat" if sat else "unsat", "mask": mask or 0, "size": (mask or 0).bit_count(), "ms": (time.perf_counter() - start) * 1000, "conflicts": s.conflicts - before[0], "blockers": self.blockers, "literals": self.literals, "decisions": s.decisions - before[1], "backtracks": s.backtracks - before[2], "restarts": s.restarts - before[3]})
         return mask
 
     def solve_with(self, clause: list[int], true: list[int]) -> int | None:
@@ -155,7 +155,7 @@ def longest(s: _Session) -> None:
                 break
             best = more
         top = best.bit_count()  # sizes never rise
-        s.run.trace.append({**s.run.trace[-1], "seq": len(s.run.trace), "kind": "lsm", "status": "sat", "mask": best, "size": top, "ms": 0.0, "conflicts": 0})
+        s.run.trace.append({**s.run.trace[-1], "seq": len(s.run.trace), "kind": "lsm", "status": "sat", "mask": best, "size": top, "ms": 0.0, "conflicts": 0, "decisions": 0, "backtracks": 0, "restarts": 0})
         s.f = f
         s.keep(best)
         if s.o.blocking == B.FULL:

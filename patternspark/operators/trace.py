@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -44,4 +46,39 @@ def phase_transition(grid: DataFrame, by: str = "seconds") -> DataFrame:
 
 
 def conflicts(trace: DataFrame) -> DataFrame:
-    return trace.agg(F.sum("conflicts").alias("conflicts"), F.max("conflicts").alias("most"))
+    """``kind, searches, conflicts, most, decisions, backtracks, restarts`` of the solver's calls."""
+    total = [F.sum(c).alias(c) for c in ("decisions", "backtracks", "restarts")]
+    return trace.groupBy("kind").agg(F.count(F.lit(1)).alias("searches"), F.sum("conflicts").alias("conflicts"), F.max("conflicts").alias("most"), *total)
+
+
+# Costs on the Spark side
+
+#: What is counted in a plan: name and pattern of its operators.
+_OPERATORS = {"shuffles": r"(?<!Broadcast)Exchange (?:hash|range|Single|RoundRobin)", "broadcasts": "BroadcastExchange", "joins": r"(?:HashJoin|SortMergeJoin|NestedLoopJoin|CartesianProduct)", "sorts": r"\bSort \[", "scans": r"\b(?:FileScan|Scan ExistingRDD|LocalTableScan|Range )", "python": r"(?:InPandas|InArrow|EvalPython)"}
+
+
+def plan_cost(df: DataFrame) -> DataFrame:
+    """One row: how many shuffles, broadcasts, joins, sorts, scans and Python operators the physical plan has."""
+    import re
+
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    found = {k: len(re.findall(p, plan)) for k, p in _OPERATORS.items()}
+    return df.sparkSession.createDataFrame([tuple(found.values())], ", ".join(f"{k} long" for k in found))
+
+
+def run_cost(spark: SparkSession, make: Callable[[], DataFrame]) -> DataFrame:
+    """One row ``jobs, stages, tasks, rows, seconds`` of making and reading a result."""
+    import time
+    import uuid
+
+    group = uuid.uuid4().hex
+    spark.sparkContext.setJobGroup(group, "run_cost")
+    start = time.perf_counter()
+    rows = make().count()
+    took = time.perf_counter() - start
+    tracker = spark.sparkContext.statusTracker()
+    jobs = list(tracker.getJobIdsForGroup(group))
+    stages = {i for j in map(tracker.getJobInfo, jobs) if j for i in j.stageIds}
+    tasks = sum(x.numCompletedTasks for x in map(tracker.getStageInfo, stages) if x)
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    return spark.createDataFrame([(len(jobs), len(stages), tasks, rows, took)], "jobs long, stages long, tasks long, rows long, seconds double")

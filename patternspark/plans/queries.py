@@ -16,6 +16,7 @@ from ..operators.frontier import local_length_counts
 from ..operators.itemdb import binary_matrix, build_item_db, profile
 from ..operators.solver import PROFILES, Polarity
 from ..operators.vote import mine_local_vote
+from ..session import cut
 from ..sources import databases as D
 from ..sources.generator import generate, generate_sql
 from ..streaming import windows
@@ -305,6 +306,76 @@ def _auto(spark: SparkSession, sf_dir: str, db: str, theta: float) -> DataFrame:
     return measure.patterns(condense.maximal(mine_auto(d, theta, output="frequent").masks, d.n), d)
 
 
+def _rules_any(d, f):
+    return constraints.association_rules(f, d, 0.5, max_head=None)
+
+
+def _rules_low(d, f):
+    return constraints.association_rules(f, d, 0.1, max_head=None)
+
+
+def _clusters(d, f):
+    got = constraints.conceptual_clustering(d, f, 2)
+    return got.select(*[bits.names_of(F.element_at("masks", i), d.names).alias(c) for i, c in ((1, "a"), (2, "b"))], F.col("rows").cast("long").alias("rows"))
+
+
+def _concepts(d, f):
+    got = constraints.concept_learning(d, f.where(bits.size(F.col("mask"), d.n) <= 2), 2, d.names.index("pr=lo"), max_negative=0)
+    return got.select(*[bits.names_of(F.element_at("masks", i), d.names).alias(c) for i, c in ((1, "a"), (2, "b"))], F.col("covered").cast("long").alias("covered"))
+
+
+def _redescriptions(d, f):
+    view = sum(1 << i for i, x in enumerate(d.names) if x.startswith("type="))
+    got = constraints.redescriptions(d, f, view, 0.3)
+    return got.select(bits.names_of(F.col("p"), d.names).alias("p"), bits.names_of(F.col("q"), d.names).alias("q"), "together", "jaccard")
+
+
+def _bounded(spark: SparkSession, sf_dir: str, **kw) -> DataFrame:
+    return mined(spark, sf_dir, "order_mix", 0.1, output="frequent", **kw)
+
+
+def _exactness(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``method, missing, extra`` of each complete method against the level-wise one."""
+    d = D.item_db(spark, sf_dir, "order_mix")
+    want, out = cut(mine(d, 0.2, engine="levelwise", output="frequent").masks.select("mask", "sup"), "want"), None
+    for name, kw in (("growing", {"engine": "clausal"}), ("length", {"engine": "clausal", "search": "length"}), ("dual", {"formulation": "dual"}), ("bitset", {}), ("propagation", {"engine": "propagation"}), ("frontier", {"partitioning": "frontier"})):
+        got = measure.compare_sets(want, cut(mine(d, 0.2, output="frequent", **kw).masks.select("mask", "sup"), "got")).select(F.lit(name).alias("method"), "missing", "extra")
+        out = got if out is None else out.union(got)
+    return out
+
+
+def _transition(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The threshold of the largest border of each database: a cost that is the same on every machine."""
+    grid = workloads.w14_sweep(spark, sf_dir).where("config = 'bitset'")
+    return trace.phase_transition(grid, "n_maximal").select("db", "theta", F.col("cost").cast("long").alias("n_maximal"))
+
+
+def _transition_seconds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return trace.phase_transition(workloads.w02_density(spark))
+
+
+def _plan_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return trace.plan_cost(mined(spark, sf_dir, "order_mix", 0.2, output="frequent"))
+
+
+def _run_cost(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return trace.run_cost(spark, lambda: mined(spark, sf_dir, "order_mix", 0.2))
+
+
+def _wide_sets(spark: SparkSession, sf_dir: str, n: int, **kw) -> DataFrame:
+    return mine(build_item_db(generate(spark, n, 200, 0.2, 0.5, 1)), 0.15, output="frequent", max_size=3, **kw).patterns
+
+
+def _wide_sql(n: int) -> str:
+    """Frequent sets of up to three items by joins."""
+    pair = "select a.item as x, b.item as y, a.tid from k a join k b on a.tid = b.tid and a.item < b.item"
+    return O.base("", 0.15, generate_sql(n, 200, 0.2, 0.5, 1), 200) + f""", k as (select tid, item from tx join fi using (item)),
+p2 as ({pair}), f2 as (select x, y, count(*)::bigint as sup from p2 group by all having count(*) >= (select minsup from ms)),
+f3 as (select p2.x, p2.y, c.item as z, count(*)::bigint as sup from p2 join f2 on f2.x = p2.x and f2.y = p2.y join k c on c.tid = p2.tid and c.item > p2.y group by all having count(*) >= (select minsup from ms))
+select item as itemset, 1::int as size, c::bigint as sup, round(c / 200.0, 6)::double as freq from fi
+union all select x || ',' || y, 2, sup, round(sup / 200.0, 6)::double from f2 union all select x || ',' || y || ',' || z, 3, sup, round(sup / 200.0, 6)::double from f3"""
+
+
 MIX, WORDS, EMB = "order_mix", "doc_words16", "emb_sign8"
 
 
@@ -333,7 +404,7 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
     for kind, col in (("coverage", "covered"), ("frequency", "frequent"), ("reified", "frequent")):
         add(f"{kind}_check_user_day", partial(_check, kind=kind), O.frequent("user_day", 0.2) + f" select string_agg(item, ',' order by item) as itemset, true as {col} from ps join fi on (s >> id) & 1 = 1 group by s")
 
-    for db, thetas in {MIX: (0.05, 0.2), "line_attr": (0.05,), "order_attr": (0.05,), "user_day": (0.05,), EMB: (0.1,), WORDS: (0.4,), "part_attr": (0.02,), "cust_attr": (0.02,), "label_attr": (0.1,)}.items():
+    for db, thetas in {MIX: (0.05, 0.2), "line_attr": (0.01, 0.05), "order_attr": (0.01, 0.05), "user_day": (0.01, 0.05), EMB: (0.01, 0.1), WORDS: (0.4,), "part_attr": (0.02,), "cust_attr": (0.02,), "label_attr": (0.1,)}.items():
         for t in thetas:
             k = f"{db}_{_label(t)}"
             add(f"freq_{k}", partial(mined, db=db, theta=t, output="frequent"), O.frequent_sql(db, t))
@@ -404,7 +475,7 @@ union all select item, 1::int, c::bigint, round(c / (select m from m)::double, 6
     letters = ", ".join(f"('{x}')" for x in D.ALPHABET)
     add("enc_coverage_rows_illus", _coverage_rows, O.base("illus") + f", a(item) as (values {letters}) select t.tid::bigint as tid, a.item from (select distinct tid from tx) t cross join a where not exists (select 1 from tx where tx.tid = t.tid and tx.item = a.item)")
     add("enc_frequency_rows_illus", _frequency_rows, O.base("illus") + " select item, tid::bigint as tid, 3::bigint as bound from tx")
-    for method in ("seqcounter", "bdd"):
+    for method in ("seqcounter", "bdd", "totalizer", "network"):
         add(f"enc_cardinality_{method}_illus", partial(_cardinality, method=method))
     add("opb_illus", _opb)
     add("cnf_illus", _cnf)
@@ -465,6 +536,47 @@ from d, (select unnest([0.01, 0.04, 0.05, 0.1, 0.2, 0.25, 0.3, 0.6])::double as
     add("blocking_growth_order_mix", partial(_trace, fn=trace.blocking_growth))
     add("beta_alpha_ratio_order_mix", partial(_trace, fn=trace.beta_alpha_ratio))
     add("restriction_overhead_order_mix", _overhead)
+    add("solver_conflicts_order_mix", partial(_trace, fn=trace.conflicts))
+    add("plan_cost_order_mix_0_2", _plan_cost)
+    add("run_cost_order_mix_0_2", _run_cost)
+    rules = """
+select (select string_agg(item, ',' order by item) from fi f where (b.s >> f.id) & 1 = 1) as body, (select string_agg(item, ',' order by item) from fi f where (h.s >> f.id) & 1 = 1) as head, p.sup, round(p.sup / b.sup::double, 6) as confidence, round(p.sup / b.sup::double * (select m from m) / h.sup, 6) as lift
+from ps p join ps b on (p.s & b.s) = b.s and b.s <> p.s join ps h on h.s = xor(p.s, b.s) where round(p.sup / b.sup::double, 9) >= 0.5"""
+    add("rules_any_head_order_mix_0_1", partial(_with, db=MIX, theta=0.1, fn=_rules_any), O.frequent(MIX, 0.1) + rules)
+    add("rules_line_attr_0_02", partial(_with, db="line_attr", theta=0.02, fn=_rules_any), O.frequent("line_attr", 0.02) + rules)
+    add("rules_order_brand_0_01", partial(_with, db="order_brand", theta=0.01, fn=_rules_low), O.base("order_brand", 0.01) + """,
+k as (select tid, item from tx join fi using (item)), p2 as (select a.tid, a.item as x, b.item as y from k a join k b on a.tid = b.tid and a.item < b.item),
+f2 as (select x, y, count(*)::bigint as sup from p2 group by all having count(*) >= (select minsup from ms)),
+f3 as (select p2.x, p2.y, c.item as z, count(*)::bigint as sup from p2 join k c on c.tid = p2.tid and c.item > p2.y group by all having count(*) >= (select minsup from ms)),
+fs as (select item as s, c::bigint as sup from fi union all select x || ',' || y, sup from f2 union all select x || ',' || y || ',' || z, sup from f3),
+r as (select x as body, y as head, sup from f2 union all select y, x, sup from f2
+  union all select x, y || ',' || z, sup from f3 union all select y, x || ',' || z, sup from f3 union all select z, x || ',' || y, sup from f3
+  union all select y || ',' || z, x, sup from f3 union all select x || ',' || z, y, sup from f3 union all select x || ',' || y, z, sup from f3)
+select body, head, r.sup, round(r.sup / b.sup::double, 6) as confidence, round(r.sup / b.sup::double * (select m from m) / h.sup, 6) as lift from r join fs b on b.s = body join fs h on h.s = head where round(r.sup / b.sup::double, 9) >= 0.1""")
+    cov = "(select coalesce(sum(w), 0) from g where {})"
+    add("clusters_part_attr_0_05", partial(_with, db="part_attr", theta=0.05, fn=_clusters), O.frequent("part_attr", 0.05) + f" select {nm.format('a.s')} as a, {nm.format('b.s')} as b, (a.sup + b.sup)::bigint as rows from ps a join ps b on a.s < b.s where a.sup + b.sup = (select m from m) and {cov.format('(mask & (a.s | b.s)) = (a.s | b.s)')} = 0")
+    add("concepts_part_attr_0_05", partial(_with, db="part_attr", theta=0.05, fn=_concepts), O.frequent("part_attr", 0.05) + f""",
+cl as (select 1::bigint << id as bit from fi where item = 'pr=lo'),
+pu as (select s from ps, cl where (s & bit) = 0 and bit_count(s) <= 2 and sup > 0 and sup = {cov.format('(mask & (ps.s | bit)) = (ps.s | bit)')})
+select {nm.format('a.s')} as a, {nm.format('b.s')} as b, {cov.format('(mask & bit) = bit and ((mask & a.s) = a.s or (mask & b.s) = b.s)')}::bigint as covered from pu a join pu b on a.s < b.s, cl""")
+    add("redescriptions_order_mix_0_1", partial(_with, db=MIX, theta=0.1, fn=_redescriptions), O.frequent(MIX, 0.1) + f""",
+vw as (select bit_or(1::bigint << id) as v from fi where item like 'type=%'), pq as (select a.s as p, b.s as q, a.sup as sp, b.sup as sq, {cov.format('(mask & (a.s | b.s)) = (a.s | b.s)')}::bigint as together from ps a, ps b, vw where (a.s & v) = a.s and (b.s & v) = 0)
+select {nm.format('p')} as p, {nm.format('q')} as q, together, round(together / (sp + sq - together)::double, 6) as jaccard from pq where round(together / (sp + sq - together)::double, 9) >= 0.3""")
+    bit = lambda *names: "(select bit_or(1::bigint << id) from fi where item in (" + ", ".join(f"'{x}'" for x in names) + "))"
+    for key, kw, cond in (
+        ("must_not", {"must_not": ["rf=N", "ls=O"]}, f"(s & {bit('rf=N', 'ls=O')}) = 0"), ("any_of", {"any_of": [["rf=A", "rf=R"], ["ls=F", "ls=O"]]}, f"(s & {bit('rf=A', 'rf=R')}) <> 0 and (s & {bit('ls=F', 'ls=O')}) <> 0"),
+        ("max_size_2", {"max_size": 2}, "bit_count(s) <= 2"), ("max_weight", {"weights": {"rf=N": 2.0, "ls=O": 1.0, "ls=F": 1.0}, "max_weight": 2.0}, f"2 * bit_count(s & {bit('rf=N')}) + bit_count(s & {bit('ls=O', 'ls=F')}) <= 2"),
+    ):
+        add(f"{key}_order_mix_0_1", partial(_bounded, **kw), O.frequent(MIX, 0.1) + named_where(cond))
+    add("exactness_order_mix_0_2", _exactness, "select method, 0::bigint as missing, 0::bigint as extra from (values ('growing'), ('length'), ('dual'), ('bitset'), ('propagation'), ('frontier')) v(method)")
+    parts = "\nunion all\n".join(f"select '{x}' as db, {t}::double as theta, (select count(*) from ({O.frequent(x, t)} select * from mx)) as n_maximal" for x in ("user_day", "part_attr") for t in workloads.SWEEP)
+    add("phase_transition_borders", _transition, f"select db, theta, n_maximal from (select *, row_number() over (partition by db order by n_maximal desc, theta) as r from ({parts})) where r = 1")
+    add("phase_transition_seconds", _transition_seconds)
+    for n in (70, 120):
+        add(f"freq_wide_{n}_size_3", partial(_wide_sets, n=n), _wide_sql(n))
+        add(f"levelwise_wide_{n}_size_3", partial(_wide_sets, n=n, engine="levelwise"), _wide_sql(n))
+    for key, fn in workloads.full_grids().items():
+        add(key, fn)
     for key, (fn, oracle) in workloads.queries().items():
         add(key, fn, oracle)
     return q, sql

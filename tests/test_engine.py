@@ -272,3 +272,60 @@ def test_frontier_rounds_end_with_the_whole_border_or_none(illus):
     assert {r.mask for r in mine_growing_frontier(illus, 2)[0].collect()} == want
     with pytest.raises(OutOfBudget):
         mine_growing_frontier(illus, 2, max_rounds=1)
+
+
+@pytest.mark.parametrize("method", ["seqcounter", "bdd", "totalizer", "network"])
+def test_cardinality_clauses_count_rows(spark, method):
+    """An item that is chosen is satisfiable just with at least ``minsup`` of its rows, for every choice of rows."""
+    from patternspark.operators.solver import ClauseSolver
+
+    tx = spark.createDataFrame([(t, ["a"] + (["b"] if t < 4 else []) + (["c"] if t == 1 else [])) for t in range(1, 7)], "tid long, items array<string>")
+    for minsup in (1, 2, 3, 5):
+        clauses = [[(x.var, x.neg) for x in r.lits] for r in encode.cardinality_cnf(tx, ["a", "b", "c"], minsup, method).collect()]
+        names = sorted({v for c in clauses for v, _ in c} | {f"T_{t}" for t in range(1, 7)})
+        for code in range(64):
+            for item, own in (("I_a", range(1, 7)), ("I_b", range(1, 4)), ("I_c", [1])):
+                s = ClauseSolver()
+                var = {v: s.new_var() for v in names}
+                for c in clauses:
+                    s.add_clause([-var[v] if neg else var[v] for v, neg in c])
+                want = sum(code >> (t - 1) & 1 for t in own) >= minsup
+                fixed = [var[f"T_{t}"] if code >> (t - 1) & 1 else -var[f"T_{t}"] for t in range(1, 7)]
+                assert (s.ok and s.solve([*([var[item]] if item in var else []), *fixed])) == want, (method, minsup, code, item)
+
+
+def test_merge_networks_sort():
+    import itertools
+
+    for p in (1, 2, 4, 8):
+        for bits_ in itertools.product((0, 1), repeat=p):
+            x = list(bits_)
+            for _, a, b in encode.merge_network(p):
+                x[a], x[b] = max(x[a], x[b]), min(x[a], x[b])
+            assert x == sorted(bits_, reverse=True)
+
+
+def test_pattern_sets(spark):
+    db = build_item_db(spark.createDataFrame([(1, ["a", "x"]), (2, ["a", "x", "y"]), (3, ["b", "y"]), (4, ["b", "y"]), (5, ["b", "x", "z"])], "tid long, items array<string>"))
+    fr = mine(db, 1, output="frequent").masks
+    name = lambda ms: tuple(",".join(db.names[i] for i in bits.bits(m)) for m in ms)
+    parts = {name(r.masks) for r in constraints.conceptual_clustering(db, fr, 2).collect()}
+    assert ("a", "b") in parts and all(len(x) == 2 for x in parts) and ("a", "x") not in parts
+    good = {name(r.masks): r.covered for r in constraints.concept_learning(db, fr, 2, db.names.index("b")).collect()}
+    assert good[("z", "x,z")] == 1 and ("a", "y") not in good and all("x" not in k for k in good)
+    same = {(name([r.p])[0], name([r.q])[0]): r.jaccard for r in constraints.redescriptions(db, fr, db.mask("a,b"), 0.6).collect()}
+    assert same[("a", "x")] == pytest.approx(2 / 3, abs=1e-6) and ("b", "x") not in same
+    with pytest.raises(ValueError):
+        measure.bounded(spark.range(5), 4, "rows")
+
+
+def test_costs(spark, sf):
+    from patternspark.operators import trace
+
+    db = D.item_db(spark, sf, "user_day")
+    got = trace.conflicts(mine(db, 0.1, engine="clausal", partitioning="none").trace).collect()
+    assert got and all(r.decisions >= 0 and r.restarts >= 0 for r in got) and sum(r.decisions for r in got) > 0
+    cost = trace.plan_cost(db.masks.groupBy("mask").count()).first()
+    assert cost.shuffles == 1 and cost.python == 0 and cost.scans == 1
+    run = trace.run_cost(spark, lambda: db.masks)
+    assert run.first().jobs >= 1 and run.first().rows == db.masks.count()
