@@ -326,7 +326,8 @@ def media_columns(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "t
     """Store every text as a JPEG, read it back and describe it: sizes, hashes, and ``feature`` = size and thumbnail hash.
 
     Null text counts as empty (one block of zeros). Equal texts get equal values whatever else is in their batch.
-    Texts of any length are stored whole (several rows of blocks); an empty table gives an empty result.
+    Texts of any length are stored whole (several rows of blocks); repeated rows give repeated results, other columns
+    are ignored; an empty table gives an empty result.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

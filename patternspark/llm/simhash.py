@@ -29,6 +29,8 @@ from .graph import components
 
 BITS = 64
 SEED = 42
+#: A fingerprint is hot from N / HOT_SHARE rows on, so there are at most HOT_SHARE hot ones to broadcast.
+HOT_SHARE, HOT_LEAST = 2048, 256
 #: Ids that are held against all documents are broadcast up to this many, and joined by shuffle beyond.
 BROADCAST_IDS = 500_000
 
@@ -115,14 +117,14 @@ def near_words(distance: int) -> np.ndarray:
     return np.array(out, dtype="<u8").view("<i8")
 
 
-def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None = None, most: int = 2048) -> DataFrame:
+def fingerprint_links(fps: DataFrame, *, distance: int = 4, blocks: int | None = None, most: int = 2048, within: str | None = None) -> DataFrame:
     """Links ``a, b`` between distinct fingerprints ``fp`` that connect just those within ``distance`` bits, by chains."""
-    fps = cut(fps.select("fp").distinct(), "fps")
+    fps = cut(fps.select("fp").distinct(), "fps", within)
     masks = block_masks(blocks or blocks_for(fps.count(), distance), distance)
     signed = [m - 2**64 if m >= 2**63 else m for m in masks]
     keyed = fps.select("fp", F.explode(F.array(*[F.struct(F.lit(j).alias("j"), F.col("fp").bitwiseAND(F.lit(m)).alias("key")) for j, m in enumerate(signed)])).alias("t")).select("fp", "t.j", "t.key")
-    counts = keyed.groupBy("j", "key").agg(F.count(F.lit(1)).alias("c")).where("c > 1")
-    shared = cut(keyed.join(counts, ["j", "key"]), "blocks")
+    # one shuffle of the keys; only those of several fingerprints go on
+    shared = cut(keyed.withColumn("c", F.count(F.lit(1)).over(Window.partitionBy("j", "key"))).where("c > 1"), "blocks", within)
     light = shared.where(F.col("c") <= most).groupBy("j", "key").agg(F.collect_list("fp").alias("fps")).select("fps")
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -156,15 +158,25 @@ def near_groups(docs: DataFrame, *, size: int = 4, distance: int = 4, blocks: in
     """``id, fp, component_id`` of every row: the least id reachable over links of at most ``distance`` bits.
 
     Null text counts as empty; texts without words have fingerprint 0 and are linked like others; shorter texts than
-    a shingle are one shingle. Repeated rows and ids are kept as they are. An empty table gives an empty result.
-    Other columns are ignored.
+    a shingle are one shingle. Texts are read whole, whatever their length; a bit that is set in just half the hashes
+    is 0. Repeated rows and ids are kept as they are. An empty table gives an empty result. Other columns are ignored.
     """
-    fps = cut(fingerprints(docs, size=size, id_col=id_col, text_col=text_col), "fingerprints")
-    least = fps.groupBy("fp").agg(F.min("id").alias("least"))
-    labels = cut(components(fingerprint_links(fps, distance=distance, blocks=blocks, most=most)), "labels")
-    named = least.join(labels.withColumnRenamed("node", "fp"), "fp", "left").withColumn("label", F.coalesce("label", "fp"))
-    ids = named.groupBy("label").agg(F.min("least").alias("component_id"))
-    return fps.join(named.select("fp", "label").join(ids, "label").select("fp", "component_id"), "fp", "left").select("id", "fp", "component_id")
+    with scratch(docs.sparkSession) as at:
+        fps = cut(fingerprints(docs, size=size, id_col=id_col, text_col=text_col), "fingerprints", at)
+        # a fingerprint goes by the least id that has it, so a component's least node is its name
+        least = cut(fps.groupBy("fp").agg(F.min("id").alias("least"), F.count(F.lit(1)).alias("c")), "least", at)
+        links = fingerprint_links(least, distance=distance, blocks=blocks, most=most, within=at)
+        for side in ("a", "b"):
+            links = links.join(least.select(F.col("fp").alias(side), F.col("least").alias(f"l{side}")), side)
+        labels = cut(components(links.select(F.col("la").alias("a"), F.col("lb").alias("b")), within=at), "labels", at)
+        named = least.join(labels.withColumnRenamed("node", "least"), "least", "left").select("fp", "c", F.coalesce("label", "least").alias("component_id"))
+        # fingerprints of very many rows (at most HOT_SHARE of them) are dealt out by salt
+        hot_rows = max(HOT_LEAST, fps.count() // HOT_SHARE)
+        salts = F.ceil(F.col("c") / hot_rows).cast("int")
+        hot = F.broadcast(cut(least.where(F.col("c") > hot_rows).select("fp", salts.alias("salts")), "hot", at))
+        dealt = fps.join(hot, "fp", "left").withColumn("salt", F.coalesce(F.pmod(F.xxhash64("id"), "salts"), F.lit(0)).cast("int")).drop("salts")
+        spread = named.select("fp", "component_id", F.explode(F.sequence(F.lit(0), salts - 1)).alias("salt"))
+        return cut(dealt.join(spread, ["fp", "salt"], "left").select("id", "fp", "component_id"), "groups")
 
 
 def jaccard(a: list[int], b: list[int]) -> float:
