@@ -10,6 +10,7 @@ import time
 import numpy as np
 
 from ..functions.bits import bits
+from .blocking import SUBSET, blocking_clauses, cube
 from .formula import Matrix
 from .search import Run, Scope
 from .solver import Budget, OutOfBudget
@@ -48,9 +49,12 @@ def grow_maximal(m: Matrix, minsup: int, *, scope: Scope = Scope(), budget: Budg
     cut. Hits are maximal over all items, those outside the scope included. ``min_size`` cuts branches that cannot reach it.
     """
     run, t = Run(), Bitmap(m)
-    known: list[int] = []
+    known: list[tuple[int, int]] = []  # blockers of found sets as cubes
     nodes = 0
 
+    def blocked(itemset: int) -> bool:
+        return any(itemset & care == value for care, value in known)
+
     def visit(cur: int, rows: np.ndarray, cand: list[int]) -> None:
         nonlocal nodes
         nodes += 1
@@ -65,12 +69,12 @@ def grow_maximal(m: Matrix, minsup: int, *, scope: Scope = Scope(), budget: Budg
         reach = cur
         for i in cand:
             reach |= 1 << i
-        if min_size and reach.bit_count() < min_size or any(reach & k == reach for k in known):
+        if min_size and reach.bit_count() < min_size or blocked(reach):
             return
         if not cand:
             others = [i for i in range(m.n) if not cur >> i & 1 and got[i] >= minsup]
             if not others and cur:
-                known.append(cur)
+                known.extend(cube(blocking_clauses(cur, m.n, SUBSET), m.n))
                 run.found[cur] = total
                 if limit and len(run.found) >= limit:
                     raise StopIteration
@@ -80,7 +84,7 @@ def grow_maximal(m: Matrix, minsup: int, *, scope: Scope = Scope(), budget: Budg
             reach = cur | 1 << i
             for j in rest:
                 reach |= 1 << j
-            if min_size and reach.bit_count() < min_size or any(reach & x == reach for x in known):
+            if min_size and reach.bit_count() < min_size or blocked(reach):
                 continue
             visit(cur | 1 << i, rows[t.has[rows, i]], rest)
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Mapping, Sequence
+from dataclasses import dataclass, field
 from itertools import product
 
 from pyspark.sql import Column, DataFrame
@@ -84,6 +86,49 @@ def _cnf(e: Expr) -> list[list[int]]:
     return [c for p in parts for c in p] if e[0] == "and" else [[x for c in pick for x in c] for pick in product(*parts)]
 
 
+# Expressions over the chosen items
+
+
+@dataclass(frozen=True)
+class Selected:
+    """The items of a mask column as terms of an expression: disjunctions, conjunctions, numbers and sums over those
+    that are chosen, and set operations with named items. Terms are columns, so +, -, * and comparisons join them."""
+
+    names: Sequence[str]
+    mask: Column = field(default_factory=lambda: F.col("mask"))
+
+    @property
+    def n(self) -> int:
+        return len(self.names)
+
+    def _of(self, which: Callable[[str], bool]) -> Column:
+        return bits.literal(sum(1 << i for i, x in enumerate(self.names) if which(x)), self.n)
+
+    def any(self, which: Callable[[str], bool]) -> Column:
+        """Some chosen item is one of these."""
+        return self.count(which) > 0
+
+    def all(self, which: Callable[[str], bool]) -> Column:
+        """Every chosen item is one of these."""
+        return bits.contains(self._of(which), self.mask, self.n)
+
+    def count(self, which: Callable[[str], bool] = lambda x: True) -> Column:
+        return bits.size(bits.intersection(self.mask, self._of(which), self.n), self.n)
+
+    def sum(self, values: Mapping[str, float]) -> Column:
+        table = F.array(*[F.lit(float(values.get(x, 0.0))) for x in self.names])
+        return F.aggregate(bits.items_of(self.mask, self.n), F.lit(0.0), lambda a, i: a + F.get(table, i))
+
+    def union(self, other: Column) -> Selected:
+        return Selected(self.names, bits.union(self.mask, other, self.n))
+
+    def intersection(self, other: Column) -> Selected:
+        return Selected(self.names, bits.intersection(self.mask, other, self.n))
+
+    def minus(self, other: Column) -> Selected:
+        return Selected(self.names, bits.difference(self.mask, other, self.n))
+
+
 # Quantities
 
 

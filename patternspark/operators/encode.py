@@ -10,6 +10,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions import bits
+
 SCHEMA = "cid bigint, family string, op string, bound bigint, lits array<struct<var:string,neg:boolean,coef:bigint>>"
 
 
@@ -86,11 +88,10 @@ def frequency(tx: DataFrame, names: list[str], minsup: int, kind: str = "reified
 
 def weighted_frequency(masks: DataFrame, names: list[str], minsup: int) -> DataFrame:
     """The reified form on collapsed rows (``mask, w``): the row variable of a mask has its weight as coefficient."""
-    ids = F.array(*[F.lit(k) for k in range(len(names))])
-    spread = masks.select("mask", "w", F.explode(F.filter(ids, lambda k: F.getbit("mask", k) == 1)).alias("k"))
+    spread = masks.select("mask", "w", F.explode(bits.items_of(F.col("mask"), len(names))).alias("k"))
     per = spread.groupBy("k").agg(F.array_sort(F.collect_list(F.struct(F.col("mask"), F.col("w")))).alias("rows"))
     table = F.array(*[F.lit(x) for x in names])
-    rows = F.transform("rows", lambda r: _lit(_row(r["mask"]), False, r["w"]))
+    rows = F.transform("rows", lambda r: _lit(_row(F.array_join(r["mask"], "_") if bits.is_wide(len(names)) else r["mask"]), False, r["w"]))
     return _formula(per, "frequency", ">=", minsup, F.concat(F.array(_lit(_item(F.element_at(table, F.col("k") + 1)), True, minsup)), rows))
 
 

@@ -36,7 +36,17 @@ class Plan:
         return own | {"engine": "clausal", "search": "growing"}
 
 
-def recommend(density: float, theta: float, task: str = "all") -> Plan:
+#: More items than rows: minimal infrequent sets outnumber the rows by far, so the dual is not taken.
+MOST_ITEM_RATIO = 1.0
+
+
+def choose_formulation(density: float, item_ratio: float, theta: float) -> str:
+    """'primal' or 'dual', by density, items per row and threshold."""
+    low = LOW_DENSE if density >= DENSE else LOW_OTHER
+    return "dual" if theta > low and DUAL_FROM <= theta <= DUAL_TO and item_ratio <= MOST_ITEM_RATIO else "primal"
+
+
+def recommend(density: float, theta: float, task: str = "all", item_ratio: float = 0.0) -> Plan:
     """``task``: 'all', 'first_k' (few of many) or 'one'."""
     low = LOW_DENSE if density >= DENSE else LOW_OTHER
     if task == "one":
@@ -45,30 +55,30 @@ def recommend(density: float, theta: float, task: str = "all") -> Plan:
         method = "longest"
     elif theta <= low:
         method = "growing"
-    elif DUAL_FROM <= theta <= DUAL_TO:
+    elif choose_formulation(density, item_ratio, theta) == "dual":
         method = "dual"
     else:
         method = "baseline"
     return Plan(method, "reduced" if theta > REDUCED_FROM else "clausal", "pos" if theta <= POLARITY_TO else "neg", "subset_compact")
 
 
-def recommend_column(density: Column, theta: Column) -> Column:
+def recommend_column(density: Column, theta: Column, item_ratio: Column) -> Column:
     """The method for the task 'all' as a column."""
     low = F.when(density >= DENSE, LOW_DENSE).otherwise(LOW_OTHER)
-    return F.when(theta <= low, "growing").when((theta >= DUAL_FROM) & (theta <= DUAL_TO), "dual").otherwise("baseline")
+    return F.when(theta <= low, "growing").when((theta >= DUAL_FROM) & (theta <= DUAL_TO) & (item_ratio <= MOST_ITEM_RATIO), "dual").otherwise("baseline")
 
 
 def advise(db: ItemDB, thetas: list[float]) -> DataFrame:
     """``density, theta, method, coverage, polarity`` for each threshold."""
     t = db.spark.createDataFrame([(x,) for x in thetas], "theta double")
-    p = profile(db).select("density").crossJoin(F.broadcast(t))
+    p = profile(db).select("density", "item_ratio").crossJoin(F.broadcast(t))  # one row by the asked thresholds
     th = F.col("theta")
-    return p.select("density", "theta", recommend_column(F.col("density"), th).alias("method"), F.when(th > REDUCED_FROM, "reduced").otherwise("clausal").alias("coverage"), F.when(th <= POLARITY_TO, "pos").otherwise("neg").alias("polarity"))
+    return p.select("density", "theta", recommend_column(F.col("density"), th, F.col("item_ratio")).alias("method"), F.when(th > REDUCED_FROM, "reduced").otherwise("clausal").alias("coverage"), F.when(th <= POLARITY_TO, "pos").otherwise("neg").alias("polarity"))
 
 
 def mine_auto(db: ItemDB, theta: float, *, task: str = "all", seconds: float = 30, **settings) -> MiningResult:
     """Follow the recommendation within a budget a group; where it runs out, fall back on the bitset engine."""
-    density = float(profile(db).first().density)
-    plan = recommend(density, theta, task)
+    p = profile(db).first()
+    plan = recommend(float(p.density), theta, task, float(p.item_ratio))
     got = mine(db, theta, **({"seconds": seconds} | plan.settings() | settings))
     return got if got.status == "ok" else mine(db, theta, **settings)

@@ -12,6 +12,7 @@ from ..functions import bits
 from ..operators import blocking as B
 from ..operators import condense, constraints, encode, freqsat, measure, trace
 from ..operators.baseline import mine_fpgrowth
+from ..operators.bitset import ReifiedSum, SumBound
 from ..operators.frontier import local_length_counts
 from ..operators.itemdb import binary_matrix, build_item_db, profile
 from ..operators.solver import PROFILES, Polarity
@@ -23,7 +24,7 @@ from ..streaming import windows
 from . import oracles as O
 from . import workloads
 from .advisor import advise, mine_auto
-from .mine import mine, top_k_longest
+from .mine import AnyOf, Coverage, Frequency, MaxSize, Model, MustContain, MustNotContain, mine, top_k_longest
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -376,6 +377,77 @@ select item as itemset, 1::int as size, c::bigint as sup, round(c / 200.0, 6)::d
 union all select x || ',' || y, 2, sup, round(sup / 200.0, 6)::double from f2 union all select x || ',' || y || ',' || z, 3, sup, round(sup / 200.0, 6)::double from f3"""
 
 
+def _model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    m = Model(D.item_db(spark, sf_dir, "order_mix")).require(Coverage("reduced"), Frequency(0.1), MustContain("ls=F"), MustNotContain("rf=A"), AnyOf(("rf=R,rf=N",)), MaxSize(4))
+    return m.solve(output="frequent").patterns
+
+
+def _refined(spark: SparkSession, sf_dir: str) -> DataFrame:
+    first = mine(D.item_db(spark, sf_dir, "order_mix"), 0.1, output="frequent")
+    return first.refine(F.col("size") >= 2, theta=0.2).patterns
+
+
+def _weighted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per item the rows' weights of its weighted frequency constraint, largest and in sum."""
+    d = D.item_db(spark, sf_dir, "user_day")
+    f = encode.weighted_frequency(d.masks, d.names, d.minsup(0.1)).select(F.explode("lits").alias("x"), F.element_at("lits", 1)["var"].alias("v"))
+    rows = f.where("not startswith(x.var, 'I_')").groupBy(F.substring("v", 3, 99).alias("item"))
+    return rows.agg(F.count(F.lit(1)).alias("masks"), F.sum("x.coef").alias("total"), F.max("x.coef").alias("most"))
+
+
+def _set_algebra(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The set constraints on all pairs of subsets of five items, and an itemset's member test."""
+    n, one = 5, spark.range(32)
+    t = one.select(F.col("id").alias("p")).crossJoin(F.broadcast(one.select(F.col("id").alias("q"))))
+    p, q = F.col("p"), F.col("q")
+    r = lambda fn: fn(p, q, n)
+    return t.select(
+        "p", "q", constraints.equal(p, q).alias("equal"), constraints.member(p, 3, n).alias("member"), r(bits.difference).alias("difference"), r(bits.intersection).alias("intersection"), r(bits.union).alias("union_"),
+        constraints.union_is(p, q, F.lit(31).cast("long"), n).alias("all_items"), constraints.intersection_is(p, q, F.lit(0).cast("long"), n).alias("disjoint"), constraints.difference_is(p, q, F.lit(0).cast("long"), n).alias("inside"),
+    )
+
+
+def _selected(d, f):
+    """Sets with a type, at most as many flags as types, not only types, and a bounded sum of prices."""
+    x = constraints.Selected(d.names)
+    typed, flag = (lambda i: i.startswith("type=")), (lambda i: i.startswith("rf="))
+    price = {i: 2.0 if flag(i) else 0.5 for i in d.names}
+    cond = x.any(typed) & (x.count(flag) <= x.count(typed)) & ~x.all(typed) & (x.sum(price) - x.count(flag) * 1.5 <= 1.5) & (x.minus(bits.literal(d.mask("ls=F"), d.n)).count() >= 2)
+    return measure.patterns(f.where(cond), d)
+
+
+#: An expression over three variables.
+_EXPRESSION = ("iff", 1, ("or", 2, ("and", -3, ("implies", 2, 3))))
+
+
+def _expression(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Truth table of an expression by its clauses."""
+    cnf = constraints.to_cnf(_EXPRESSION)
+    value = lambda x: (F.getbit("code", F.lit(abs(x) - 1)) == (1 if x > 0 else 0))
+    holds = F.lit(True)
+    for c in cnf:
+        own = F.lit(False)
+        for x in c:
+            own = own | value(x)
+        holds = holds & own
+    return spark.range(8).select(F.col("id").alias("code")).select("code", holds.alias("holds"))
+
+
+def _propagators(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bounds and decisions of the sum propagators on every partial assignment of four weights."""
+    from itertools import product
+
+    rows = []
+    for code, state in enumerate(product((None, False, True), repeat=4)):
+        s = SumBound([3, 2, 2, 1])
+        for k, v in enumerate(state):
+            if v is not None:
+                s.fix(k, v)
+        forced = ReifiedSum(s, 5).propagate()
+        rows.append((code, s.lower, s.upper, s.at_least(5), forced is False))
+    return spark.createDataFrame(rows, "code long, lower long, upper long, decided boolean, out boolean")
+
+
 MIX, WORDS, EMB = "order_mix", "doc_words16", "emb_sign8"
 
 
@@ -513,7 +585,24 @@ al as (select s, sup from ps union all select 0::bigint, (select m from m)),
 dd as (select i.s, i.sup, j.s as j, sum(case when (bit_count(i.s) - bit_count(x.s)) % 2 = 1 then x.sup else -x.sup end) as v from ps i join al j on (i.s & j.s) = j.s and j.s <> i.s join al x on (i.s & x.s) = x.s and x.s <> i.s and (x.s & j.s) = j.s where bit_count(i.s) = 3 group by all)
 select {nm.format('s')} as itemset, greatest(max(v) filter ((bit_count(s) - bit_count(j)) % 2 = 0), 0)::bigint as lower, (min(v) filter ((bit_count(s) - bit_count(j)) % 2 = 1))::bigint as upper, any_value(sup) as sup from dd group by s""")
     add("must_contain_order_mix_0_1", _must, O.frequent(MIX, 0.1) + named_where("(s & (select 1::bigint << id from fi where item = 'rf=N')) <> 0 and bit_count(s) <= 4"))
-    add("reducts_part", _reducts)
+    attrs = {"p_type": "p_type", "size": "(p_size - 1) // 10", "cheap": "p_retailprice < 950"}
+    subsets = [[x for k, x in enumerate(attrs) if code >> k & 1] for code in range(1, 8)]
+    tests = " union all ".join(
+        f"select '{','.join(sorted(x))}' as reduct, {len(x)}::int as size, (select count(*) from r a join r b on a.d < b.d and {' and '.join(f'a.{y} = b.{y}' for y in x)} where {' or '.join(f'a.{y} <> b.{y}' for y in attrs)}) as lost" for x in subsets)
+    add("reducts_part", _reducts, f"with r as (select distinct {', '.join(f'{e} as {x}' for x, e in attrs.items())}, substr(p_brand, 1, 7) as d from part), t as ({tests}) select reduct, size from t where lost = 0 and size = (select min(size) from t where lost = 0)")
+    add("model_order_mix_0_1", _model, O.frequent(MIX, 0.1) + named_where("(s & (select 1::bigint << id from fi where item = 'ls=F')) <> 0 and (s & (select bit_or(1::bigint << id) from fi where item = 'rf=A')) = 0 and (s & (select bit_or(1::bigint << id) from fi where item in ('rf=R', 'rf=N'))) <> 0 and bit_count(s) <= 4"))
+    add("refine_order_mix_0_1", _refined, O.frequent(MIX, 0.2) + named_where("bit_count(s) >= 2"))
+    add("enc_weighted_frequency_user_day", _weighted, O.base("user_day") + " select item, count(*) as masks, sum(w)::bigint as total, max(w) as most from fi join g on (mask >> id) & 1 = 1 group by item")
+    ty, fl = ("(select bit_or(1::bigint << id) from fi where item like '" + x + "=%')" for x in ("type", "rf"))
+    add("selected_expressions_order_mix_0_1", partial(_with, db=MIX, theta=0.1, fn=_selected), O.frequent(MIX, 0.1) + named_where(
+        f"(s & {ty}) <> 0 and bit_count(s & {fl}) <= bit_count(s & {ty}) and (s & ~{ty}) <> 0 and 2 * bit_count(s & {fl}) + 0.5 * bit_count(s & ~{fl}) - 1.5 * bit_count(s & {fl}) <= 1.5 and bit_count(s & ~(select 1::bigint << id from fi where item = 'ls=F')) >= 2"))
+    add("set_algebra", _set_algebra, """with t as (select p::bigint as p, q::bigint as q from range(32) a(p), range(32) b(q))
+select p, q, p = q as equal, (p >> 3) & 1 = 1 as member, p & ~q as difference, p & q as intersection, p | q as union_, (p | q) = 31 as all_items, (p & q) = 0 as disjoint, (p & ~q) = 0 as inside from t""")
+    add("expression_cnf", _expression, """with t as (select c::bigint as code, (c & 1) = 1 as a, (c & 2) = 2 as b, (c & 4) = 4 as d from range(8) r(c))
+select code, a = (b or (not d and (not b or d))) as holds from t""")
+    add("sum_propagators", _propagators, """with t as (select c, [(c // 27) % 3, (c // 9) % 3, (c // 3) % 3, c % 3] as s from range(81) r(c)),
+b as (select c, list_sum([case when s[k] = 2 then [3, 2, 2, 1][k] else 0 end for k in [1, 2, 3, 4]])::bigint as lower, list_sum([case when s[k] <> 1 then [3, 2, 2, 1][k] else 0 end for k in [1, 2, 3, 4]])::bigint as upper from t)
+select c::bigint as code, lower, upper, case when lower >= 5 then true when upper < 5 then false end as decided, upper < 5 as out from b""")
     witness = ", ".join(f"({i}, '{r}')" for i, r in enumerate(freqsat.WITNESS))
     cons = ", ".join(f"('{','.join(c)}', {lo}::double, {hi}::double)" for c, lo, hi in ((c, eval_fraction(lo), eval_fraction(hi)) for c, lo, hi in freqsat.WORKED))
     add("freqsat_worked_check", _freqsat_check, f"""with r(t, row) as (values {witness}), c(itemset, lo, hi) as (values {cons}),

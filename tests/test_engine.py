@@ -8,7 +8,7 @@ from patternspark.operators import condense, constraints, encode, freqsat, measu
 from patternspark.operators.frontier import mine_growing_frontier
 from patternspark.operators.itemdb import absolute, build_item_db, profile
 from patternspark.operators.solver import OutOfBudget
-from patternspark.plans.advisor import recommend
+from patternspark.plans.advisor import choose_formulation, recommend
 from patternspark.plans.mine import Coverage, Frequency, Model, MustContain, is_satisfiable, mine
 from patternspark.sources import databases as D
 from patternspark.sources.bins import Bins
@@ -241,6 +241,7 @@ def test_bins_and_advice(spark):
     rows = spark.createDataFrame([(0.5,), (1.0,), (3.0,), (None,)], "x double").select(b.label(F.col("x")).alias("l")).collect()
     assert [r.l for r in rows] == ["lo", "mid", "hi", None]
     assert recommend(0.5, 0.1).method == "growing" and recommend(0.2, 0.1).method == "dual" and recommend(0.2, 0.5).method == "baseline"
+    assert choose_formulation(0.2, 0.01, 0.1) == "dual" and choose_formulation(0.2, 3.0, 0.1) == "primal" and recommend(0.2, 0.1, item_ratio=3.0).method == "baseline"
     q = Bins.quantile(spark.range(100), "id", ["a", "b", "c", "d"])
     assert len(q.edges) == 3
 

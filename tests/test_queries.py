@@ -34,6 +34,6 @@ def test_same_rows(spark, sf, duck, key):
 def test_every_query_has_sql_or_a_reason():
     without = {k for k in set(QUERIES) - set(SQL) if not k.endswith("_full")}
     assert without <= {
-        "enc_cardinality_seqcounter_illus", "enc_cardinality_bdd_illus", "enc_cardinality_totalizer_illus", "enc_cardinality_network_illus", "opb_illus", "cnf_illus", "reducts_part", "freqsat_solve", "maximal_wide_70x200",
+        "enc_cardinality_seqcounter_illus", "enc_cardinality_bdd_illus", "enc_cardinality_totalizer_illus", "enc_cardinality_network_illus", "opb_illus", "cnf_illus", "freqsat_solve", "maximal_wide_70x200",
         "search_times_order_mix", "blocking_growth_order_mix", "beta_alpha_ratio_order_mix", "restriction_overhead_order_mix", "w07_searches_and_times", "solver_conflicts_order_mix", "plan_cost_order_mix_0_2", "run_cost_order_mix_0_2", "phase_transition_seconds",
     }
