@@ -64,6 +64,18 @@ def test_stages(spark, sf):
         if name == "near_dedup":
             sets = {k: simhash.shingle_set(t) for k, t in before.items()}
             assert all(any(simhash.jaccard(sets[k], sets[o]) >= 0.8 for o in sets if o < k) for k in gone)
+            up = {k: k for k in sets}  # the same by brute force: of all that pairs connect, the least id stays
+
+            def top(k):
+                while up[k] != k:
+                    k = up[k]
+                return k
+
+            for a in sets:
+                for b in sets:
+                    if a < b and simhash.jaccard(sets[a], sets[b]) >= 0.8:
+                        up[max(top(a), top(b))] = min(top(a), top(b))
+            assert set(after) == {top(k) for k in sets}
         docs = out
     packed = corpus_pipeline.pack(spark, docs, sf).toPandas()
     assert set(packed["doc_id"]) == {r.doc_id for r in docs.collect()}
