@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from fractions import Fraction
 from functools import partial
 
 from pyspark.sql import DataFrame, SparkSession
@@ -251,6 +252,20 @@ def _freqsat(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([("worked", status, len(rows)), ("contradiction", bad, 0)], "instance string, status string, rows int")
 
 
+def _freqsat_decided(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Instances with a known answer: the worked one, pairs that exclude each other, a cycle of rules, three disjoint halves."""
+    c, one, half = freqsat.constraint, Fraction(1), Fraction(1, 2)
+    cases = [
+        ("worked", [c(*x) for x in freqsat.WORKED], ()),
+        ("three_disjoint_halves", [*[c(x, half, 1) for x in "abc"], *[c(x, 0, 0) for x in ("ab", "ac", "bc")]], ()),
+        ("two_disjoint_halves", [*[c(x, half, half) for x in "ab"], c("ab", 0, 0)], ()),
+        ("rule_kept", [c("a", half, 1), c("b", half, half)], [(("a",), ("b",), Fraction(3, 4), one)]),
+        ("rule_broken", [c("a", Fraction(4, 5), 1), c("b", 0, half)], [(("a",), ("b",), Fraction(3, 4), one)]),
+    ]
+    rows = [(name, status, all(lo <= Fraction(sum(set(own) <= set(r) for r in got), len(got)) <= hi for own, lo, hi in cons) if got else None) for name, cons, rules in cases for status, got in [freqsat.freqsat(cons, rules=rules)]]
+    return spark.createDataFrame(rows, "instance string, status string, witness_ok boolean")
+
+
 def _vote(spark: SparkSession, sf_dir: str, db: str, theta: float) -> DataFrame:
     d = D.item_db(spark, sf_dir, db)
     return measure.patterns(mine_local_vote(d, theta).select("mask", "sup"), d)
@@ -609,6 +624,7 @@ select c::bigint as code, lower, upper, case when lower >= 5 then true when uppe
 h as (select itemset, lo, hi, count(*) filter (len(list_filter(string_split(itemset, ','), lambda x: not contains(row, x))) = 0) as sup from r, c group by all)
 select itemset, sup, round(sup / 8.0, 6)::double as freq, sup / 8.0 >= lo - 1e-12 and sup / 8.0 <= hi + 1e-12 as ok from h""")
     add("freqsat_solve", _freqsat)
+    add("freqsat_decided", _freqsat_decided, "select * from (values ('worked', 'yes', true), ('three_disjoint_halves', 'no', null), ('two_disjoint_halves', 'yes', true), ('rule_kept', 'yes', true), ('rule_broken', 'no', null)) v(instance, status, witness_ok)")
     add("local_vote_line_attr_0_05", partial(_vote, db="line_attr", theta=0.05), O.frequent_sql("line_attr", 0.05))
     add("stream_day_items", _stream, "select strftime(ts, '%Y-%m-%d') as day, event_type, count(*) as n from events group by all")
     add("generate_20x500", _generated, generate_sql(20, 500, 0.3, 0.4, 7))

@@ -218,6 +218,25 @@ def test_freqsat(spark):
     assert freqsat.freqsat([freqsat.constraint("a", 1, 1), freqsat.constraint("b", 1, 1), freqsat.constraint("ab", 0, 0)])[0] == "no"
 
 
+def test_frequencies_are_decided_exactly(spark):
+    import random
+    from fractions import Fraction
+
+    r = random.Random(5)
+    for _ in range(25):  # frequencies of a real database can be kept, and by the shares that are found
+        rows = ["".join(i for i in "abcd" if r.random() < 0.5) for _ in range(r.randint(1, 7))]
+        cons = [freqsat.constraint(own, f, f) for own in {"".join(sorted(r.sample("abcd", r.randint(1, 3)))) for _ in range(4)} for f in [Fraction(sum(set(own) <= set(x) for x in rows), len(rows))]]
+        got = freqsat.shares(cons)
+        assert got is not None and sum(got.values()) == 1 and min(got.values()) > 0
+        assert all(sum(v for x, v in got.items() if set(own) <= set(x)) == lo for own, lo, _ in cons)
+    half = Fraction(1, 2)
+    apart = [*[freqsat.constraint(x, half, 1) for x in "abc"], *[freqsat.constraint(x, 0, 0) for x in ("ab", "ac", "bc")]]
+    assert freqsat.freqsat(apart) == ("no", []) and not freqsat.contradicts(apart)
+    third = Fraction(1, 31)  # a witness needs 31 rows: more than the solver is asked to try
+    status, rows = freqsat.freqsat([freqsat.constraint("a", third, third)], max_rows=3)
+    assert status == "yes" and Fraction(sum("a" in x for x in rows), len(rows)) == third
+
+
 def test_bounds_hold(spark, sf):
     db = D.item_db(spark, sf, "order_mix")
     fr = mine(db, 0.2, output="frequent").masks.where(F.bit_count("mask") <= 3)
