@@ -8,8 +8,9 @@ bits just when flipping at most d/2 bits of one (rounded down) and d/2 of the ot
 word, so each fingerprint is listed under every word that near (2081 for d = 4) and those that share a word are linked
 in a star.
 
-Near copies by the similarity of their shingles need no fingerprints: the prefixes of ordered shingle sets meet in a
-key for every pair that is similar enough, at every size of the table.
+Near copies by the similarity of their shingles go the same way first: what fingerprints and blocks link is held against
+the exact similarity. Similar pairs whose fingerprints are further apart follow exactly: the prefixes of ordered shingle
+sets meet in a key for every pair that is similar enough, at every size of the table.
 """
 
 from __future__ import annotations
@@ -40,22 +41,29 @@ def words(text: str) -> list[bytes]:
     return ascii_lower_py(text).encode("utf-8", "surrogatepass").split()
 
 
-def fingerprint(text: str | None, size: int = 4) -> int:
-    """A bit is 1 if it is set in over half of the shingles' hashes; 0 for a text without words."""
+def shingle_hashes(text: str | None, size: int) -> np.ndarray:
+    """Hashes of a text's shingles in their order, repeats included; of a shorter text: one of all its words."""
     ws = words(text or "")
     if not ws:
-        return 0
+        return np.zeros(0, dtype="<u8")
     joined = b" ".join(ws)
     ends = np.cumsum([len(w) + 1 for w in ws]) - 1
-    starts = np.concatenate([[0], ends[:-1] + 1])
-    n = max(1, len(ws) - size + 1)
-    last = ends[min(size, len(ws)) - 1:]
+    starts = np.concatenate([[0], ends[:-1] + 1])[:max(1, len(ws) - size + 1)]
     digest = xxhash.xxh64_intdigest
-    h = np.array([digest(joined[a:b], SEED) for a, b in zip(starts[:n].tolist(), last.tolist())], dtype="<u8")
+    return np.array([digest(joined[a:b], SEED) for a, b in zip(starts.tolist(), ends[min(size, len(ws)) - 1:].tolist())], dtype="<u8")
+
+
+def majority(h: np.ndarray) -> int:
+    """A bit is 1 if it is set in over half of the hashes; 0 if there are none."""
     ones = np.zeros(BITS, dtype=np.int64)
-    for at in range(0, n, 65536):
+    for at in range(0, len(h), 65536):
         ones += np.unpackbits(h[at:at + 65536].view("u1").reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
-    return int(np.packbits(2 * ones > n, bitorder="little").view("<u8")[0])
+    return int(np.packbits(2 * ones > len(h), bitorder="little").view("<u8")[0])
+
+
+def fingerprint(text: str | None, size: int = 4) -> int:
+    """The majority of the shingles' hashes; 0 for a text without words."""
+    return majority(shingle_hashes(text, size))
 
 
 def fingerprints(docs: DataFrame, *, size: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -191,14 +199,7 @@ def shingle_set(text: str | None, size: int = 5) -> list[int]:
 
 def shingle_array(text: str | None, size: int = 5) -> np.ndarray:
     """The same in rising order."""
-    ws = words(text or "")
-    if not ws:
-        return np.zeros(0, dtype="<i8")
-    joined = b" ".join(ws)
-    ends = np.cumsum([len(w) + 1 for w in ws]) - 1
-    starts = np.concatenate([[0], ends[:-1] + 1])[:max(1, len(ws) - size + 1)]
-    digest = xxhash.xxh64_intdigest
-    return np.unique(np.array([digest(joined[a:b], SEED) for a, b in zip(starts.tolist(), ends[min(size, len(ws)) - 1:].tolist())], dtype="<u8").view("<i8"))
+    return np.unique(shingle_hashes(text, size).view("<i8"))
 
 
 def _small(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -336,10 +337,12 @@ def verified(docs: DataFrame, pairs: DataFrame, *, size: int, similarity: float,
     return cut(sent.repartition("to", "salt").sortWithinPartitions("to", "salt", "role").mapInArrow(check, f"a {kind}, b {kind}"), "similar", within)
 
 
-def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, most: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, distance: int = 4, most: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``id, component_id`` of ids that have a near copy: links are pairs of at least ``similarity`` on word shingles.
 
-    Exact: every pair with that Jaccard similarity of ``size``-word shingles shares a key of its prefixes. Candidates
+    SimHash first: rows of one fingerprint (of ``size``-word shingles) with the least id of it, and the links between
+    fingerprints that differ in at most ``distance`` bits, as ``near_groups`` finds them. The rest is exact, too: every
+    pair with that Jaccard similarity shares a key of its prefixes. These candidates
     are taken in three turns, each leaving out pairs that verified links have connected by then: every id with the
     least id of its keys; every other pair with the least id of a key, and in each key pairs that would connect its
     members; last, all pairs of a key that are still apart. In a key, members are compared by size and parities, in
@@ -348,21 +351,37 @@ def near_copies(docs: DataFrame, *, size: int = 5, similarity: float = 0.8, most
     are read whole. An empty table gives an empty result.
     """
     with scratch(docs.sparkSession) as at:
-        links = _near_links(docs.select(quoted(id_col).alias("id"), quoted(text_col).alias("text")), size, similarity, most, at)
+        links = _near_links(docs.select(quoted(id_col).alias("id"), quoted(text_col).alias("text")), size, similarity, distance, most, at)
         return cut(components(links, within=at).select(F.col("node").alias("id"), F.col("label").alias("component_id")), "near-copies")
 
 
-def _near_links(docs: DataFrame, size: int, similarity: float, most: int, at: str) -> DataFrame:
+def _fingerprint_pairs(own: DataFrame, distance: int, most: int, at: str) -> DataFrame:
+    """Pairs ``a, b`` of ``id, fp`` rows: each with the least id of its fingerprint, and least ids of linked fingerprints."""
+    kind = dict(own.dtypes)["id"]
+    least = cut(own.groupBy("fp").agg(F.min("id").alias("least"), F.count(F.lit(1)).alias("c")), "least", at)
+    # fingerprints of very many rows (at most HOT_SHARE of them) come to their rows
+    hot = F.broadcast(cut(least.where(F.col("c") > max(HOT_LEAST, own.count() // HOT_SHARE)).select("fp", "least"), "hot", at))
+    few = least.join(hot, "fp", "left_anti").where("c > 1").select("fp", "least")
+    same = own.join(hot, "fp").union(own.join(hot, "fp", "left_anti").join(few, "fp")).where("id <> least").select(F.col("least").alias("a"), F.col("id").alias("b"))
+    links = fingerprint_links(least, distance=distance, most=most, within=at)
+    for side in ("a", "b"):
+        links = links.join(least.select(F.col("fp").alias(side), F.col("least").alias(f"l{side}")), side)
+    apart = links.select(F.least("la", "lb").cast(kind).alias("a"), F.greatest("la", "lb").cast(kind).alias("b")).where("a <> b")
+    return cut(same.union(apart).distinct(), "fingerprint-pairs", at)
+
+
+def _near_links(docs: DataFrame, size: int, similarity: float, distance: int, most: int, at: str) -> DataFrame:
     kind = dict(docs.dtypes)["id"]
     late = common_shingles(docs, size)
 
     def sketch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in _small(batches):
-            sets = [shingle_array(t, size) for t in b.column(1).to_pylist()]
-            columns = [b.column(0), pa.array([len(s) for s in sets], pa.int32()), pa.array([parity(s) for s in sets], pa.binary()), pa.array([prefix(s, similarity, late) for s in sets], pa.list_(pa.int64()))]
-            yield pa.RecordBatch.from_arrays(columns, names=["id", "n", "bits", "keys"])
+            hashes = [shingle_hashes(t, size) for t in b.column(1).to_pylist()]
+            sets, fps = [np.unique(h.view("<i8")) for h in hashes], np.array([majority(h) for h in hashes], dtype="<u8")
+            columns = [b.column(0), pa.array(fps.view("<i8"), pa.int64()), pa.array([len(s) for s in sets], pa.int32()), pa.array([parity(s) for s in sets], pa.binary()), pa.array([prefix(s, similarity, late) for s in sets], pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(columns, names=["id", "fp", "n", "bits", "keys"])
 
-    own = cut(docs.mapInArrow(sketch, f"id {kind}, n int, bits binary, keys array<long>"), "sketches", at)
+    own = cut(docs.mapInArrow(sketch, f"id {kind}, fp long, n int, bits binary, keys array<long>"), "sketches", at)
     key = Window.partitionBy("key")
     keyed = own.select("id", F.explode("keys").alias("key"))
     met = keyed.select("id", F.count(F.lit(1)).over(key).alias("c"), F.min("id").over(key).alias("top"), F.bit_xor(F.xxhash64("id")).over(key).alias("xor")).where("c > 1")
@@ -418,17 +437,21 @@ def _near_links(docs: DataFrame, size: int, similarity: float, most: int, at: st
 
         return dealt.mapInArrow(compare, f"a {kind}, b {kind}")
 
-    star = shared.where("id <> top").select(F.col("top").alias("a"), F.col("id").alias("b")).distinct()
+    tested = _fingerprint_pairs(own.select("id", "fp"), distance, most, at)
+    links = check(tested)
+    now = labels(links)
+    star = apart(shared.where("id <> top").select(F.col("top").alias("a"), F.col("id").alias("b")).distinct().join(tested, ["a", "b"], "left_anti"), now)
     one, other = own.select(F.col("id").alias("a"), F.col("n").alias("na"), F.col("bits").alias("ba")), own.select(F.col("id").alias("b"), F.col("n").alias("nb"), F.col("bits").alias("bb"))
     star = cut(star.join(one, "a").join(other, "b").select("a", "b", "na", "nb", "ba", "bb").mapInArrow(rule_out, f"a {kind}, b {kind}"), "star", at)
     first = cut(star.groupBy("b").agg(F.min("a").alias("a")).select("a", "b"), "pairs", at)
-    links = check(first)
-    now = labels(links)
-    second = cut(apart(star.join(first, ["a", "b"], "left_anti"), now).union(members(now, True)).distinct().join(first, ["a", "b"], "left_anti"), "pairs", at)
+    if first.take(1):
+        links, tested = links.union(check(first)), tested.union(first)
+        now = labels(links)
+    second = cut(apart(star, now).union(members(now, True)).distinct().join(tested, ["a", "b"], "left_anti"), "pairs", at)
     if second.take(1):
-        links = links.union(check(second))
+        links, tested = links.union(check(second)), tested.union(second)
         now = labels(links)
-        third = cut(members(now, False).distinct().join(first.union(second), ["a", "b"], "left_anti"), "pairs", at)
+        third = cut(members(now, False).distinct().join(tested, ["a", "b"], "left_anti"), "pairs", at)
         if third.take(1):
             links = links.union(check(third))
     return links

@@ -388,6 +388,25 @@ def test_near_copies_by_brute_force(spark):
     assert got == least_linked(pairs) and len(pairs) > 50
 
 
+@pytest.mark.parametrize("most", [2048, 2])
+def test_near_copies_by_fingerprints_first(spark, monkeypatch, most):
+    """Pairs of near fingerprints are verified first and by themselves, whether or not they are similar; others follow."""
+    r = random.Random(19)
+    texts = ["", None, "a b", "b a"]
+    for _ in range(8):
+        x = random_words(r, 400).split()
+        texts += [" ".join(x), " ".join(x).upper(), " ".join([*x[:399], "end"]), " ".join([*x[:200], "in", "the", "middle", *x[203:]]), " ".join(x[:340])]
+    fps = [simhash.fingerprint(t, 5) for t in texts]
+    near = [(a, b) for b in range(len(texts)) for a in range(b) if (fps[a] ^ fps[b]).bit_count() <= 4]
+    asked, verified = [], simhash.verified
+    monkeypatch.setattr(simhash, "verified", lambda docs, pairs, **kw: asked.append([tuple(x) for x in pairs.collect()]) or verified(docs, pairs, **kw))
+    got = {x.id: x.component_id for x in simhash.near_copies(table(spark, texts), most=most).collect()}
+    pairs = near_pairs(texts)
+    assert got == least_linked(pairs)
+    assert set(asked[0]) <= set(near) and least_linked(asked[0]) == least_linked(near)
+    assert set(pairs) - set(near) and not {x for turn in asked[1:] for x in turn} & set(asked[0])
+
+
 # pieces
 
 
