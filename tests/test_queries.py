@@ -37,3 +37,15 @@ def test_every_query_has_sql_or_a_reason():
         "enc_cardinality_seqcounter_illus", "enc_cardinality_bdd_illus", "enc_cardinality_totalizer_illus", "enc_cardinality_network_illus", "opb_illus", "cnf_illus", "freqsat_solve", "maximal_wide_70x200",
         "search_times_order_mix", "blocking_growth_order_mix", "beta_alpha_ratio_order_mix", "restriction_overhead_order_mix", "w07_searches_and_times", "solver_conflicts_order_mix", "plan_cost_order_mix_0_2", "run_cost_order_mix_0_2", "phase_transition_seconds",
     }
+
+
+#: Queries whose rows came from fixed values before.
+READS = [
+    "blocking_counts",
+]
+
+
+@pytest.mark.parametrize("key", READS)
+def test_rows_come_from_a_given_table(spark, tmp_path, key):
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        QUERIES[key](spark, str(tmp_path)).count()
