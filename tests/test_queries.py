@@ -43,6 +43,7 @@ def test_every_query_has_sql_or_a_reason():
 READS = [
     "blocking_counts",
     "cnf_illus",
+    "coverage_illus",
 ]
 
 
