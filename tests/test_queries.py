@@ -44,6 +44,7 @@ READS = [
     "blocking_counts",
     "cnf_illus",
     "coverage_illus",
+    "enc_cardinality_bdd_illus",
 ]
 
 
