@@ -45,6 +45,7 @@ READS = [
     "cnf_illus",
     "coverage_illus",
     "enc_cardinality_bdd_illus",
+    "enc_cardinality_network_illus",
 ]
 
 
