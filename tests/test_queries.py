@@ -46,6 +46,7 @@ READS = [
     "coverage_illus",
     "enc_cardinality_bdd_illus",
     "enc_cardinality_network_illus",
+    "enc_cardinality_seqcounter_illus",
 ]
 
 
