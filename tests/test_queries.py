@@ -47,6 +47,7 @@ READS = [
     "enc_cardinality_bdd_illus",
     "enc_cardinality_network_illus",
     "enc_cardinality_seqcounter_illus",
+    "enc_cardinality_totalizer_illus",
 ]
 
 
