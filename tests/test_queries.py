@@ -48,6 +48,7 @@ READS = [
     "enc_cardinality_network_illus",
     "enc_cardinality_seqcounter_illus",
     "enc_cardinality_totalizer_illus",
+    "enc_coverage_rows_illus",
 ]
 
 
