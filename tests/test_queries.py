@@ -49,6 +49,7 @@ READS = [
     "enc_cardinality_seqcounter_illus",
     "enc_cardinality_totalizer_illus",
     "enc_coverage_rows_illus",
+    "enc_frequency_rows_illus",
 ]
 
 
