@@ -50,6 +50,7 @@ READS = [
     "enc_cardinality_totalizer_illus",
     "enc_coverage_rows_illus",
     "enc_frequency_rows_illus",
+    "enc_size_clausal_illus",
 ]
 
 
