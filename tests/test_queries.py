@@ -51,6 +51,7 @@ READS = [
     "enc_coverage_rows_illus",
     "enc_frequency_rows_illus",
     "enc_size_clausal_illus",
+    "enc_size_positive_illus",
 ]
 
 
