@@ -52,6 +52,7 @@ READS = [
     "enc_frequency_rows_illus",
     "enc_size_clausal_illus",
     "enc_size_positive_illus",
+    "enc_size_reduced_illus",
 ]
 
 
